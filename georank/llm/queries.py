@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from .bpe import op8_bpe
+from .mixing import op9_mixing
 from .planes import op1_bit_planes
+from .quality import op4_quality
 
-QUERIES = {f.__name__: f for f in (op1_bit_planes, op8_bpe)}
+QUERIES = {f.__name__: f for f in (op1_bit_planes, op4_quality, op8_bpe, op9_mixing)}
 ORACLES: dict[str, str] = {}

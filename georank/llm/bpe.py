@@ -25,8 +25,7 @@ def encode(df: DataFrame, path: str, text: str = "text", keep: tuple[str, ...] =
         for batch in sliced(batches, "__text"):
             cols = {c: batch.column(i) for i, c in enumerate(keep)}
             n, ids, decoded = [], [], []
-            for t in batch.column(len(keep)).to_pylist():
-                parts = bpe.entries(t or "")
+            for parts in bpe.entries_all([t or "" for t in batch.column(len(keep)).to_pylist()]):
                 n.append(sum([e[0] for e in parts]))
                 if digests:
                     ids.append(hashlib.sha256(" ".join([e[1] for e in parts]).encode()).hexdigest())

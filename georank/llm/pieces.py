@@ -11,8 +11,10 @@ import json
 import re
 import zlib
 
-#: Entries of a worker's cache; it is emptied when full, so memory stays bounded.
-CACHE = 300_000
+#: Entries of a worker's caches of words and of pieces; a cache is emptied when full, so memory stays bounded.
+WORDS, PIECES = 800_000, 600_000
+#: Plain pieces: letters of Basic Latin and Latin-1, which no tokenizer here composes or splits, then signs.
+PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?|]*)").fullmatch
 _OPEN: dict[tuple, object] = {}
 
 
@@ -45,38 +47,66 @@ class LibraryPieces:
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-        self.later: dict[str, bytes] = {}
+        self.separator = max((t for t in json.loads(spec)["added_tokens"] if t["special"]), key=lambda t: t["id"])
+        self.words: dict[str, bytes] = {}
+        self.pieces: dict[str, bytes] = {}
         self.np = np
 
     def _bytes(self, texts: list[str]) -> list[bytes]:
-        return [self.np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        """Ids of each text. A special token is cut out before all else, so texts joined by one are encoded apart."""
+        if len(texts) == 1 or any(self.separator["content"] in x for x in texts):
+            return [self.np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        ids = self.np.array(self.tokenizer.encode_batch_fast([self.separator["content"].join(texts)], add_special_tokens=False)[0].ids, "<u4")
+        cuts = self.np.flatnonzero(ids == self.separator["id"]).tolist()
+        raw = ids.tobytes()
+        return [raw[4 * a : 4 * b] for a, b in zip([0, *[c + 1 for c in cuts]], [*cuts, len(ids)])]
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        first, *rest = text.split(" ")
-        later = self.later
-        try:
-            return self._bytes([first])[0] + b"".join([later[x] for x in rest])
-        except KeyError:
-            pass
-        if first[:1].isspace() or first[-1:].isspace() or not first or any(not x or x[0].isspace() or x[-1].isspace() for x in rest):
-            glued, cur = [], first
-            for x in rest:  # no cut beside other white space
-                if x and cur and not x[0].isspace() and not cur[-1].isspace():
-                    glued.append(cur)
-                    cur = x
-                else:
-                    cur += " " + x
-            glued.append(cur)
-            first, *rest = glued
-        new = list({x for x in rest if x not in later})
-        got = dict(zip(new, self._bytes([" " + x for x in new])))
-        if len(later) + len(got) > CACHE:
-            later.clear()
-        out = self._bytes([first])[0] + b"".join([got[x] if x in got else later[x] if x in later else self._bytes([" " + x])[0] for x in rest])
-        later.update((k, v) for k, v in got.items() if len(k) < 64 and not (k[0].isspace() or k[-1].isspace()))
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        pieces, words = self.pieces, self.words
+        cut = [t.split(" ") for t in texts]
+        firsts = self._bytes([c[0] for c in cut])
+        seen = set().union(*[c[1:] for c in cut])
+        odd = seen.difference(pieces)
+        if len(pieces) + len(odd) > PIECES:
+            pieces.clear()
+            odd = seen
+        white = {x for x in odd if not x or x[0].isspace() or x[-1].isspace()}
+        if len(words) > WORDS:
+            words.clear()
+        plain = {x: m.groups() for x in odd - white if (m := PLAIN(x))}
+        new = [" " + x for x in odd - white if x not in plain]
+        new += {" " + w for w, _ in plain.values() if " " + w not in words} | {s for _, s in plain.values() if s and s not in words}
+        got = dict(zip(new, self._bytes(new))) if new else {}
+        words.update(got)
+        words[""] = b""
+        pieces.update((x, words[" " + m[0]] + words[m[1]]) for x, m in plain.items())
+        for x in odd - white - plain.keys():
+            pieces[x] = words.pop(" " + x)
+        out = []
+        for c, first in zip(cut, firsts):
+            if (white and not white.isdisjoint(c[1:])) or c[0][:1].isspace() or c[0][-1:].isspace() or (not c[0] and len(c) > 1):
+                out.append(self._with_white_space(c[0], c[1:]))
+            else:
+                out.append(first + b"".join(map(pieces.__getitem__, c[1:])))
+        for x in [x for x in odd if len(x) >= 64]:
+            pieces.pop(x, None)
         return out
 
+    def _with_white_space(self, first: str, rest: list[str]) -> bytes:
+        """Cut only where neither side of the space is white space."""
+        glued = [first]
+        for x in rest:
+            last = glued[-1]
+            if x and last and not x[0].isspace() and not last[-1].isspace():
+                glued.append(" " + x)
+            else:
+                glued[-1] += " " + x
+        return b"".join(self._bytes(glued))
+
 
 class RankArrayPieces:
     """BPE by a contiguous rank array, with the file's own normalizer and pre-tokenizer.
@@ -99,31 +129,55 @@ class RankArrayPieces:
         self.special = {t["content"]: t["id"] for t in file["added_tokens"]}
         self.cut = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.token = {i: t for t, i in (self.vocab | self.special).items()}
+        self.byte = {i: self.pre.pre_tokenize_str(chr(i))[0][0] for i in range(33, 127)} | self._bytes_above()
+        self.words: dict[str, tuple] = {}
         self.cache: dict[str, tuple] = {}
 
-    def word(self, word: str) -> list[int]:
-        end, suffix, ranks = len(word), self.suffix, self.ranks
-        none = len(ranks)
-        bounds = list(range(end + 1))
-
-        def part(i: int) -> str:
-            return word[bounds[i] : bounds[i + 1]] + (suffix if bounds[i + 1] == end else "")
-
-        def rank(i: int) -> int:
-            return ranks.get((part(i), part(i + 1)), none) if i + 2 < len(bounds) else none
+    @staticmethod
+    def _bytes_above() -> dict[int, str]:
+        """The byte-level alphabet above 127: printable Latin-1 stands for itself, the others follow from code point 256 on."""
+        shown = {*range(33, 127), *range(161, 173), *range(174, 256)}
+        hidden = [b for b in range(256) if b not in shown]
+        return {b: chr(b) if b in shown else chr(256 + hidden.index(b)) for b in range(128, 256)}
 
-        adjacent = [rank(i) for i in range(end)]
-        while True:
+    def word(self, word: str) -> list[int]:
+        ranks = self.ranks.get
+        none = len(self.ranks)
+        parts = list(word)
+        parts[-1] += self.suffix
+        adjacent = [ranks(p, none) for p in zip(parts, parts[1:])]
+        while adjacent:
             least = min(adjacent)
             if least == none:
-                return [self.vocab[part(i)] for i in range(len(adjacent)) if part(i) in self.vocab]
+                break
             i = adjacent.index(least)
-            del bounds[i + 1], adjacent[i + 1]
-            adjacent[i] = rank(i)
+            parts[i] += parts.pop(i + 1)  # the boundary between the two goes
+            del adjacent[i]
+            if i < len(adjacent):
+                adjacent[i] = ranks((parts[i], parts[i + 1]), none)
             if i:
-                adjacent[i - 1] = rank(i - 1)
-
-    def piece(self, piece: str) -> list[int]:
+                adjacent[i - 1] = ranks((parts[i - 1], parts[i]), none)
+        return [self.vocab[p] for p in parts if p in self.vocab]
+
+    def _entry(self, ids: list[int]) -> tuple[int, str, str]:
+        return len(ids), " ".join(map(str, ids)), " ".join([self.token[i] for i in ids])
+
+    def _word(self, word: str) -> tuple[int, str, str]:
+        e = self.words.get(word)
+        if e is None:
+            e = self._entry(self.word(word if word.isascii() else "".join([self.byte[b] for b in word.encode()])))
+            if len(self.words) >= WORDS:
+                self.words.clear()
+            if len(word) < 64:
+                self.words[word] = e
+        return e
+
+    def piece(self, piece: str) -> tuple[int, str, str]:
+        if m := PLAIN(piece):
+            word = self._word(m[1].lower())
+            if not m[2]:
+                return word
+            return tuple(a + b if isinstance(a, int) else f"{a} {b}" for a, b in zip(word, self._word(m[2])))
         out: list[int] = []
         for run in self.cut.split(piece) if self.cut else [piece]:
             if run in self.special:
@@ -132,23 +186,25 @@ class RankArrayPieces:
                 for word, _ in self.pre.pre_tokenize_str(self.normalizer.normalize_str(run)):
                     if word:
                         out += self.word(word)
+        return self._entry(out)
+
+    def entries_all(self, texts: list[str]) -> list[list[tuple[int, str, str]]]:
+        """For each text and piece: number of ids, the ids as text, their tokens as text; both joined by spaces."""
+        cache = self.cache
+        cut = [[p for p in t.replace("\n", " ").split(" ") if p] for t in texts]
+        seen = set().union(*cut)
+        odd = seen.difference(cache)
+        if len(cache) + len(odd) > PIECES:
+            cache.clear()
+            odd = seen
+        cache.update((p, self.piece(p)) for p in odd)
+        out = [[e for e in map(cache.__getitem__, c) if e[0]] for c in cut]
+        for p in [p for p in odd if len(p) >= 64]:
+            del cache[p]
         return out
 
     def entries(self, text: str) -> list[tuple[int, str, str]]:
-        """For each piece: number of ids, the ids as text, their tokens as text; both joined by spaces."""
-        cache, out = self.cache, []
-        for p in text.replace("\n", " ").split(" "):
-            e = cache.get(p)
-            if e is None:
-                ids = self.piece(p)
-                e = len(ids), " ".join(map(str, ids)), " ".join([self.token[i] for i in ids])
-                if len(cache) >= CACHE:
-                    cache.clear()
-                if len(p) < 64:
-                    cache[p] = e
-            if e[0]:
-                out.append(e)
-        return out
+        return self.entries_all([text])[0]
 
     def encode(self, text: str) -> list[int]:
         return [int(i) for e in self.entries(text) for i in e[1].split(" ")]

@@ -88,8 +88,8 @@ def write(df: DataFrame, out: str, path: str, end_id: int | None = 2, bits: bool
             return pa.RecordBatch.from_pylist([row], pa.schema([("part", pa.int32()), ("group_no", pa.int64()), ("bits", pa.bool_()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("doc_tokens", pa.list_(pa.int64())), ("chunk_index", pa.list_(pa.int32())), ("payload", pa.binary())]))
 
         for batch in sliced(batches, "text"):
-            for doc, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                got = enc.encode(t or "") + end
+            for doc, got in zip(batch.column(0).to_pylist(), enc.encode_all([t or "" for t in batch.column(1).to_pylist()])):
+                got += end
                 ids.append(got)
                 docs.append(doc)
                 held += len(got) // 4

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from . import fixity
 from .bpe import op8_bpe
+from .fixity import op2_fixity
+from .hashing import op6_hashing
+from .language import op10_language
 from .mixing import op9_mixing
 from .planes import op1_bit_planes
 from .quality import op4_quality
 
-QUERIES = {f.__name__: f for f in (op1_bit_planes, op4_quality, op8_bpe, op9_mixing)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_bit_planes, op2_fixity, op4_quality, op6_hashing, op8_bpe, op9_mixing, op10_language)}
+ORACLES: dict[str, str] = {"op2_fixity": fixity.ORACLE}

@@ -48,9 +48,14 @@ class LibraryPieces:
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
         self.separator = max((t for t in json.loads(spec)["added_tokens"] if t["special"]), key=lambda t: t["id"])
+        #: Letters are kept for the piece with a space before them, signs and all else (with its space) as they are.
         self.words: dict[str, bytes] = {}
         self.pieces: dict[str, bytes] = {}
         self.np = np
+        names = self.tokenizer.get_vocab()
+        self.length = np.zeros(max(names.values()) + 1, np.int64)
+        for name, i in names.items():
+            self.length[i] = len(name)
 
     def _bytes(self, texts: list[str]) -> list[bytes]:
         """Ids of each text. A special token is cut out before all else, so texts joined by one are encoded apart."""
@@ -61,6 +66,19 @@ class LibraryPieces:
         raw = ids.tobytes()
         return [raw[4 * a : 4 * b] for a, b in zip([0, *[c + 1 for c in cuts]], [*cuts, len(ids)])]
 
+    def _spaced(self, words: list[str]) -> list[bytes]:
+        """Ids of each word of letters with a space before it. A run of such words is encoded at once: a space starts
+        a token, and a token has as many bytes as its byte-level name has characters, so the ids part at the words' ends."""
+        out: list[bytes] = []
+        for at in range(0, len(words), 512):
+            some = words[at : at + 512]
+            ids = self.np.array(self.tokenizer.encode_batch_fast(["".join([" " + w for w in some])], add_special_tokens=False)[0].ids, "<u4")
+            ends = self.np.cumsum(self.length[ids])
+            cuts = (self.np.searchsorted(ends, self.np.cumsum([len(w.encode()) + 1 for w in some])) + 1).tolist()
+            raw = ids.tobytes()
+            out += [raw[4 * a : 4 * b] for a, b in zip([0, *cuts], cuts)]
+        return out
+
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
         return self.encode_all([text])[0]
@@ -78,12 +96,13 @@ class LibraryPieces:
         if len(words) > WORDS:
             words.clear()
         plain = {x: m.groups() for x in odd - white if (m := PLAIN(x))}
-        new = [" " + x for x in odd - white if x not in plain]
-        new += {" " + w for w, _ in plain.values() if " " + w not in words} | {s for _, s in plain.values() if s and s not in words}
-        got = dict(zip(new, self._bytes(new))) if new else {}
-        words.update(got)
         words[""] = b""
-        pieces.update((x, words[" " + m[0]] + words[m[1]]) for x, m in plain.items())
+        letters = list({w for w, _ in plain.values() if w not in words})
+        words.update(zip(letters, self._spaced(letters)))
+        new = [" " + x for x in odd - white if x not in plain] + list({s for _, s in plain.values() if s not in words})
+        if new:
+            words.update(zip(new, self._bytes(new)))
+        pieces.update((x, words[m[0]] + words[m[1]]) for x, m in plain.items())
         for x in odd - white - plain.keys():
             pieces[x] = words.pop(" " + x)
         out = []

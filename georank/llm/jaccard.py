@@ -6,8 +6,8 @@ shingles, so only those prefixes are indexed. Candidates' sets are cut along the
 partial overlaps are counted fragment by fragment and summed per pair.
 
 Only classes are asked for, so pairs within one class needn't be looked at: documents with the same words are one node,
-and rounds that compare neighbours in each index list join nodes first. What is left, pairs of nodes that share enough
-and are in different classes, is counted without exception.
+and index lists are taken in the order of their lengths, each time for pairs of nodes that are still in different
+classes. Every such pair is counted, without exception.
 """
 
 from __future__ import annotations
@@ -20,8 +20,10 @@ from pyspark.sql import functions as F
 from .common import Hasher, checkpointed, lowered, mix, sliced, table, text_bytes, word_spans
 from .components import components
 
-#: Prefix shingles that linked documents share at least; fragments; log2 of the sketch's counters; rounds before the full count.
-SHARE, FRAGMENTS, SKETCH_BITS, ROUNDS = 3, 4, 22, 3
+#: Prefix shingles that linked documents share at least; fragments; log2 of the sketch's counters.
+SHARE, FRAGMENTS, SKETCH_BITS = 3, 4, 22
+#: Index lists up to these lengths are taken first, so that most nodes of a class are joined before long lists are paired.
+TIERS = (8, 32, 128, 512, None)
 CHUNK = 1 << 16
 #: Log2 of the bits of the filter that keeps texts without candidates out of a pass; it only saves work.
 FILTER_BITS = 24
@@ -161,17 +163,6 @@ def linked(pairs: DataFrame, cut: DataFrame, percent: int) -> DataFrame:
     return total.filter(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
 
 
-def likely(own: DataFrame, k: int, fits) -> DataFrame:
-    """For each node the neighbour in its index lists, ordered in the k-th way, that it meets most often; of another class."""
-    order = Window.partitionBy("token").orderBy(F.get("sig", F.lit(k % 3)), F.hash("node", F.lit(k)), "node")
-    near = own.select("node", "n", "comp", F.lag(F.struct("node", "n", "comp")).over(order).alias("p"))
-    near = near.filter(F.col("p").isNotNull() & (F.col("p.comp") != F.col("comp")) & fits(F.col("n"), F.col("p.n")))
-    ends = F.array_sort(F.array(F.struct("node", "n"), F.struct("p.node", "p.n")))
-    pair = near.select(ends[0]["node"].alias("a"), ends[0]["n"].alias("na"), ends[1]["node"].alias("b"), ends[1]["n"].alias("nb"))
-    pair = pair.groupBy("a", "na", "b", "nb").agg(F.count("*").alias("c")).filter(F.col("c") >= F.least(F.lit(2), "na", "nb"))
-    return pair.groupBy("b", "nb").agg(F.max_by(F.struct("a", "na"), F.struct("c", "a")).alias("x")).select("x.a", "x.na", "b", "nb")
-
-
 def candidates(own: DataFrame, nodes: DataFrame, percent: int, fits) -> DataFrame:
     """Every pair (a, na, b, nb) of nodes of different classes that may be linked.
 
@@ -190,7 +181,7 @@ def candidates(own: DataFrame, nodes: DataFrame, percent: int, fits) -> DataFram
     return pair.filter(F.size(F.array_intersect("pa", "pb")) >= need).select("a", "na", "b", "nb")
 
 
-def classes(docs: DataFrame, width: int = 3, percent: int = 90, rounds: int = ROUNDS) -> DataFrame:
+def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) -> DataFrame:
     """doc_id, n_shingles, component_id of each row.
 
     Texts without words have no shingles and are their own class. Rows whose words are the same, repeated rows included,
@@ -203,8 +194,8 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90, rounds: int = RO
     every = checkpointed(prefixes(docs, width, percent, freq))
     reps = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("prefix").alias("prefix"))
     nodes = checkpointed(reps.select(F.monotonically_increasing_id().alias("node"), "rep", "d1", "d2", "n", "prefix"))
-    listed = nodes.select("node", "n", F.slice("prefix", 1, 3).alias("sig"), F.posexplode("prefix").alias("at", "token"))
-    index = listed.withColumn("many", F.count("*").over(Window.partitionBy("token"))).filter("many > 1").drop("many")
+    listed = nodes.select("node", "n", F.posexplode("prefix").alias("at", "token"))
+    index = listed.withColumn("many", F.count("*").over(Window.partitionBy("token"))).filter("many > 1")
     index = checkpointed(index)
     # Nodes that share fewer shingles with all others together than linked ones do with one another have no link.
     able = index.groupBy("node").agg(F.count("*").alias("c"), F.first("n").alias("n")).filter(F.col("c") >= F.least(F.lit(SHARE), "n")).select("node")
@@ -219,16 +210,14 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90, rounds: int = RO
             return index.withColumn("comp", F.col("node"))
         return index.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
 
-    for k in range(rounds):
-        got = linked(checkpointed(likely(classed(), k, fits)), cut, percent)
+    for most in tiers:
+        own = classed() if most is None else classed().filter(F.col("many") <= most)
+        # A list whose nodes are all of one class has no pair left.
+        mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
+        pairs = checkpointed(candidates(own.join(mixed, "token"), nodes, percent, fits))
+        got = linked(pairs, cut, percent)
         links = checkpointed(got if links is None else links.union(got))
         comp = checkpointed(components(links))
-    own = classed().drop("sig")
-    # A list whose nodes are all of one class has no pair left.
-    mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
-    own = checkpointed(own.join(mixed, "token"))
-    got = linked(checkpointed(candidates(own, nodes, percent, fits)), cut, percent)
-    comp = checkpointed(components(got if links is None else links.union(got)))
     named = nodes.select("node", "rep", "d1", "d2").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
     named = named.join(name, "comp").select("d1", "d2", "component_id")

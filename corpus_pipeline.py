@@ -1,8 +1,80 @@
-"""A corpus pipeline of five stages, each calling one of the training-data operators."""
+"""A corpus pipeline: quality rules, near-duplicate removal, repeated-passage removal, source mixing, BPE ids.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir); docs has the columns of documents. run() writes each stage's result as Parquet in the
+shared folder and rereads it as the next stage's docs, so a lost executor costs one stage at most.
+
+Null, empty and very long texts, repeated rows, empty tables and further columns of docs are handled as the
+operators' docstrings say; further columns pass through the stages that keep documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from georank.llm import bpe, jaccard, mixing, quality, suffixes
+from georank.llm.common import checkpointed, shared_path
+from georank.plans.shipping import ship
+
+
+def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The documents with these ids (one column, doc_id); a null id matches a null id."""
+    ids = ids.select(F.col("doc_id").alias("__id")).distinct()
+    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["__id"]), "left_semi")
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the rules reject go."""
+    return _only(docs, quality.judge(docs).filter("kept"))
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates stays: that with the smallest id; of rows with one id, one."""
+    found = checkpointed(jaccard.classes(docs))
+    kept = _only(docs, found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))))
+    n, ids = found.agg(F.count("*"), F.countDistinct(F.coalesce("doc_id", F.lit(-1)))).first()
+    return kept if n == ids else kept.dropDuplicates(["doc_id"])
+
+
+def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Bytes of passages that occur elsewhere go; documents stay, if need be with no text."""
+    left = suffixes.remove(docs).drop("n_bytes", "n_removed", "n_spans")
+    return left.withColumn("n_chars", F.char_length("text").cast("long")) if "n_chars" in docs.columns else left
+
+
+def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes its words: the whole times, and once more with the rest as probability, drawn by its id."""
+    taken = mixing.mix_blocks(docs)[0].filter("size > 0").groupBy("doc_id").agg((F.sum("taken") / F.sum("size")).alias("times"))
+    draw = F.pmod(F.xxhash64("doc_id", F.lit(23)), F.lit(1 << 30)) / float(1 << 30)
+    copies = taken.select(F.col("doc_id").alias("__id"), (F.floor("times") + (draw < F.col("times") - F.floor("times")).cast("int")).alias("__copies")).filter("__copies > 0")
+    joined = docs.join(copies, docs["doc_id"].eqNullSafe(copies["__id"]))
+    return joined.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*[docs[c] for c in docs.columns])
+
+
+def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Ids of each document of the mix, with digests of the ids and of what they decode to."""
+    import public_tokenizers
+
+    return bpe.encode(docs, public_tokenizers.path("word_bpe_49k.json"), keep=("doc_id",), digests=True)
+
+
+STAGES = [
+    ("quality rules", quality_rules),
+    ("near duplicates", near_duplicates),
+    ("repeated passages", repeated_passages),
+    ("source mix", source_mix),
+    ("token ids", token_ids),
+]
+
+#: Robust estimates and BPE are beyond SQL; tests hold stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES:
+        path = shared_path(spark, name.replace(" ", "-"))
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
+    return docs

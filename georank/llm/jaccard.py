@@ -8,6 +8,10 @@ partial overlaps are counted fragment by fragment and summed per pair.
 Only classes are asked for, so pairs within one class needn't be looked at: documents with the same words are one node,
 and index lists are taken in the order of their lengths, each time for pairs of nodes that are still in different
 classes. Every such pair is counted, without exception.
+
+Many near copies of one text would still pair each with each. They are measured against a hub of theirs first: two sets
+x, y that have o(x), o(y) shingles of hub h share at most min(o(x), o(y)) of h's, so if a link needs more, they must share
+shingles that aren't h's. Such pairs are found through those few shingles alone.
 """
 
 from __future__ import annotations
@@ -23,7 +27,9 @@ from .components import components
 #: Prefix shingles that linked documents share at least; fragments; log2 of the sketch's counters.
 SHARE, FRAGMENTS, SKETCH_BITS = 3, 4, 22
 #: Index lists up to these lengths are taken first, so that most nodes of a class are joined before long lists are paired.
-TIERS = (8, 32, 128, 512, None)
+TIERS = (8, 64, None)
+#: Lists longer than this have a hub; a node with at least this share of its shingles in its hub's set is measured against it.
+LONG, NEAR = 64, 0.7
 CHUNK = 1 << 16
 #: Log2 of the bits of the filter that keeps texts without candidates out of a pass; it only saves work.
 FILTER_BITS = 24
@@ -164,23 +170,68 @@ def linked(pairs: DataFrame, cut: DataFrame, percent: int) -> DataFrame:
 
 
 def candidates(own: DataFrame, nodes: DataFrame, percent: int, fits) -> DataFrame:
-    """Every pair (a, na, b, nb) of nodes of different classes that may be linked.
+    """Every pair (a, na, b, nb) of nodes of different classes that may be linked, but for those that `beside_hub` finds.
 
     A linked pair has a shingle in common among the first of each set: for the smaller set those that it can lack in a
     set of its size, for the larger those that it can lack in any. Of whole prefixes it then shares as many as
-    follows from the two sizes.
+    follows from the two sizes. own has token, at, node, n, comp, and hub and o where the node has a hub.
     """
     small = own.filter(F.col("at") <= F.col("n") - F.ceil(2 * percent * F.col("n") / (100 + percent)))
     large = own.filter(F.col("at") <= F.col("n") - F.ceil(percent * F.col("n") / 100))
-    x = small.select("token", F.col("node").alias("a"), F.col("n").alias("na"), F.col("comp").alias("ca"))
-    y = large.select("token", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("cb"))
-    first = (F.col("na") < F.col("nb")) | ((F.col("na") == F.col("nb")) & (F.col("a") < F.col("b")))
-    pair = x.join(y, "token").filter(first & (F.col("ca") != F.col("cb")) & fits(F.col("na"), F.col("nb"))).select("a", "na", "b", "nb").distinct()
+    x, y = (df.select("token", *[F.col(c).alias(f"{c}_{i}") for c in ("node", "n", "comp", "hub", "o")]) for df, i in ((small, "a"), (large, "b")))
+    need = least_overlap("n_a", "n_b", percent)
+    first = (F.col("n_a") < F.col("n_b")) | ((F.col("n_a") == F.col("n_b")) & (F.col("node_a") < F.col("node_b")))
+    open_ = F.coalesce(F.col("hub_a") != F.col("hub_b"), F.lit(True)) | (F.least("o_a", "o_b") >= need)
+    pair = x.join(y, "token").filter(first & (F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")) & open_)
+    pair = pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb")).distinct()
     pair = pair.join(nodes.select(F.col("node").alias("a"), F.col("prefix").alias("pa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("prefix").alias("pb")), "b")
     need = least_overlap("na", "nb", percent) + F.least(F.size("pa") - F.col("na"), F.size("pb") - F.col("nb"))
     return pair.filter(F.size(F.array_intersect("pa", "pb")) >= need).select("a", "na", "b", "nb")
 
 
+def measured(index: DataFrame, cut: DataFrame) -> DataFrame:
+    """(node, n, hub, nh, o, rest) of nodes in long lists: the hub of the node's longest list, the overlap with it, and the shingles that it lacks.
+
+    A list's hub is the node whose shingles are in the longest lists, so one with few shingles of its own.
+    """
+    weight = index.groupBy("node").agg(F.avg("many").alias("weight"))
+    rows = index.filter(F.col("many") > LONG)
+    hubs = rows.join(weight, "node").groupBy("token").agg(F.max_by(F.struct("node", "n"), F.struct("weight", "node")).alias("h"))
+    best = rows.join(hubs, "token").groupBy("node", "n").agg(F.max_by("h", F.struct("many", "h.node")).alias("h")).select("node", "n", F.col("h.node").alias("hub"), F.col("h.n").alias("nh")).filter("node != hub")
+    both = best.join(cut.select("node", "frag", F.col("part").alias("x")), "node").join(cut.select(F.col("node").alias("hub"), "frag", F.col("part").alias("y")), ["hub", "frag"])
+    return both.groupBy("node", "n", "hub", "nh").agg(F.sum(F.size(F.array_intersect("x", "y"))).alias("o"), F.flatten(F.collect_list(F.array_except("x", "y"))).alias("rest"))
+
+
+def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
+    """Pairs (a, na, b, nb) of nodes of one hub, of different classes, that may be linked and must then share shingles which the hub lacks."""
+    # Of the `rest` that the hub lacks, any link of the node takes at least `least` shingles: only the others' number, plus one, is indexed.
+    least = F.greatest(F.lit(1), F.ceil(percent * (F.col("n") + F.ceil(percent * F.col("n") / 100)) / (100 + percent)) - F.col("o"))
+    near = near.withColumn("least", least.cast("long"))
+    rows = near.select("hub", F.explode("rest").alias("token"), "node")
+    often = rows.groupBy("hub", "token").agg(F.count("*").alias("times")).filter("times > 1")
+    rows = rows.join(often, ["hub", "token"]).groupBy("node").agg(F.array_sort(F.collect_list(F.struct("times", "token"))).alias("order"))
+    # Shingles that no other node of the hub has would come first in the order, so they count as indexed.
+    rows = near.drop("rest").withColumn("extra", F.col("n") - F.col("o")).join(rows, "node")
+    rows = rows.withColumn("keep", F.size("order") - F.col("least") + 1).filter("keep > 0").select("*", F.explode(F.slice("order", F.lit(1), F.col("keep").cast("int"))).alias("e"))
+    x, y = (rows.select("hub", F.col("e.token").alias("token"), *[F.col(c).alias(f"{c}_{i}") for c in ("node", "n", "o", "extra", "comp")]) for i in "ab")
+    need = least_overlap("n_a", "n_b", percent) - F.least("o_a", "o_b")
+    pair = x.join(y, ["hub", "token"]).filter((F.col("node_a") < F.col("node_b")) & (F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")) & (need <= F.least("extra_a", "extra_b")) & (need > 0))
+    pair = pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb"), need.alias("need")).distinct()
+    x, y = (near.select(F.col("node").alias(i), F.col("rest").alias(f"r{i}")) for i in "ab")
+    return pair.join(x, "a").join(y, "b").filter(F.size(F.array_intersect("ra", "rb")) >= F.col("need")).select("a", "na", "b", "nb")
+
+
+def guesses(own: DataFrame, fits, ways: int = 8) -> DataFrame:
+    """Some pairs (a, na, b, nb) of nodes of different classes: neighbours in the longest list of each, put in `ways` pseudorandom orders."""
+    mine = own.filter(F.col("many") > LONG).groupBy("node", "n", "comp").agg(F.max_by("token", F.struct("many", "token")).alias("token"))
+    mine = mine.withColumn("way", F.explode(F.sequence(F.lit(1), F.lit(ways))))
+    order = Window.partitionBy("token", "way").orderBy(F.xxhash64("node", "way"))
+    near = mine.select("node", "n", "comp", F.lag(F.struct("node", "n", "comp")).over(order).alias("p"))
+    near = near.filter(F.col("p").isNotNull() & (F.col("p.comp") != F.col("comp")) & fits(F.col("n"), F.col("p.n")))
+    ends = F.array_sort(F.array(F.struct("node", "n"), F.struct("p.node", "p.n")))
+    return near.select(ends[0]["node"].alias("a"), ends[0]["n"].alias("na"), ends[1]["node"].alias("b"), ends[1]["n"].alias("nb")).distinct()
+
+
 def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) -> DataFrame:
     """doc_id, n_shingles, component_id of each row.
 
@@ -203,21 +254,29 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) ->
     wanted = checkpointed(nodes.join(able, "node").select("node", "rep", "d1", "d2"))
     cut = checkpointed(fragments(docs, wanted, width))
     fits = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
-    comp = links = None
+    comp = links = near = None
 
-    def classed() -> DataFrame:
-        if comp is None:
-            return index.withColumn("comp", F.col("node"))
-        return index.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    def classed(df: DataFrame) -> DataFrame:
+        return df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node")) if comp is not None else df.withColumn("comp", F.col("node"))
+
+    def join(got: DataFrame) -> None:
+        nonlocal links, comp
+        links = checkpointed(got if links is None else links.union(got))
+        comp = checkpointed(components(links))
 
     for most in tiers:
-        own = classed() if most is None else classed().filter(F.col("many") <= most)
+        if most is None:
+            join(linked(checkpointed(guesses(classed(index), fits)), cut, percent))
+            near = checkpointed(measured(index, cut))
+            join(near.filter(100 * F.col("o") >= percent * (F.col("n") + F.col("nh") - F.col("o"))).select(F.col("node").alias("a"), F.col("hub").alias("b")))
+            near = near.filter(F.col("o") >= NEAR * F.col("n"))
+            join(linked(checkpointed(beside_hub(classed(near), percent, fits)), cut, percent))
+        own = classed(index if most is None else index.filter(F.col("many") <= most))
         # A list whose nodes are all of one class has no pair left.
         mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
-        pairs = checkpointed(candidates(own.join(mixed, "token"), nodes, percent, fits))
-        got = linked(pairs, cut, percent)
-        links = checkpointed(got if links is None else links.union(got))
-        comp = checkpointed(components(links))
+        own = own.join(mixed, "token")
+        own = own.join(near.select("node", "hub", "o"), "node", "left") if near is not None else own.withColumns({"hub": F.lit(None).cast("long"), "o": F.lit(None).cast("long")})
+        join(linked(checkpointed(candidates(own, nodes, percent, fits)), cut, percent))
     named = nodes.select("node", "rep", "d1", "d2").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
     named = named.join(name, "comp").select("d1", "d2", "component_id")

@@ -34,7 +34,7 @@ def learn(x: np.ndarray, frames: int = FRAMES, k: int = 20, cover: float = COVER
     """centre, projection (d x bits) and radius. Vectors are scaled to length 1 for codes only."""
     x = x / np.linalg.norm(x, axis=1, keepdims=True)
     centre = x.mean(0)
-    _, _, axes = np.linalg.svd(x - centre, full_matrices=True)
+    axes = np.linalg.eigh((x - centre).T @ (x - centre))[1].T[::-1]
     p = (x - centre) @ axes.T
     rng, parts = np.random.default_rng(seed), []
     for _ in range(frames):
@@ -45,11 +45,12 @@ def learn(x: np.ndarray, frames: int = FRAMES, k: int = 20, cover: float = COVER
         parts.append(axes.T @ r)
     project = np.hstack(parts)
     code = (x - centre) @ project > 0
-    probe = np.arange(0, len(x), max(1, len(x) // 200))
-    near = x[probe] @ x.T
-    near[np.arange(len(probe)), probe] = -np.inf
-    top = np.argsort(-near, axis=1)[:, : min(k, len(x) - 1)]
-    apart = (code[probe][:, None] != code[top]).sum(2).ravel()
+    apart = []
+    for i in range(0, len(x), max(1, len(x) // 200)):
+        near = x @ x[i]
+        near[i] = -np.inf
+        apart.append((code[i] != code[np.argsort(-near)[: min(k, len(x) - 1)]]).sum(1))
+    apart = np.concatenate(apart)
     radius = int(np.quantile(apart, cover, method="higher")) if apart.size else project.shape[1]
     return {"centre": centre, "project": project, "radius": radius}
 

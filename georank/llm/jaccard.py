@@ -116,9 +116,10 @@ def prefixes(docs: DataFrame, width: int, percent: int, classes) -> DataFrame:
 
 
 def fragments(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """(node, frag, part): the wanted nodes' sets cut by hash range. wanted has node, d1, d2.
+    """(node, frag, part): the wanted nodes' sets, and now and then others, cut by hash range. wanted has rep, a document of each node.
 
-    A bit filter of fixed size lets most texts of no candidate go by unhashed; the join on identity is what decides.
+    A bit filter of fixed size lets most texts of no candidate go by unhashed. What passes it by chance, or a second row
+    of a node, does no harm: joins are by node, and rows of one node and fragment are alike.
     """
     spark = docs.sparkSession
     keys = wanted.select("rep").distinct()
@@ -141,18 +142,17 @@ def fragments(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
             at = batch.column(1).to_numpy()
             keep = (mask[at >> 3] >> (at & 7).astype(np.uint8)) & 1
             for part in sliced([batch.filter(pa.array(keep.astype(bool)))], "text"):
-                rows: dict[str, list] = {"rep": [], "d1": [], "d2": [], "frag": [], "part": []}
-                for rep, (own, a, b) in zip(part.column(0).to_pylist(), shingle_sets(part.column(2), width)):
+                rows: dict[str, list] = {"node": [], "frag": [], "part": []}
+                for own, node, _ in shingle_sets(part.column(2), width):
                     cuts = np.searchsorted(own, (np.arange(1, FRAGMENTS, dtype=np.uint64) << np.uint64(62)) if FRAGMENTS == 4 else np.linspace(0, 2.0**64, FRAGMENTS + 1)[1:-1].astype(np.uint64))
                     for f, piece in enumerate(np.split(own, cuts)):
-                        for k, v in zip(rows, (rep, a, b, f, piece.view(np.int64))):
+                        for k, v in zip(rows, (node, f, piece.view(np.int64))):
                             rows[k].append(v)
-                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64())]
+                kinds = [pa.int64(), pa.int32(), pa.list_(pa.int64())]
                 yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(rows.values(), kinds)], list(rows))
 
     at = F.shiftrightunsigned(F.xxhash64(F.col("doc_id")), 64 - FILTER_BITS)
-    cut = docs.select("doc_id", at.alias("at"), "text").mapInArrow(run, "rep long, d1 long, d2 long, frag int, part array<long>")
-    return cut.join(wanted.select("node", "rep", "d1", "d2"), (cut["rep"].eqNullSafe(wanted["rep"])) & (cut["d1"] == wanted["d1"]) & (cut["d2"] == wanted["d2"])).select("node", "frag", "part").dropDuplicates(["node", "frag"])
+    return docs.select("doc_id", at.alias("at"), "text").mapInArrow(run, "node long, frag int, part array<long>")
 
 
 def least_overlap(na, nb, percent: int):
@@ -164,7 +164,7 @@ def linked(pairs: DataFrame, cut: DataFrame, percent: int) -> DataFrame:
     """Those of the pairs (a, na, b, nb) whose overlap, summed over fragments, reaches the threshold."""
     left = pairs.join(cut.select(F.col("node").alias("a"), "frag", F.col("part").alias("x")), "a")
     both = left.join(cut.select(F.col("node").alias("b"), "frag", F.col("part").alias("y")), ["b", "frag"])
-    part = both.select("a", "na", "b", "nb", F.size(F.array_intersect("x", "y")).alias("common"))
+    part = both.groupBy("a", "na", "b", "nb", "frag").agg(F.max(F.size(F.array_intersect("x", "y"))).alias("common"))
     total = part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"))
     return total.filter(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
 
@@ -199,7 +199,8 @@ def measured(index: DataFrame, cut: DataFrame) -> DataFrame:
     hubs = rows.join(weight, "node").groupBy("token").agg(F.max_by(F.struct("node", "n"), F.struct("weight", "node")).alias("h"))
     best = rows.join(hubs, "token").groupBy("node", "n").agg(F.max_by("h", F.struct("many", "h.node")).alias("h")).select("node", "n", F.col("h.node").alias("hub"), F.col("h.n").alias("nh")).filter("node != hub")
     both = best.join(cut.select("node", "frag", F.col("part").alias("x")), "node").join(cut.select(F.col("node").alias("hub"), "frag", F.col("part").alias("y")), ["hub", "frag"])
-    return both.groupBy("node", "n", "hub", "nh").agg(F.sum(F.size(F.array_intersect("x", "y"))).alias("o"), F.flatten(F.collect_list(F.array_except("x", "y"))).alias("rest"))
+    part = both.groupBy("node", "n", "hub", "nh", "frag").agg(F.max(F.size(F.array_intersect("x", "y"))).alias("common"), F.first(F.array_except("x", "y")).alias("lacks"))
+    return part.groupBy("node", "n", "hub", "nh").agg(F.sum("common").alias("o"), F.flatten(F.collect_list("lacks")).alias("rest"))
 
 
 def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
@@ -244,14 +245,14 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) ->
     freq = spark.sparkContext.broadcast(frequency_classes(docs, width))
     every = checkpointed(prefixes(docs, width, percent, freq))
     reps = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("prefix").alias("prefix"))
-    nodes = checkpointed(reps.select(F.monotonically_increasing_id().alias("node"), "rep", "d1", "d2", "n", "prefix"))
-    listed = nodes.select("node", "n", F.posexplode("prefix").alias("at", "token"))
+    nodes = checkpointed(reps.select(F.col("d1").alias("node"), "rep", "d2", "n", "prefix"))  # 64 bits, like shingles, name a node
+    listed = nodes.select("node", F.col("n").cast("int").alias("n"), F.posexplode("prefix").alias("at", "token"))
     index = listed.withColumn("many", F.count("*").over(Window.partitionBy("token"))).filter("many > 1")
     index = checkpointed(index)
     # Nodes that share fewer shingles with all others together than linked ones do with one another have no link.
     able = index.groupBy("node").agg(F.count("*").alias("c"), F.first("n").alias("n")).filter(F.col("c") >= F.least(F.lit(SHARE), "n")).select("node")
-    index = checkpointed(index.join(able, "node"))
-    wanted = checkpointed(nodes.join(able, "node").select("node", "rep", "d1", "d2"))
+    index = checkpointed(index.join(able, "node").select("node", F.col("n").cast("long").alias("n"), "at", "token", "many"))
+    wanted = checkpointed(nodes.join(able, "node").select("node", "rep"))
     cut = checkpointed(fragments(docs, wanted, width))
     fits = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
     comp = links = near = None
@@ -277,9 +278,9 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) ->
         own = own.join(mixed, "token")
         own = own.join(near.select("node", "hub", "o"), "node", "left") if near is not None else own.withColumns({"hub": F.lit(None).cast("long"), "o": F.lit(None).cast("long")})
         join(linked(checkpointed(candidates(own, nodes, percent, fits)), cut, percent))
-    named = nodes.select("node", "rep", "d1", "d2").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    named = nodes.select("node", "rep", "d2").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    named = named.join(name, "comp").select("d1", "d2", "component_id")
+    named = named.join(name, "comp").select(F.col("node").alias("d1"), "d2", "component_id")
     out = every.select("doc_id", "n", "d1", "d2").join(named, ["d1", "d2"], "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 

@@ -230,18 +230,18 @@ def sliding_time_topm(spark, d):
 def _aggregate(name: str, spark_agg, sql_agg: str):
     def f(spark, d):
         r = ranked(spark, d).crossJoin(F.broadcast(newest(spark, d))).filter(F.col("seq") > F.col("last") - W_)
-        return r.crossJoin(F.broadcast(T.objects_part(spark, d).agg(F.count("*").alias("n")))).groupBy("oid").agg(spark_agg.alias("v"))
+        return r.crossJoin(F.broadcast(T.objects_part(spark, d).agg(F.count("*").alias("n")))).groupBy("oid").agg(spark_agg().alias("v"))
 
     f.__name__ = name
     query("r", "q", "nn", then=f"SELECT oid, {sql_agg} AS v FROM r, nn WHERE seq > (SELECT max(seq) FROM q) - {W_} GROUP BY oid")(f)
 
 
-_aggregate("agg_sum_rank", F.sum("rnk"), "CAST(sum(rnk) AS BIGINT)")
-_aggregate("agg_borda", F.sum(F.col("n") - F.col("rnk")), "CAST(sum(n - rnk) AS BIGINT)")
-_aggregate("agg_avg_rank", F.avg("rnk"), "avg(rnk)")
-_aggregate("agg_median_rank", F.expr("percentile(rnk, 0.5)"), "quantile_cont(rnk, 0.5)")
-_aggregate("agg_quantile_rank", F.expr("percentile(rnk, 0.9)"), "quantile_cont(rnk, 0.9)")
-_aggregate("agg_majority", F.sum((F.col("rnk") == 1).cast("long")), "CAST(sum(CASE WHEN rnk = 1 THEN 1 ELSE 0 END) AS BIGINT)")
+_aggregate("agg_sum_rank", lambda: F.sum("rnk"), "CAST(sum(rnk) AS BIGINT)")
+_aggregate("agg_borda", lambda: F.sum(F.col("n") - F.col("rnk")), "CAST(sum(n - rnk) AS BIGINT)")
+_aggregate("agg_avg_rank", lambda: F.avg("rnk"), "avg(rnk)")
+_aggregate("agg_median_rank", lambda: F.expr("percentile(rnk, 0.5)"), "quantile_cont(rnk, 0.5)")
+_aggregate("agg_quantile_rank", lambda: F.expr("percentile(rnk, 0.9)"), "quantile_cont(rnk, 0.9)")
+_aggregate("agg_majority", lambda: F.sum((F.col("rnk") == 1).cast("long")), "CAST(sum(CASE WHEN rnk = 1 THEN 1 ELSE 0 END) AS BIGINT)")
 
 
 @query("r", "q", then=f"SELECT a.oid AS winner, b.oid AS loser, count(*) AS wins FROM r a JOIN r b ON a.seq = b.seq AND a.rnk < b.rnk WHERE a.seq > (SELECT max(seq) FROM q) - {W_} GROUP BY a.oid, b.oid")

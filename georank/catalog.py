@@ -113,8 +113,8 @@ def continuous(c: DataFrame, last: DataFrame, w: int = W_, m: int = M_) -> DataF
 
 #: Every window's values by running sums of contributions that come and go.
 RUN = f"""
-dl AS (SELECT oid, at, sum(d) AS d, sum(t) AS t FROM (SELECT oid, seq AS at, num AS d, 1 AS t FROM {{c}} UNION ALL SELECT oid, seq + {W_}, -num, -1 FROM {{c}}) GROUP BY oid, at),
-iv AS (SELECT oid, at AS since, lead(at, 1, (SELECT max(seq) + 1 FROM {{q}})) OVER w AS until, sum(d) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS num, sum(t) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS t FROM dl WINDOW w AS (PARTITION BY oid ORDER BY at)),
+dl AS (SELECT oid, tm, sum(d) AS d, sum(t) AS t FROM (SELECT oid, seq AS tm, num AS d, 1 AS t FROM {{c}} UNION ALL SELECT oid, seq + {W_}, -num, -1 FROM {{c}}) GROUP BY oid, tm),
+iv AS (SELECT oid, tm AS since, lead(tm, 1, (SELECT max(seq) + 1 FROM {{q}})) OVER w AS until, sum(d) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS num, sum(t) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS t FROM dl WINDOW w AS (PARTITION BY oid ORDER BY tm)),
 wv AS (SELECT oid, CAST(num AS BIGINT) AS num, unnest(range(greatest(since, {W_ - 1}), least(until, (SELECT max(seq) + 1 FROM {{q}})))) AS win FROM iv WHERE t > 0),
 tp AS (SELECT win, row_number() OVER (PARTITION BY win ORDER BY num DESC, oid) AS pos, oid, num FROM wv QUALIFY pos <= {M_})
 """

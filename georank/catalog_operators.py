@@ -259,12 +259,9 @@ def sql_topm(spark, d):
 
 @query("r", "nn", then="SELECT oid, CAST(sum(n - rnk) AS BIGINT) AS score FROM r, nn GROUP BY oid")
 def udaf_borda(spark, d):
-    import pandas as pd
-
-    @F.pandas_udf("long")
-    def borda_score(rnk: pd.Series, n: pd.Series) -> int:
-        return int((n - rnk).sum())
+    from pyspark.sql.functions import PandasUDFType
 
+    borda_score = F.pandas_udf(lambda rnk, n: int((n - rnk).sum()), "long", PandasUDFType.GROUPED_AGG)
     n = F.broadcast(T.objects_part(spark, d).agg(F.count("*").alias("n")))
     return ranked(spark, d).crossJoin(n).groupBy("oid").agg(borda_score("rnk", "n").alias("score"))
 

@@ -467,3 +467,149 @@ def slack_tradeoff(spark, d):
     leaf = s.groupBy("slack", "x", "y").agg(F.min("lvl").alias("lvl"))
     return leaf.groupBy("slack").agg(F.count("*").alias("leaves"), F.avg("lvl").alias("mean_level"))
 
+
+
+@query()
+def exact_pruned_topm(spark, d):
+    """The monitor's machinery on exact contributions: thresholds, aging bound and validation, no estimates."""
+    o, q = base(spark, d)
+    n = o.count()
+    c = contribs(spark, d).withColumn("o", -F.col("num"))
+    out = R.replay(R.prepare(c, q, "o"), n, W_, M_, n, {"exact": {"aging": True, "buffer": 10}}, BLOCK)
+    return out.select("win", F.col("pos").cast("long").alias("pos"), "oid", "num", (F.col("num") / F.lit(float(W_))).alias("pop"))
+
+
+ORACLES["exact_pruned_topm"] = run_sql("c")
+
+GAIN = f"g AS (SELECT seq, oid, CAST(sum(num) AS BIGINT) AS gain FROM (SELECT seq, oid, num FROM ec UNION ALL SELECT seq + {W_}, oid, -num FROM ec) WHERE seq BETWEEN {W_} AND (SELECT max(seq) FROM q) GROUP BY seq, oid)"
+
+
+def _gains(spark, d):
+    e = est(spark, d).select("seq", "oid", "num")
+    both = e.unionAll(e.select(F.col("seq") + W_, "oid", -F.col("num"))).crossJoin(F.broadcast(newest(spark, d)))
+    return both.filter((F.col("seq") >= W_) & (F.col("seq") <= F.col("last"))).groupBy("seq", "oid").agg(F.sum("num").alias("gain"))
+
+
+@query()
+def object_gain(spark, d):
+    """What each object reached by the new or the expired query gains at each shift, doubled."""
+    return _gains(spark, d)
+
+
+@query()
+def max_gain_per_shift(spark, d):
+    return _gains(spark, d).groupBy("seq").agg(F.greatest(F.max("gain"), F.lit(0)).alias("gain"))
+
+
+ORACLES["object_gain"] = sql("ec", "q", then="").rstrip() + ", " + GAIN + " SELECT seq, oid, gain FROM g"
+ORACLES["max_gain_per_shift"] = sql("ec", "q", then="").rstrip() + ", " + GAIN + " SELECT seq, greatest(max(gain), 0) AS gain FROM g GROUP BY seq"
+
+
+@query("ec", "q", then=f"SELECT oid, CAST(sum(num) AS BIGINT) AS num FROM ec WHERE seq > (SELECT max(seq) FROM q) - {W_} GROUP BY oid")
+def reuse_equals_scratch(spark, d):
+    """The newest window's numerators from those of a third of a window ago, by what came and what went since."""
+    back = W_ // 3
+    e = est(spark, d).select("seq", "oid", "num").crossJoin(F.broadcast(newest(spark, d)))
+    age = F.col("last") - F.col("seq")
+    old = e.filter((age >= back) & (age < W_ + back)).select("oid", "num", F.lit(1).alias("t"))
+    came = e.filter(age < back).select("oid", "num", F.lit(1))
+    went = e.filter((age >= W_) & (age < W_ + back)).select("oid", -F.col("num"), F.lit(-1))
+    return old.unionAll(came).unionAll(went).groupBy("oid").agg(F.sum("num").alias("num"), F.sum("t").alias("t")).filter("t > 0").drop("t")
+
+
+@query("ec", "q", then=f"SELECT oid, CAST(sum(num) AS BIGINT) AS num, CAST(sum(lo_rank) AS BIGINT) AS lo_sum FROM ec WHERE seq > (SELECT max(seq) FROM q) - {W_} GROUP BY oid")
+def candidate_scratch(spark, d):
+    """Every candidate's numerator over all live queries, and the sum that bounds its error."""
+    e = est(spark, d).crossJoin(F.broadcast(newest(spark, d))).filter(F.col("seq") > F.col("last") - W_)
+    return e.groupBy("oid").agg(F.sum("num").alias("num"), F.sum("lo_rank").alias("lo_sum"))
+
+
+PAIRS = f"""bk AS MATERIALIZED ({BLK}),
+lq AS (SELECT seq, lvl, cx, cy FROM q JOIN lc USING (x, y)),
+pr AS (SELECT DISTINCT a.lvl, a.cx, a.cy, b.lvl AS olvl, b.cx AS ocx, b.cy AS ocy FROM lq a JOIN lq b ON a.seq = b.seq + {W_}),
+nb AS (SELECT pr.*, blk, first_lo, greatest(abs(xmin - ocx * (1024 >> olvl)), abs(xmax - ocx * (1024 >> olvl)), abs(xmin - ((ocx + 1) * (1024 >> olvl) - 1)), abs(xmax - ((ocx + 1) * (1024 >> olvl) - 1))) AS ax,
+  greatest(abs(ymin - ocy * (1024 >> olvl)), abs(ymax - ocy * (1024 >> olvl)), abs(ymin - ((ocy + 1) * (1024 >> olvl) - 1)), abs(ymax - ((ocy + 1) * (1024 >> olvl) - 1))) AS ay FROM pr JOIN bk USING (lvl, cx, cy))
+SELECT nb.lvl, nb.cx, nb.cy, nb.olvl, nb.ocx, nb.ocy, nb.blk, {2 + SLACK} * nb.first_lo AS low2, {2 + SLACK} * coalesce(min(ob.first_lo), (SELECT n FROM nn)) AS high2
+FROM nb LEFT JOIN bk ob ON ob.lvl = nb.olvl AND ob.cx = nb.ocx AND ob.cy = nb.ocy AND ob.min_d2 > nb.ax * nb.ax + nb.ay * nb.ay
+GROUP BY nb.lvl, nb.cx, nb.cy, nb.olvl, nb.ocx, nb.ocy, nb.blk, nb.first_lo"""
+
+
+@query()
+def block_bounds(spark, d):
+    """For each pair of new and expired leaf: of each block of the new one, doubled estimates at most (new) and at least (expired).
+
+    The block of the expired leaf's list whose least distance first exceeds the block's greatest one bounds its members' ranks from above.
+    """
+    o, listed = _list(spark, d)
+    blk = B.blocks(listed, o)
+    q = T.queries_uniform(spark, d)
+    leaf = q.select("seq", "x", "y").join(_leaves(spark, d), ["x", "y"]).select("seq", *B.CELL)
+    old = leaf.select((F.col("seq") + W_).alias("seq"), *[F.col(c).alias(f"o{c}") for c in B.CELL])
+    pair = leaf.join(old, "seq").select(*B.CELL, "olvl", "ocx", "ocy").distinct()
+    pair = lattice.box(pair, "olvl", "ocx", "ocy")
+    far = lambda lo, hi, a, b: F.greatest(*[F.abs(F.col(i) - F.col(j)) for i in (lo, hi) for j in (a, b)])
+    ax, ay = far("xmin", "xmax", "x0", "x1"), far("ymin", "ymax", "y0", "y1")
+    new = pair.join(blk, B.CELL).select(*B.CELL, "olvl", "ocx", "ocy", "blk", "first_lo", (ax * ax + ay * ay).alias("far"))
+    heads = blk.select(*[F.col(c).alias(f"o{c}") for c in B.CELL], F.col("first_lo").alias("olo"), "min_d2")
+    hit = F.min(F.when(F.col("min_d2") > F.col("far"), F.col("olo")))
+    n = F.broadcast(o.agg(F.count("*").alias("n")))
+    out = new.join(heads, ["olvl", "ocx", "ocy"]).groupBy(*B.CELL, "olvl", "ocx", "ocy", "blk", "first_lo").agg(hit.alias("hit")).crossJoin(n)
+    return out.select(*B.CELL, "olvl", "ocx", "ocy", "blk", ((2 + SLACK) * F.col("first_lo")).alias("low2"), ((2 + SLACK) * F.coalesce("hit", "n")).alias("high2"))
+
+
+ORACLES["block_bounds"] = sql("rl", "o", "q", "lc", "nn", then="").rstrip() + ", " + PAIRS
+
+
+@query()
+def knn_est_topm(spark, d):
+    o, q = base(spark, d)
+    c = B.est_contributions(knn(spark, d).drop("rnk"), q, o, SLACK)
+    return continuous(c.select("seq", "oid", "num"), newest(spark, d)).withColumn("pop", F.col("num") / F.lit(2.0 * W_))
+
+
+ORACLES["knn_est_topm"] = knn_sql(f", kc AS MATERIALIZED (SELECT seq, oid, 2 * (n + 1) - {2 + SLACK} * lo_rank AS num FROM km JOIN q USING (seq) JOIN lc USING (x, y) JOIN rl USING (lvl, cx, cy, oid), nn)", "nn", "lc", "rl") + "," + RUN.format(c="kc", q="q") + f"SELECT win, pos, oid, num, num / {2 * W_}.0::DOUBLE AS pop FROM tp"
+
+
+@query()
+def grid_vs_quad_cells(spark, d):
+    """Cells of the queries' leaves, against those of the uniform grid that is fine enough for all of them."""
+    leaf = _leaves(spark, d)
+    return leaf.groupBy().agg(F.countDistinct(*B.CELL).alias("quad_leaves"), F.pow(F.lit(4.0), F.max("lvl")).alias("grid_cells"))
+
+
+@query()
+def quad_leaves_small(spark, d):
+    """The eager tree over the facilities as objects, to level 4; cells that would split further are marked."""
+    f = T.facilities(spark, d).select(F.col("fid").alias("oid"), "x", "y")
+    return B.partition(f, SLACK, max_level=4)
+
+
+def _sweep(spark, d, modes):
+    out = monitors(spark, d, modes).select("monitor", "win", "opq_validation", "opq_total", "outcome").distinct()
+    return out.groupBy("monitor").agg(F.count("*").alias("windows"), F.avg("opq_validation").alias("opq_validation"), F.avg("opq_total").alias("opq_total"), F.avg((F.col("outcome").isin("block", "object")).cast("double")).alias("kept"))
+
+
+@query()
+def sweep_window(spark, d):
+    return _sweep(spark, d, {f"w{w}": {"w": w, "aging": True, "buffer": 10} for w in (100, 200, 400, 800)})
+
+
+@query()
+def sweep_m(spark, d):
+    return _sweep(spark, d, {f"m{m}": {"m": m, "aging": True, "buffer": 10} for m in (1, 5, 10, 20, 50, 100)})
+
+
+@query()
+def sweep_block_size(spark, d):
+    """The number of objects computed doesn't depend on the block size."""
+    return _sweep(spark, d, {f"b{b}": {"block": b, "aging": True, "buffer": 10} for b in (32, 64, 128, 256, 512)})
+
+
+@query()
+def sweep_radius(spark, d):
+    """Mean number of objects that the exact baseline computes per shift, by radius (1 to 16 % of the side)."""
+    o, out = T.objects_part(spark, d), None
+    for r in (10, 20, 41, 82, 164):
+        m = M.range_matches(o, T.queries_uniform(spark, d, r)).groupBy().agg(F.lit(r).alias("r"), F.count("*").alias("matches"))
+        out = m if out is None else out.unionAll(m)
+    return out

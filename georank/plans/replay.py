@@ -20,17 +20,18 @@ def prepare(contribs: DataFrame, queries: DataFrame, order: str = "lo_rank") ->
 
 
 def replay(prepared: DataFrame, n: int, w: int, m: int, cmax: int, modes: dict[str, dict], block: int = 128) -> DataFrame:
-    """Results and costs per window of each named monitor; monitors run beside one another, shifts of one are sequential."""
+    """Results and costs per window of each named monitor; a mode may set its own w, m and block. Monitors run beside one another, shifts of one are sequential."""
     names = F.array(*[F.lit(k) for k in modes])
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("seq")
-        rows, live, mon = [], [], Monitor(n, w, m, cmax, block, **modes[key[0]])
+        own = {"w": w, "m": m, "block": block} | modes[key[0]]
+        rows, live, mon = [], [], Monitor(n, cmax=cmax, **own)
         for i, (seq, oids, nums) in enumerate(zip(pdf.seq, pdf.oids, pdf.nums)):
-            q = reached(list(map(int, oids)), list(map(int, nums)), block)
-            if i < w:
+            q = reached(list(map(int, oids)), list(map(int, nums)), own["block"])
+            if i < own["w"]:
                 live.append(q)
-                if i < w - 1:
+                if i < own["w"] - 1:
                     continue
                 res, cost = mon.start(live), {"outcome": "first", "opq_validation": 0, "opq_total": 0}
             else:

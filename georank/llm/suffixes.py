@@ -77,8 +77,8 @@ def suffix_order(reads: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray
     flat, base = np.frombuffer(b"".join(reads), np.uint8), np.concatenate([[0], np.cumsum(size)])[:-1]
     symbol = np.zeros(m, np.uint8)
     known = np.zeros(m, bool)
-    lcp = np.zeros(m, np.int32)
-    read, length = np.arange(m), np.zeros(m, np.int64)
+    lcp = np.zeros(m, np.int16)
+    read, length = np.arange(m, dtype=np.int32), np.zeros(m, np.int16)
     last = np.arange(m)
     for j in range(1, int(size.max(initial=0)) + 1):
         live = np.flatnonzero(size >= j)
@@ -104,14 +104,14 @@ def suffix_order(reads: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray
         check = check[(check > m) & (check < total)] - m
         a, b = order[check - 1], order[check]
         same = symbol[a] == symbol[b]
-        value = np.zeros(len(check), np.int32)
+        value = np.zeros(len(check), np.int16)
         if same.any():
             lo, hi = a[same] + 1, b[same] + 1
             by = np.argsort(lo, kind="stable")
             cut = np.empty(2 * len(by), np.int64)
             cut[::2], cut[1::2] = lo[by], hi[by]
-            least = np.empty(len(by), np.int32)
-            least[by] = np.minimum.reduceat(np.append(lcp, 0), cut)[::2]
+            least = np.empty(len(by), np.int16)
+            least[by] = np.minimum.reduceat(np.append(lcp, np.int16(0)), cut)[::2]
             value[same] = least + 1
         grown[2][check + m] = value
         if m < total:
@@ -155,6 +155,10 @@ def spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     many = F.count("*").over(Window.partitionBy("anchor"))
     shared = checkpointed(reads.withColumn("many", many).filter("many > 1").drop("many"))
     kinds = shared.groupBy("anchor", "ident", "windows").agg(F.count("*").alias("times"), F.min(F.struct("rid", "start")).alias("at"))
+    # An anchor with one kind of read is a collection of one: all its windows occur as often as the read does.
+    kinds = checkpointed(kinds.withColumn("kinds", F.count("*").over(Window.partitionBy("anchor"))))
+    alone = kinds.filter("kinds = 1").select("anchor", "ident", "windows", F.array(F.lit(0)).alias("a"), F.array("windows").alias("b"))
+    kinds = kinds.filter("kinds > 1")
     asked = kinds.groupBy(F.col("at.rid").alias("rid")).agg(F.collect_list(F.struct("anchor", "ident", "windows", "times", F.col("at.start").alias("start"))).alias("asked"))
 
     def take(batches):
@@ -178,7 +182,7 @@ def spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
     dealt = texts.withColumn("bucket", F.pmod(F.xxhash64("anchor"), F.lit(buckets)))
     marks = dealt.groupBy("bucket").applyInArrow(build, "anchor long, ident long, windows int, a array<int>, b array<int>")
-    hits = shared.join(marks, ["anchor", "ident", "windows"]).select("rid", F.explode(F.arrays_zip("a", "b")).alias("r"), "start")
+    hits = shared.join(marks.unionByName(alone), ["anchor", "ident", "windows"]).select("rid", F.explode(F.arrays_zip("a", "b")).alias("r"), "start")
     return hits.groupBy("rid").agg(F.collect_list(F.struct((F.col("start") + F.col("r.a")).alias("a"), (F.col("start") + F.col("r.b") + length - 1).alias("b"))).alias("spans"))
 
 

@@ -26,19 +26,18 @@ FORMAT = "part int, group_no long, bits boolean, n_ids long, doc_ids array<long>
 
 def to_planes(block: np.ndarray, bits: bool) -> list[bytes]:
     """Planes of a block of unsigned 32-bit ids, lowest first; planes above the highest id are left out."""
-    raw = np.ascontiguousarray(block, "<u4").view(np.uint8).reshape(-1, 4)
+    width = max(1, int(block.max(initial=0)).bit_length())
     if bits:
-        raw = np.unpackbits(raw, axis=1, bitorder="little")
-    width = int(np.flatnonzero(raw.any(axis=0))[-1]) + 1 if raw.any() else 1
-    return [(np.packbits(p) if bits else np.ascontiguousarray(p)).tobytes() for p in raw.T[:width]]
+        return [np.packbits((block >> np.uint32(k)).astype(np.uint8) & 1).tobytes() for k in range(width)]
+    return [(block >> np.uint32(k)).astype(np.uint8).tobytes() for k in range(0, width, 8)]
 
 
 def from_planes(planes: list[bytes], n: int, bits: bool) -> np.ndarray:
-    raw = np.zeros((n, 32 if bits else 4), np.uint8)
+    out = np.zeros(n, "<u4")
     for i, p in enumerate(planes):
         p = np.frombuffer(p, np.uint8)
-        raw[:, i] = np.unpackbits(p, count=n) if bits else p
-    return (np.packbits(raw, axis=1, bitorder="little") if bits else raw).view("<u4").ravel()
+        out |= (np.unpackbits(p, count=n) if bits else p).astype("<u4") << np.uint32(i if bits else 8 * i)
+    return out
 
 
 def pack(ids: np.ndarray, bits: bool = False, level: int = 1) -> tuple[list[int], bytes]:

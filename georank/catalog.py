@@ -101,9 +101,10 @@ def newest(spark: SparkSession, sf_dir: str, name: str = "last") -> DataFrame:
 
 
 def last_window(spark: SparkSession, sf_dir: str, w: int = W_) -> DataFrame:
-    """The newest window's popularity; its end is read from the stream, in the plan."""
-    c = contribs(spark, sf_dir).crossJoin(F.broadcast(newest(spark, sf_dir)))
-    c = c.filter(F.col("seq") > F.col("last") - w)
+    """The newest window's popularity. Its end is read from the stream, in the plan; only its queries are matched and ranked."""
+    o, q = base(spark, sf_dir)
+    q = q.crossJoin(F.broadcast(newest(spark, sf_dir))).filter(F.col("seq") > F.col("last") - w)
+    c = P.contributions(M.rank_matches(M.range_matches(o, q)), o)
     return c.groupBy("oid").agg(F.sum("num").alias("num")).withColumn("pop", F.col("num") / F.lit(float(w)))
 
 

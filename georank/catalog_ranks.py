@@ -269,7 +269,7 @@ def kemeny_small(spark, d):
         order = min(itertools.permutations(ids), key=lambda p: (cost(p), p))
         return pd.DataFrame({"pos": range(1, len(order) + 1), "oid": order})
 
-    return rows.groupBy(F.lit(1)).applyInPandas(lambda k, p: best(p), "pos int, oid long")
+    return rows.withColumn("g", F.lit(1)).groupBy("g").applyInPandas(best, "pos int, oid long")
 
 
 # Bounds, leaves, index.

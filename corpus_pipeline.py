@@ -29,8 +29,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near duplicates stays: that with the smallest id; of rows with one id, one."""
-    found = checkpointed(jaccard.classes(docs))
+    """One document of each class of near duplicates (five-word shingles, Jaccard 0.8) stays: that with the smallest id; of rows with one id, one."""
+    found = checkpointed(jaccard.classes(docs, width=5, percent=80))
     kept = _only(docs, found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))))
     n, ids = found.agg(F.count("*"), F.countDistinct(F.coalesce("doc_id", F.lit(-1)))).first()
     return kept if n == ids else kept.dropDuplicates(["doc_id"])

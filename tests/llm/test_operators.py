@@ -270,3 +270,44 @@ def test_pipeline_stages_keep_columns(spark, docs, tmp_path):
         out.write.parquet(str(tmp_path / str(k)))
         cur = spark.read.parquet(str(tmp_path / str(k)))
     assert cur.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+
+
+def near_classes(texts, width=5, percent=80):
+    """By brute force, for each row the first row of its class of near duplicates; wordless texts stand alone."""
+    sets = []
+    for t in texts:
+        w = WORD.findall((t or "").translate(LOW))
+        sets.append({tuple(w[k : k + width]) for k in range(max(1, len(w) - width + 1))} if w else set())
+    root = list(range(len(sets)))
+    find = lambda i: i if root[i] == i else find(root[i])
+    for i in range(len(sets)):
+        for j in range(i):
+            if sets[i] and 100 * len(sets[i] & sets[j]) >= percent * len(sets[i] | sets[j]):
+                a, b = find(i), find(j)
+                root[max(a, b)] = min(a, b)
+    return [find(i) for i in range(len(sets))]
+
+
+def near_copies(rnd):
+    """Texts of 200 words with copies that five-word shingles and 0.8 link, that three-word shingles and 0.9 don't, and that neither does."""
+    out = []
+    for edits, tail in ((4, 0), (0, 30), (2, 0), (6, 0), (0, 60), (1, 10), (5, 0)):
+        w = [f"w{rnd.randrange(10**6)}" for _ in range(200)]
+        copy = list(w)
+        for k in range(edits):
+            copy[20 + 30 * k] = f"e{k}"
+        out += [" ".join(w), " ".join(copy + [f"t{rnd.randrange(10**6)}" for _ in range(tail)])]
+    return out
+
+
+def test_pipeline_near_duplicates_equal_brute_force(spark, rows):
+    import corpus_pipeline as c
+
+    copies = near_copies(random.Random(11))
+    texts = [t for _, t, *_ in rows] + copies
+    docs = spark.createDataFrame([(i, t, "en", "s", 0, "") for i, t in enumerate(texts)], SCHEMA)
+    want = {i for i, first in enumerate(near_classes(texts)) if i == first}
+    got = c.near_duplicates(spark, docs, "").collect()
+    assert len(got) == len(want) and {r.doc_id: r.text for r in got} == {i: texts[i] for i in want}
+    at = len(rows)
+    assert [at + 2 * k + 1 in want for k in range(7)] == [False, False, False, True, True, False, True]

@@ -10,6 +10,7 @@ which rows are added up.
 
 from __future__ import annotations
 
+import math
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -19,13 +20,33 @@ from .common import checkpointed, table, words
 
 NAMES = ("word_length", "symbols", "dup_lines", "repeats")
 STEP = 4096
-#: Least standard deviation of each statistic: scatter below it doesn't make a document an outlier.
-FLOOR = (0.15, 0.25, 0.15, 0.16)
-#: Chi-square quantile of 4 degrees of freedom at 1 - 1e-6.
-CUTOFF = 33.377
+#: Least standard deviation of each statistic, for groups in which it hardly varies: one phrase said twice, one repeated line or
+#: one symbol in the shortest text that the base rules leave isn't by itself an outlier there. Larger scatter is left as it is.
+FLOOR = (0.01, 0.16, 0.1, 0.1)
+#: Chi-square quantile of 4 degrees of freedom at 0.99.
+CUTOFF = 13.277
 STARTS, ROUNDS, SALTS = 2, 5, 32
 
 
+def consistency(p: int, share: float) -> float:
+    """What the scatter of a normal sample's central `share` in p dimensions is multiplied by to estimate the whole sample's."""
+    if share >= 1:
+        return 1.0
+
+    def below(k: int, x: float) -> float:
+        out, at = (math.erf(math.sqrt(x / 2)), 1) if k % 2 else (1 - math.exp(-x / 2), 2)
+        while at < k:
+            out -= (x / 2) ** (at / 2) * math.exp(-x / 2) / math.gamma(at / 2 + 1)
+            at += 2
+        return out
+
+    low, high = 0.0, 200.0
+    for _ in range(100):
+        mid = (low + high) / 2
+        low, high = (mid, high) if below(p, mid) < share else (low, mid)
+    return share / below(p + 2, low)
+
+
 def base(docs: DataFrame) -> DataFrame:
     """n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words of whole texts; null texts have no words."""
     text = F.coalesce(docs["text"], F.lit(""))
@@ -59,18 +80,27 @@ def _vector() -> list[Column]:
     return [F.round(x * STEP).cast("long") for x in raw]
 
 
-def _estimate(rows: DataFrame, keys: list[str]) -> DataFrame:
-    """Exact sums of a subset per group, as count, means m0.. and the lower Cholesky factor l00, l10, l11 .. of the floored covariance."""
+def _estimate(rows: DataFrame, keys: list[str], share: float) -> DataFrame:
+    """Exact sums of a subset per group, as count, means m0.. and the lower Cholesky factor l00, l10, l11 .. of the scatter.
+
+    The subset's covariance is made consistent for a normal sample in as many dimensions as vary by more than the floor; only
+    variances that are below the floor then are raised to it.
+    """
     d = len(NAMES)
     salted = rows.groupBy(*keys, "salt").agg(F.count("*").alias("n"), *[F.sum(F.col(f"x{i}").cast("decimal(20,0)")).alias(f"s{i}") for i in range(d)], *[F.sum((F.col(f"x{i}") * F.col(f"x{j}")).cast("decimal(20,0)")).alias(f"p{i}{j}") for i in range(d) for j in range(i + 1)])
     total = salted.groupBy(*keys).agg(F.sum("n").alias("n"), *[F.sum(c).cast("double").alias(c) for c in salted.columns if c[0] in "sp" and c[1:].isdigit()])
     df = total.select(*keys, "n", *[(F.col(f"s{i}") / F.col("n")).alias(f"m{i}") for i in range(d)], *[F.col(f"p{i}{j}") for i in range(d) for j in range(i + 1)])
+    least = [F.lit((FLOOR[i] * STEP) ** 2) for i in range(d)]
+    df = df.select("*", *[(F.col(f"p{i}{j}") / F.col("n") - F.col(f"m{i}") * F.col(f"m{j}")).alias(f"c{i}{j}") for i in range(d) for j in range(i + 1)])
+    live = reduce(lambda a, b: a + b, [(F.col(f"c{i}{i}") > least[i]).cast("int") for i in range(d)])
+    df = df.withColumn("factor", F.array(*[F.lit(consistency(max(k, 1), share)) for k in range(d + 1)])[live])
     for i in range(d):
         for j in range(i + 1):
-            cov = F.col(f"p{i}{j}") / F.col("n") - F.col(f"m{i}") * F.col(f"m{j}") + (F.lit((FLOOR[i] * STEP) ** 2) if i == j else F.lit(0.0))
+            cov = F.col("factor") * F.col(f"c{i}{j}")
+            cov = F.greatest(cov, least[i]) if i == j else cov
             rest = reduce(lambda a, b: a - b, [F.col(f"l{i}{k}") * F.col(f"l{j}{k}") for k in range(j)], cov)
             df = df.withColumn(f"l{i}{j}", F.sqrt(F.greatest(rest, F.lit(1.0))) if i == j else rest / F.col(f"l{j}{j}"))
-    return df.withColumn("logdet", reduce(lambda a, b: a + b, [F.log(F.col(f"l{i}{i}")) for i in range(d)])).drop(*[f"p{i}{j}" for i in range(d) for j in range(i + 1)])
+    return df.withColumn("logdet", reduce(lambda a, b: a + b, [F.log(F.col(f"l{i}{i}")) for i in range(d)])).drop("factor", *[f"{c}{i}{j}" for c in "pc" for i in range(d) for j in range(i + 1)])
 
 
 def _distances(rows: DataFrame, est: DataFrame, keys: list[str]) -> DataFrame:
@@ -119,10 +149,10 @@ def judge(docs: DataFrame, share: float = 0.75, cutoff: float = CUTOFF, rounds:
     med = med.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     off = [F.abs(F.col(f"x{i}") - F.col(f"c{i}")) / (FLOOR[i] * STEP) for i in range(d)]
     begin = good.join(med, ["grp", "salt"]).select("grp", "salt", *xs, F.posexplode(F.array(reduce(lambda a, b: a + b, off), F.greatest(*off))).alias("start", "far"))
-    est = checkpointed(_estimate(_least(begin, keys, _bin(F.col("far")), share), keys))
+    est = checkpointed(_estimate(_least(begin, keys, _bin(F.col("far")), share), keys, share))
     many = good.select("*", F.explode(F.sequence(F.lit(0), F.lit(STARTS - 1))).alias("start"))
     for _ in range(rounds):
-        est = checkpointed(_estimate(_least(_distances(many, est, keys), keys, _bin(F.col("d2")), share), keys))
+        est = checkpointed(_estimate(_least(_distances(many, est, keys), keys, _bin(F.col("d2")), share), keys, share))
     best = est.groupBy("grp").agg(F.min_by(F.struct(*[c for c in est.columns if c not in keys]), F.struct("logdet", "start")).alias("b")).select("grp", "b.*")
     far = named.join(best.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), ["grp", "salt"], "left").withColumnRenamed("n", "h")
     for i in range(d):

@@ -311,3 +311,69 @@ def test_pipeline_near_duplicates_equal_brute_force(spark, rows):
     assert len(got) == len(want) and {r.doc_id: r.text for r in got} == {i: texts[i] for i in want}
     at = len(rows)
     assert [at + 2 * k + 1 in want for k in range(7)] == [False, False, False, True, True, False, True]
+
+
+def robust_distances(x, floor=quality.FLOOR, share=0.75):
+    """Squared robust distances of one group's rows of statistics, by numpy: concentration from two starts, least determinant."""
+    x = np.rint(np.asarray(x) * quality.STEP)
+    least = (np.array(floor) * quality.STEP) ** 2
+    need = math.ceil(share * len(x))
+
+    def nearest(far):
+        bins = np.floor(np.log1p(far) * 256)
+        return x[bins <= np.sort(bins)[need - 1]]
+
+    def fit(part):
+        cov = np.cov(part.T, bias=True)
+        cov = cov * quality.consistency(max(1, int((np.diag(cov) > least).sum())), share)
+        return part.mean(0), cov + np.diag(np.maximum(least - np.diag(cov), 0))
+
+    def distance(m, cov):
+        return np.einsum("ij,ij->i", x - m, np.linalg.solve(cov, (x - m).T).T)
+
+    off = np.abs(x - np.sort(x, 0)[(len(x) + 1) // 2 - 1]) / np.sqrt(least)
+    ends = []
+    for far in (off.sum(1), off.max(1)):
+        est = fit(nearest(far))
+        for _ in range(quality.ROUNDS):
+            est = fit(nearest(distance(*est)))
+        ends.append((np.linalg.slogdet(est[1])[1], distance(*est)))
+    return min(ends, key=lambda e: e[0])[1]
+
+
+def test_quality_consistency():
+    # For p = 2 and share a: a / (a + (1 - a) ln(1 - a)).
+    assert math.isclose(quality.consistency(2, 0.75), 0.75 / (0.75 + 0.25 * math.log(0.25)), rel_tol=1e-9)
+    x = np.random.default_rng(0).normal(size=(400_000, 4))
+    far = (x**2).sum(1)
+    assert math.isclose(1 / x[far <= np.quantile(far, 0.75)].var(), quality.consistency(4, 0.75), rel_tol=0.01)
+
+
+def test_quality_each_statistic_rejects_by_itself(spark):
+    """Texts beside the cutoff in one statistic each: the nearer one stays, the farther one goes; distances equal numpy's."""
+    from statistics import NormalDist
+
+    rnd, n = random.Random(5), 100
+    long = [NormalDist(math.log1p(5), 0.05).inv_cdf((i + 0.5) / 300) for i in range(300)]
+
+    def text(mean, repeat=0, symbols=0, lines=0):
+        chars = round(math.expm1(mean) * n)
+        sizes = [chars // n + (k < chars % n) for k in range(n)]
+        rnd.shuffle(sizes)
+        w = ["".join(rnd.choice("abcdefghijklmnop") for _ in range(size)) for size in sizes]
+        w[50 : 50 + repeat] = w[:repeat]
+        for k in range(symbols):
+            w[70 + k] = "#" + w[70 + k][1:]
+        for k in range(lines + 1 if lines else 0):
+            w[60 + 10 * k] = "\nqqqqq\n"
+        return " ".join(w)
+
+    mid = math.log1p(5)
+    edge = [text(mid + 3.2 * 0.05), text(mid + 4.1 * 0.05), text(mid - 3.2 * 0.05), text(mid - 4.1 * 0.05)]
+    edge += [text(mid, repeat=6), text(mid, repeat=7), text(mid, symbols=2), text(mid, symbols=3), text(mid, lines=2), text(mid, lines=3)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0, "") for i, t in enumerate([text(m) for m in long] + edge)], SCHEMA)
+    got = by_id(quality.judge(docs))
+    assert not any(r.base_failed for r in got.values())
+    assert [got[300 + i].kept for i in range(10)] == [True, False] * 5
+    x = [[math.log1p(r.word_chars / r.n_words), math.log1p(100 * r.n_symbols / r.n_words) / 2, math.sqrt(20 * r.n_dup_lines / r.n_words) / 2, math.sqrt(r.n_repeat_words / r.n_words)] for r in (got[i] for i in range(310))]
+    assert np.allclose([got[i].distance for i in range(310)], robust_distances(x), rtol=1e-6, atol=1e-6)

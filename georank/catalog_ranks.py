@@ -451,15 +451,23 @@ def approx_ratio(spark, d):
 
 @query()
 def overlap_at_k(spark, d):
-    """Mean share of the approximate top m within the exact top k (here k = m), by m and by min(m, k)."""
-    a, e = approx_topm_batch(spark, d).select("win", "oid"), continuous_topm_count(spark, d).select("win", "oid")
-    hit = a.join(e.withColumn("hit", F.lit(1)), ["win", "oid"], "left").groupBy("win").agg((F.count("hit") / F.lit(float(M_))).alias("o"))
-    return hit.groupBy().agg(F.round(F.avg("o"), 9).alias("overlap"))
+    """For each m and k, the mean over windows of how many of the approximate top m are in the exact top k (ties by oid), by m and by min(m, k)."""
+    ms, ks = (10, 50, 100), tuple(range(10, 201, 10))
+    last = newest(spark, d)
+    a = continuous(est(spark, d).select("seq", "oid", "num"), last, m=max(ms)).select("win", "oid", F.col("pos").alias("a_pos"))
+    e = continuous(contribs(spark, d), last, m=max(ks)).select("win", "oid", F.col("pos").alias("e_pos"))
+    # As the exact side lists at least as many objects, every window is in it.
+    wins = e.agg(F.count_distinct("win").alias("windows"))
+    both = a.join(e, ["win", "oid"]).groupBy("a_pos", "e_pos").agg(F.count("*").alias("n"))
+    grid = spark.createDataFrame([(m, k) for m in ms for k in ks], "m int, k int")
+    hit = grid.join(F.broadcast(both), (F.col("a_pos") <= F.col("m")) & (F.col("e_pos") <= F.col("k")), "left").groupBy("m", "k").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("hits"))
+    mean = lambda by: F.round(F.col("hits") / F.col("windows") / by, 9)
+    return hit.crossJoin(F.broadcast(wins)).select("m", "k", mean(F.col("m")).alias("overlap_over_m"), mean(F.least("m", "k")).alias("overlap_over_min_mk"))
 
 
 @query()
 def slack_tradeoff(spark, d):
-    """Index entries within reach and mean leaf level for slack 1 to 5."""
+    """Places of leaves and their mean level for slack 1 to 5; the index's entries and bytes, and the ratio, are not computed."""
     o, q = base(spark, d)
     up = B.ancestors(q)
     b = B.rank_bounds(B.cell_distances(o, up.select(*B.CELL).distinct())).groupBy(*B.CELL).agg(F.max((F.col("hi_rank") - F.col("lo_rank")) / F.col("lo_rank")).alias("need"))

@@ -108,3 +108,30 @@ def test_continuous_equals_brute_force(spark):
     for r in rows:
         got.setdefault(r.win, []).append((r.oid, r.num))
     assert [got.get(i, []) for i in range(6, 70)] == list(brute(stream, 7, 4))
+
+
+def test_overlap_at_every_m_and_k_equals_brute_force(spark, sf):
+    from georank import catalog
+    from georank import catalog_ranks as C
+
+    def tops(rows, m):
+        by, out, sums, touched = {}, {}, {}, {}
+        for seq, oid, num in rows:
+            by.setdefault(seq, []).append((oid, num))
+        for seq in range(last + 1):
+            for at, sign in ((seq, 1), (seq - catalog.W_, -1)):
+                for oid, num in by.get(at, ()):
+                    sums[oid] = sums.get(oid, 0) + sign * num
+                    touched[oid] = touched.get(oid, 0) + sign
+            if seq >= catalog.W_ - 1:
+                out[seq] = [oid for _, oid in sorted((-sums[o], o) for o in sums if touched[o])[:m]]
+        return out
+
+    last = catalog.newest(spark, sf).first()["last"]
+    read = lambda df: [tuple(r) for r in df.select("seq", "oid", "num").collect()]
+    a, e = tops(read(C.est(spark, sf)), 100), tops(read(catalog.contribs(spark, sf)), 200)
+    got = {(r.m, r.k): (r.overlap_over_m, r.overlap_over_min_mk) for r in C.overlap_at_k(spark, sf).collect()}
+    assert set(got) == {(m, k) for m in (10, 50, 100) for k in range(10, 201, 10)}
+    for (m, k), (by_m, by_min) in got.items():
+        hits = sum(len(set(a[w][:m]) & set(e[w][:k])) for w in e) / len(e)
+        assert abs(by_m - hits / m) < 1e-8 and abs(by_min - hits / min(m, k)) < 1e-8

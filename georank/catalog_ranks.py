@@ -413,8 +413,8 @@ def shift_outcomes(spark, d):
 
 
 @query("m", "q", then=f"SELECT seq, count(DISTINCT oid) AS opq FROM (SELECT q.seq, m.oid FROM q LEFT JOIN m ON m.seq = q.seq UNION ALL SELECT m.seq + {W_}, m.oid FROM m WHERE m.seq + {W_} <= (SELECT max(seq) FROM q)) t WHERE seq >= {W_} GROUP BY seq")
-def opq_baseline(spark, d):
-    o, q = base(spark, d)
+def opq_baseline(spark, d, r: int = R_):
+    o, q = base(spark, d, r)
     m = M.range_matches(o, q).select("seq", "oid")
     last = F.broadcast(newest(spark, d))
     late = m.select((F.col("seq") + W_).alias("seq"), "oid").crossJoin(last).filter("seq <= last").drop("last")
@@ -616,8 +616,8 @@ def sweep_block_size(spark, d):
 @query()
 def sweep_radius(spark, d):
     """Mean number of objects that the exact baseline computes per shift, by radius (1 to 16 % of the side)."""
-    o, out = T.objects_part(spark, d), None
+    out = None
     for r in (10, 20, 41, 82, 164):
-        m = M.range_matches(o, T.queries_uniform(spark, d, r)).groupBy().agg(F.lit(r).alias("r"), F.count("*").alias("matches"))
+        m = opq_baseline(spark, d, r).groupBy().agg(F.lit(r).alias("r"), F.avg("opq").alias("opq"))
         out = m if out is None else out.unionAll(m)
     return out

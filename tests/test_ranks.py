@@ -135,3 +135,18 @@ def test_overlap_at_every_m_and_k_equals_brute_force(spark, sf):
     for (m, k), (by_m, by_min) in got.items():
         hits = sum(len(set(a[w][:m]) & set(e[w][:k])) for w in e) / len(e)
         assert abs(by_m - hits / m) < 1e-8 and abs(by_min - hits / min(m, k)) < 1e-8
+
+
+def test_sweep_radius_is_the_baselines_mean_per_shift(spark, sf):
+    from georank import catalog
+    from georank import catalog_ranks as C
+
+    got = {r.r: r.opq for r in C.sweep_radius(spark, sf).collect()}
+    assert sorted(got) == [10, 20, 41, 82, 164]
+    for radius in (10, 41):
+        o, q = catalog.base(spark, sf, radius)
+        reach = {}
+        for r in M.range_matches(o, q).collect():
+            reach.setdefault(r.seq, set()).add(r.oid)
+        shifts = [len(reach.get(s, set()) | reach.get(s - catalog.W_, set())) for s in range(catalog.W_, q.count())]
+        assert abs(got[radius] - sum(shifts) / len(shifts)) < 1e-9

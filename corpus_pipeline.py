@@ -66,7 +66,8 @@ STAGES = [
     ("token ids", token_ids),
 ]
 
-#: Robust estimates and BPE are beyond SQL; tests hold stages against brute force.
+#: Robust estimates and BPE are beyond SQL. Tests hold the near-duplicate stage's rows and the robust distances against brute
+#: force; of the other stages, only the operators are compared, not the stages' rows.
 ORACLE_SQL = None
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import tempfile
 import uuid
 
 import numpy as np
@@ -33,21 +34,51 @@ def id_crc(doc_id: Column) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary"))
 
 
+def _shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder that the session names. Where it names none, a local session takes a temporary one, a cluster its warehouse."""
+    sc = spark.sparkContext
+    if not sc._jsc.sc().getCheckpointDir().isDefined():
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        own = os.path.join(tempfile.gettempdir(), "checkpoints", str(os.getpid())) if sc.master.startswith("local[") or sc.master == "local" else f"{spark.conf.get('spark.sql.warehouse.dir')}/checkpoints"
+        sc.setCheckpointDir(folder or own)
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Cut lineage through the shared checkpoint folder (set here only where the session has none)."""
-    sc = df.sparkSession.sparkContext
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(folder or f"/tmp/checkpoints/{os.getpid()}")
+    _shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
     """A new path in the shared folder that all executors and the driver reach."""
-    sc = spark.sparkContext
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or f"/tmp/checkpoints/{os.getpid()}")
-    return f"{sc._jsc.sc().getCheckpointDir().get()}/{name}-{uuid.uuid4().hex}"
+    return f"{_shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def stored(df: DataFrame, name: str = "step") -> DataFrame:
+    """df as Parquet in the shared folder, reread. The shuffle files behind it go as soon as it is written."""
+    spark = df.sparkSession
+    path, before = shared_path(spark, name), spark.conf.get(_CLEAN, None)
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_CLEAN) if before is None else spark.conf.set(_CLEAN, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def dropped(*steps: DataFrame | None) -> None:
+    """Delete what `stored` has written, once its successors stand."""
+    for df in steps:
+        if df is not None:
+            spark = df.sparkSession
+            at = spark._jvm.org.apache.hadoop.fs.Path(df.stored_at)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def parts(spark: SparkSession) -> int:

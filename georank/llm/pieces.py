@@ -13,6 +13,8 @@ import zlib
 
 #: Entries of a worker's caches of words and of pieces; a cache is emptied when full, so memory stays bounded.
 WORDS, PIECES = 800_000, 600_000
+#: Characters up to which a word's ranks are scanned for the least.
+SHORT = 128
 #: Plain pieces: letters of Basic Latin and Latin-1, which no tokenizer here composes or splits, then signs.
 PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?|]*)").fullmatch
 _OPEN: dict[tuple, object] = {}
@@ -83,37 +85,75 @@ class LibraryPieces:
         """Ids as little-endian unsigned 32-bit integers."""
         return self.encode_all([text])[0]
 
-    def encode_all(self, texts: list[str]) -> list[bytes]:
+    def _learn(self, seen: set[str]) -> None:
+        """Put the ids of all pieces of `seen` that stand after a space and have no white space at their ends into the cache."""
         pieces, words = self.pieces, self.words
-        cut = [t.split(" ") for t in texts]
-        firsts = self._bytes([c[0] for c in cut])
-        seen = set().union(*[c[1:] for c in cut])
         odd = seen.difference(pieces)
         if len(pieces) + len(odd) > PIECES:
             pieces.clear()
             odd = seen
-        white = {x for x in odd if not x or x[0].isspace() or x[-1].isspace()}
         if len(words) > WORDS:
             words.clear()
-        plain = {x: m.groups() for x in odd - white if (m := PLAIN(x))}
+        plain = {x: m.groups() for x in odd if (m := PLAIN(x))}
         words[""] = b""
         letters = list({w for w, _ in plain.values() if w not in words})
         words.update(zip(letters, self._spaced(letters)))
-        new = [" " + x for x in odd - white if x not in plain] + list({s for _, s in plain.values() if s not in words})
+        new = [" " + x for x in odd if x not in plain] + list({s for _, s in plain.values() if s not in words})
         if new:
             words.update(zip(new, self._bytes(new)))
         pieces.update((x, words[m[0]] + words[m[1]]) for x, m in plain.items())
-        for x in odd - white - plain.keys():
+        for x in odd - plain.keys():
             pieces[x] = words.pop(" " + x)
-        out = []
-        for c, first in zip(cut, firsts):
-            if (white and not white.isdisjoint(c[1:])) or c[0][:1].isspace() or c[0][-1:].isspace() or (not c[0] and len(c) > 1):
-                out.append(self._with_white_space(c[0], c[1:]))
-            else:
-                out.append(first + b"".join(map(pieces.__getitem__, c[1:])))
-        for x in [x for x in odd if len(x) >= 64]:
-            pieces.pop(x, None)
-        return out
+
+    def encode_column(self, col):
+        """Ids of all texts of an Arrow column in one array, and each text's offset (texts + 1 entries); null is empty.
+
+        The column is cut at spaces and dictionary-encoded in Arrow, so that Python sees distinct pieces only.
+        """
+        import pyarrow.compute as pc
+
+        np = self.np
+        lists = pc.split_pattern(pc.fill_null(col, ""), " ")
+        count = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+        coded = lists.flatten().dictionary_encode()
+        names, place = coded.dictionary.to_pylist(), coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        begin = np.cumsum(count) - count
+        firsts = [names[i] for i in place[begin].tolist()]
+        white = np.array([not x or x[0].isspace() or x[-1].isspace() for x in names], bool)
+        seen = {x for x, w in zip(names, white.tolist()) if not w}
+        self._learn(seen)
+        table = [b"" if w else self.pieces[x] for x, w in zip(names, white.tolist())]
+        for x in [x for x in seen if len(x) >= 64]:
+            self.pieces.pop(x, None)
+        # A text's first piece has no space before it; a text with white space beside a space is one entry as a whole.
+        odd = white[place]
+        odd[begin] = [bool(n > 1) and not x or x[:1].isspace() or x[-1:].isspace() for x, n in zip(firsts, count.tolist())]
+        whole = np.flatnonzero(np.add.reduceat(odd, begin)) if len(begin) else begin
+        table += self._bytes(firsts) if firsts else []
+        place[begin] = len(names) + np.arange(len(firsts))
+        keep = np.ones(len(place), bool)
+        for i in whole.tolist():
+            a, n = int(begin[i]), int(count[i])
+            rest = [names[k] for k in place[a + 1 : a + n].tolist()]
+            place[a] = len(table)
+            table.append(self._with_white_space(firsts[i], rest))
+            keep[a + 1 : a + n] = False
+        held = np.array([len(x) // 4 for x in table], np.int64)
+        flat, at = np.frombuffer(b"".join(table), "<u4"), np.cumsum(held) - held
+        text = np.repeat(np.arange(len(count)), count)[keep]
+        place = place[keep]
+        size = held[place]
+        ends = np.cumsum(size)
+        ids = flat[np.repeat(at[place] - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)]
+        return ids, np.concatenate([[0], np.cumsum(np.bincount(text, size, len(count)).astype(np.int64))])
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        import pyarrow as pa
+
+        if not texts:
+            return []
+        ids, off = self.encode_column(pa.array(texts, pa.string()))
+        return [ids[a:b].tobytes() for a, b in zip(off[:-1].tolist(), off[1:].tolist())]
 
     def _with_white_space(self, first: str, rest: list[str]) -> bytes:
         """Cut only where neither side of the space is white space."""
@@ -164,6 +204,8 @@ class RankArrayPieces:
         none = len(self.ranks)
         parts = list(word)
         parts[-1] += self.suffix
+        if len(parts) > SHORT:
+            return self._long(parts)
         adjacent = [ranks(p, none) for p in zip(parts, parts[1:])]
         while adjacent:
             least = min(adjacent)
@@ -178,6 +220,28 @@ class RankArrayPieces:
                 adjacent[i - 1] = ranks((parts[i - 1], parts[i]), none)
         return [self.vocab[p] for p in parts if p in self.vocab]
 
+    def _long(self, parts: list[str]) -> list[int]:
+        """The same merges for a long run without a cut, where scanning would take quadratic time: least rank, then leftmost, by a heap."""
+        import heapq
+
+        ranks, n = self.ranks.get, len(parts)
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        heap = [(r, i, parts[i], parts[i + 1]) for i in range(n - 1) if (r := ranks((parts[i], parts[i + 1]))) is not None]
+        heapq.heapify(heap)
+        while heap:
+            _, i, a, b = heapq.heappop(heap)
+            j = after[i]
+            if parts[i] != a or j >= n or parts[j] != b:
+                continue  # one of the two has been merged since
+            parts[i], parts[j] = a + b, ""
+            after[i] = j = after[j]
+            if j < n:
+                before[j] = i
+            for k in (before[i], i):
+                if k >= 0 and after[k] < n and (r := ranks((parts[k], parts[after[k]]))) is not None:
+                    heapq.heappush(heap, (r, k, parts[k], parts[after[k]]))
+        return [self.vocab[p] for p in parts if p in self.vocab]
+
     def _entry(self, ids: list[int]) -> tuple[int, str, str]:
         return len(ids), " ".join(map(str, ids)), " ".join([self.token[i] for i in ids])
 

@@ -70,31 +70,43 @@ def write(df: DataFrame, out: str, path: str, end_id: int | None = 2, bits: bool
     """Encode every text and write its ids, then end_id, in ascending doc_id order (null ids first; ties by text).
 
     Null texts count as empty: with an end id they have that id alone. Repeated rows are all written.
-    An empty table gives an empty folder of the format. Other columns aren't read.
+    An empty table gives an empty folder of the format. Other columns aren't read, whatever their names. A text is encoded as a
+    whole, however long; a very long one makes its record group longer, as a group holds whole documents.
     """
-    spec, end = packed(path), b"" if end_id is None else int(end_id).to_bytes(4, "little")
+    spec = packed(path)
 
     def run(batches):
         enc, part, number = opened(LibraryPieces, spec), TaskContext.get().partitionId(), 0
-        ids: list[bytes] = []
-        docs: list[int | None] = []
+        ids: list[np.ndarray] = []
+        docs: list[pa.Array] = []
+        counts: list[np.ndarray] = []
         held = 0
 
         def group():
-            joined = np.frombuffer(b"".join(ids), "<u4")
+            joined = np.concatenate(ids)
             index, payload = pack(joined, bits)
-            row = {"part": part, "group_no": number, "bits": bits, "n_ids": len(joined), "doc_ids": docs, "doc_tokens": [len(x) // 4 for x in ids], "chunk_index": index, "payload": payload}
-            return pa.RecordBatch.from_pylist([row], pa.schema([("part", pa.int32()), ("group_no", pa.int64()), ("bits", pa.bool_()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("doc_tokens", pa.list_(pa.int64())), ("chunk_index", pa.list_(pa.int32())), ("payload", pa.binary())]))
-
-        for batch in sliced(batches, "text"):
-            for doc, got in zip(batch.column(0).to_pylist(), enc.encode_all([t or "" for t in batch.column(1).to_pylist()])):
-                got += end
-                ids.append(got)
-                docs.append(doc)
-                held += len(got) // 4
+            n = pa.array(np.concatenate(counts))
+            cols = [pa.array([part], pa.int32()), pa.array([number], pa.int64()), pa.array([bits]), pa.array([len(joined)], pa.int64())]
+            cols += [pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), pa.concat_arrays(docs)), pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), n)]
+            cols += [pa.array([index], pa.list_(pa.int32())), pa.array([payload], pa.binary())]
+            return pa.RecordBatch.from_arrays(cols, ["part", "group_no", "bits", "n_ids", "doc_ids", "doc_tokens", "chunk_index", "payload"])
+
+        for batch in sliced(batches, "text", 8 << 20):
+            got, off = enc.encode_column(batch.column(1))
+            if end_id is not None:
+                got, off = np.insert(got, off[1:], end_id), off + np.arange(len(off))
+            at = 0
+            while at < batch.num_rows:  # a group ends with the document that fills it
+                upto = min(batch.num_rows, int(np.searchsorted(off, off[at] + GROUP - held)))
+                upto = max(upto, at + 1)
+                ids.append(got[off[at] : off[upto]])
+                docs.append(batch.column(0).slice(at, upto - at))
+                counts.append(np.diff(off[at : upto + 1]))
+                held += int(off[upto] - off[at])
+                at = upto
                 if held >= GROUP:
                     yield group()
-                    ids, docs, held, number = [], [], 0, number + 1
+                    ids, docs, counts, held, number = [], [], [], 0, number + 1
         if docs:
             yield group()
 

@@ -161,16 +161,45 @@ def test_suffixes(rows, docs, none):
     assert suffixes.remove(none).count() == 0
 
 
-def test_suffix_order_equals_sorting():
+def test_suffix_columns_equal_sorting():
     rnd = random.Random(6)
-    for _ in range(30):
-        reads = [bytes(rnd.choice(b"ab") for _ in range(rnd.randint(1, 12))) for _ in range(rnd.randint(1, 6))]
-        read, length, lcp = suffixes.suffix_order(reads)
-        text = [reads[r][len(reads[r]) - n :] for r, n in zip(read, length)]
-        assert sorted(text) == text and len(text) == sum(len(r) + 1 for r in reads)
-        for k in range(1, len(text)):
-            same = next((i for i, (p, q) in enumerate(zip(text[k - 1], text[k])) if p != q), min(len(text[k - 1]), len(text[k])))
-            assert lcp[k] == same
+    for _ in range(60):
+        reads = [bytes(rnd.choice(b"ab") for _ in range(rnd.randint(1, 12))) for _ in range(rnd.randint(1, 8))]
+        at = np.array([rnd.randrange(len(r)) for r in reads])
+        first = at.max() - at
+        seen = 0
+        for j, order, lcp in suffixes.ordered_columns(reads, at):
+            text = [reads[r][j - first[r] :] for r in order]
+            assert sorted(text) == text and {r for r in range(len(reads)) if first[r] <= j < first[r] + len(reads[r])} == set(order.tolist())
+            for k in range(1, len(text)):
+                same = next((i for i, (p, q) in enumerate(zip(text[k - 1], text[k])) if p != q), min(len(text[k - 1]), len(text[k])))
+                assert lcp[k] == same
+            seen += len(text)
+        assert seen == sum(map(len, reads))
+
+
+def brute_suffixes(data, length=200):
+    seen = collections.Counter(x[k : k + length] for x in data for k in range(len(x) - length + 1))
+    for x in data:
+        gone = np.zeros(len(x), bool)
+        for k in range(len(x) - length + 1):
+            if seen[x[k : k + length]] > 1:
+                gone[k : k + length] = True
+        yield gone
+
+
+@pytest.mark.parametrize("hot", [2, 8])
+def test_suffixes_split_hot_anchors(spark, tmp_path, hot):
+    """A common line in many contexts, a common passage, and copies of a text: anchors with more kinds of read than the limit."""
+    rnd = random.Random(9)
+    noise = lambda n: "".join(rnd.choice("abcdefgh ") for _ in range(n))
+    line, passage, text = noise(60), noise(230), noise(500)
+    texts = [noise(rnd.randrange(260)) + line + noise(rnd.randrange(260)) for _ in range(40)] + [noise(rnd.randrange(30)) + passage + noise(rnd.randrange(30)) for _ in range(40)] + [text] * 5 + [text[k:] for k in range(12)] + [line * 5]
+    path = str(tmp_path / "d")
+    spark.createDataFrame([(None if i == 3 else i % 50, t, "kept", i) for i, t in enumerate(texts)], "doc_id long, text string, spans string, n_bytes int").write.parquet(path)
+    got = {r.n_bytes: r for r in suffixes.remove(spark.read.parquet(path), hot=hot).collect()}
+    for i, (t, gone) in enumerate(zip(texts, brute_suffixes([t.encode() for t in texts]))):
+        assert (got[i].text, got[i].n_removed, got[i].spans) == (bytes(np.frombuffer(t.encode(), np.uint8)[~gone]).decode(), int(gone.sum()), "kept")
 
 
 def test_hashing(spark):

@@ -1,60 +1,82 @@
-"""Operator 7: language-model scoring with Katz backoff over bigrams.
+"""Operator 7: language-model scoring with Katz backoff, of any order.
 
-Seen bigrams have Good-Turing discounted relative frequencies; what the discounts free goes to unseen successors in
-proportion to the unigram model, by a backoff weight per history that makes each history's probabilities add up to 1.
-Counts and weights are tables partitioned by their keys, and each text's tokens look up theirs: the bigram's if it was
-seen, else the history's weight and the unigram.
+Seen n-grams have Good-Turing discounted relative frequencies; what the discounts free goes to unseen successors in
+proportion to the model of the next lower order, by a backoff weight per history that makes each history's probabilities add
+up to 1. The recursion runs by orders: texts are cut into chunks; in round k a chunk asks the partitioned tables of order k for
+its distinct k-grams, and sends with each one the probability that round k - 1 gave its last word. A partition adds up
+what all chunks have counted, stores its table, and answers with probabilities that are final for order k. The last
+round's answers are sums for each document.
+
+What moves are sorted, zstd-packed blocks of integers, one for each chunk and partition: a chunk adds up its own repeats
+first, so a frequent n-gram weighs no more than once a chunk. N-grams are dealt by their history; histories that hold a large share
+of all words (there can be few of them) are dealt by their successors too, and their sums are put together beforehand.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Hasher, checkpointed, id_crc, lowered, mix, sliced, table, text_bytes, word_spans
+from .common import Hasher, dropped, id_crc, lowered, mix, parts, sliced, stored, table, text_bytes, word_spans
 
-#: Counts up to K are discounted; every count gives up at least LEAST of itself, so no unseen successor has probability 0.
-K, LEAST = 5, 1e-4
-#: Stand-ins for the place before a text and its end, as words' hashes.
-BEGIN, END = 1, 2
+#: Counts up to K are discounted.
+K = 5
+#: Order of the model; bytes of text in a chunk; a history is split if it has more than this part of a partition's even share of all words.
+ORDER, CHUNK, SHARE = 2, 8 << 20, 0.125
+#: Stands for a text's end among the words' hashes; number of the place before a text.
+END, BEGIN = 2, 0
 
 
-def bigrams(docs: DataFrame) -> DataFrame:
-    """(doc_id, ident, train, h, w, c): each text's distinct bigrams of word hashes, from its beginning to its end token.
+def pack(x) -> bytes:
+    """Integers from 0, as compressed byte planes."""
+    import zstandard
 
-    ident tells texts apart where ids repeat. Words are 64-bit hashes; A-Z are lower-cased.
-    """
+    x = np.ascontiguousarray(x, "<u8")
+    wide = max(1, (int(x.max(initial=0)).bit_length() + 7) // 8)
+    planes = np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8)[:, :wide].T)
+    return wide.to_bytes(1, "little") + len(x).to_bytes(8, "little") + zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
 
-    def run(batches):
-        for batch in sliced(batches, "text"):
-            data, off = text_bytes(batch.column(2))
-            low = lowered(data)
-            starts, ends, first = word_spans(data, off)
-            words = Hasher(low)(starts, ends)
-            out: list[list] = [[], [], [], [], [], []]
-            for i in range(batch.num_rows):
-                own = words[first[i] : first[i + 1]]
-                ident = int(np.bitwise_xor.reduce(mix(own + mix(np.arange(len(own), dtype=np.uint64)))).view(np.int64)) if len(own) else 0
-                seq = np.concatenate([[np.uint64(BEGIN)], own, [np.uint64(END)]])
-                pair = np.stack([seq[:-1], seq[1:]], axis=1)
-                order = np.lexsort((pair[:, 1], pair[:, 0]))
-                pair = pair[order]
-                new = np.flatnonzero(np.concatenate([[True], (pair[1:] != pair[:-1]).any(1)]))
-                k = len(new)
-                for col, v in zip(out, (np.full(k, -1), np.full(k, ident), np.full(k, bool(batch.column(1)[i].as_py())), pair[new, 0].view(np.int64), pair[new, 1].view(np.int64), np.diff(np.append(new, len(pair))))):
-                    col.append(v)
-            sizes = [len(x) for x in out[0]]
-            doc = batch.column(0).take(pa.array(np.repeat(np.arange(batch.num_rows), sizes)))
-            rest = [pa.array(np.concatenate(x)) for x in out[1:]]
-            yield pa.RecordBatch.from_arrays([doc, rest[0], rest[1], rest[2], rest[3], rest[4].cast(pa.int64())], ["doc_id", "ident", "train", "h", "w", "c"])
-
-    return docs.select("doc_id", "train", "text").mapInArrow(run, "doc_id long, ident long, train boolean, h long, w long, c long")
+
+def unpack(b: bytes) -> np.ndarray:
+    import zstandard
+
+    wide, n = b[0], int.from_bytes(b[1:9], "little")
+    out = np.zeros((n, 8), np.uint8)
+    if n:
+        out[:, :wide] = np.frombuffer(zstandard.ZstdDecompressor().decompress(b[9:]), np.uint8).reshape(wide, n).T
+    return out.reshape(-1).view("<u8")
+
+
+def steps(x: np.ndarray) -> np.ndarray:
+    return np.diff(x, prepend=x.dtype.type(0))
+
+
+def pack_values(x: np.ndarray) -> bytes:
+    """Doubles with few distinct values."""
+    values, at = np.unique(x, return_inverse=True)
+    head = pack(values.view("<u8"))
+    return len(head).to_bytes(8, "little") + head + pack(at)
+
+
+def unpack_values(b: bytes) -> np.ndarray:
+    n = int.from_bytes(b[:8], "little")
+    return unpack(b[8 : 8 + n]).view("<f8")[unpack(b[8 + n :]).astype(np.int64)]
+
+
+def tokens(col) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all texts' lower-cased words, each text's followed by END, and each text's first place."""
+    data, off = text_bytes(col)
+    low = lowered(data)
+    starts, ends, first = word_spans(data, off)
+    words = Hasher(low)(starts, ends) if len(starts) else np.zeros(0, np.uint64)
+    return np.insert(words, first[1:], np.uint64(END)), first + np.arange(len(first))
 
 
 def discounts(of: dict[int, int], k: int = K) -> list[float]:
-    """Good-Turing discount ratios of counts 1..k from the numbers of bigrams by count; 1 - LEAST where they can't be formed."""
+    """Good-Turing discount ratios of counts 1..k from the numbers of n-grams by count; 1, so none, where they can't be formed."""
     out = []
     n1, last = of.get(1, 0), (k + 1) * of.get(k + 1, 0)
     for r in range(1, k + 1):
@@ -62,38 +84,325 @@ def discounts(of: dict[int, int], k: int = K) -> list[float]:
         d = 0.0
         if n and n1 and n1 > last:
             d = ((r + 1) * up / (r * n) - last / n1) / (1 - last / n1)
-        out.append(min(d, 1 - LEAST) if d > 0 else 1 - LEAST)
+        out.append(d if 0 < d < 1 else 1.0)
     return out
 
 
-def score(docs: DataFrame, train: Column, k: int = K) -> DataFrame:
+def held(c: np.ndarray, ratios: list[float]) -> np.ndarray:
+    """What is left of counts after discounting."""
+    return c * np.array([1.0, *ratios, 1.0])[np.minimum(c, len(ratios) + 1).astype(np.int64)]
+
+
+def backoff(total, kept, low):
+    """(denominator, weight of the lower order) of histories with these sums of counts, discounted counts and lower probabilities of what is seen.
+
+    A history without any discount counts one more than it has, so that its unseen successors have something.
+    """
+    total = np.where(total - kept < 1e-9 * total, total + 1, total)
+    with np.errstate(invalid="ignore", divide="ignore"):
+        weight = (1 - kept / total) / np.maximum(1 - low, 1e-300)
+    return total, np.where(total > 0, weight, 1.0)
+
+
+def distinct(history: np.ndarray, word: np.ndarray, hot: np.ndarray, n: int):
+    """Distinct (history, word) in order of partition, history and word; their partitions; each token's place among them."""
+    (h, hi), (w, wi) = np.unique(history, return_inverse=True), np.unique(word, return_inverse=True)
+    pair, at = np.unique(hi.astype(np.uint64) << np.uint64(32) | wi.astype(np.uint64), return_inverse=True)
+    h, w = h[(pair >> np.uint64(32)).astype(np.int64)], w[(pair & np.uint64(0xFFFFFFFF)).astype(np.int64)]
+    own = mix(h)
+    if len(hot):
+        own = np.where(np.isin(h, hot), mix(own + w), own)
+    part = (own % np.uint64(n)).astype(np.int32)
+    by = np.argsort(part, kind="stable")
+    rank = np.empty(len(by), np.int64)
+    rank[by] = np.arange(len(by))
+    return h[by], w[by], part[by], rank[at]
+
+
+def runs(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Values and lengths of runs."""
+    at = np.flatnonzero(np.concatenate([np.ones(min(1, len(x)), bool), x[1:] != x[:-1]]))
+    return x[at], np.diff(np.append(at, len(x)))
+
+
+ASK = "part int, chunk long, h binary, hn binary, w binary, c binary, low binary, docs binary, dn binary, dc binary, ids array<long>, train array<boolean>, n_tokens array<long>, n_known array<long>, base array<double>"
+TABLE = "part int, h binary, hn binary, w binary, c binary, low binary, of array<long>, hot array<long>, sums array<double>"
+ANSWER = "part int, chunk long, a binary, b binary"
+
+
+def chunked(docs: DataFrame, size: int) -> DataFrame:
+    """(chunk, at, doc_id, train, text): the same each time that docs reads the same."""
+
+    def run(batches):
+        number = TaskContext.get().partitionId() << 32
+        for batch in sliced(batches, "text", size):
+            at = pa.array(np.arange(batch.num_rows, dtype=np.int32))
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(batch.num_rows, number)), at, *batch.columns], ["chunk", "at", *batch.schema.names])
+            number += 1
+
+    return docs.mapInArrow(run, "chunk long, at int, doc_id long, train boolean, text string")
+
+
+def words_table(texts: DataFrame, n: int) -> DataFrame:
+    """Round 1: (part, chunk, a, b) answers with numbers and training counts of a chunk's words; with chunk null, a partition's table and its sums."""
+
+    def ask(batches):
+        for batch in batches:
+            tok, first = tokens(batch.column(4))
+            keys, at = np.unique(tok, return_inverse=True)
+            c = np.bincount(at, np.repeat(batch.column(3).to_numpy(zero_copy_only=False).astype(float), np.diff(first)))
+            part = ((keys >> np.uint64(32)) * np.uint64(n) >> np.uint64(32)).astype(np.int64)
+            own, many = runs(part)
+            ends = np.cumsum(many)
+            rows = [(int(p), batch.column(0)[0].as_py(), pack(steps(keys[e - m : e])), pack(c[e - m : e])) for p, m, e in zip(own.tolist(), many.tolist(), ends.tolist())]
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), (pa.int32(), pa.int64(), pa.binary(), pa.binary()))], ["part", "chunk", "a", "b"])
+
+    def serve(t: pa.Table) -> pa.Table:
+        part = t.column("part")[0].as_py()
+        keys = [np.cumsum(unpack(x), dtype=np.uint64) for x in t.column("a").to_pylist()]
+        every, at = np.unique(np.concatenate(keys), return_inverse=True)
+        c = np.rint(np.bincount(at, np.concatenate([unpack(x) for x in t.column("b").to_pylist()]).astype(float))).astype(np.uint64)
+        ids = np.arange(len(every), dtype=np.uint64) * np.uint64(n) + np.uint64(part + 1)
+        edge = np.cumsum([0, *map(len, keys)])
+        a = [pack(ids[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
+        b = [pack(c[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
+        return pa.table({"part": pa.array([part] * (len(a) + 1), pa.int32()), "chunk": pa.array([*t.column("chunk").to_pylist(), None], pa.int64()), "a": pa.array([*a, pack(steps(every))], pa.binary()), "b": pa.array([*b, pack(c)], pa.binary())})
+
+    # One batch of `chunked` is one chunk; asking there needs no exchange of texts.
+    return texts.mapInArrow(_whole(ask), ANSWER).groupBy("part").applyInArrow(serve, ANSWER)
+
+
+def _whole(ask):
+    """Puts the rows of a chunk together again, should Arrow have cut them."""
+
+    def run(batches):
+        held: list = []
+        for batch in batches:
+            edge = np.flatnonzero(np.diff(batch.column(0).to_numpy(), prepend=-1))
+            for a, b in zip(edge.tolist(), [*edge[1:].tolist(), batch.num_rows]):
+                piece = batch.slice(a, b - a)
+                if held and held[0].column(0)[0] != piece.column(0)[0]:
+                    yield from ask([pa.Table.from_batches(held).combine_chunks().to_batches()[0]])
+                    held = []
+                held.append(piece)
+        if held:
+            yield from ask([pa.Table.from_batches(held).combine_chunks().to_batches()[0]])
+
+    return run
+
+
+def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarray], known: tuple[int, int], last: bool) -> DataFrame:
+    """Round k's questions from the texts and the answers of all rounds before it; if it is the last, by document, and a row of base figures."""
+    total, kinds = known
+    floor, rounds = total + 0.1 * (kinds + 1), len(answers)
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        left, right = left.sort_by("at"), right.sort_by([("round", "ascending"), ("part", "ascending")])
+        chunk = left.column("chunk")[0].as_py()
+        texts_ = left.column("text").combine_chunks()
+        tok, first = tokens(texts_)
+        doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
+        round_ = right.column("round").to_numpy()
+
+        def answer(k):
+            rows = right.filter(pa.array(round_ == k))
+            return [np.concatenate([f(x) for x in rows.column(c).to_pylist()]) for c, f in (("a", unpack), ("b", unpack if k == 1 else unpack_plain))]
+
+        at = np.unique(tok, return_inverse=True)[1]
+        ids, counts = answer(1)
+        word, c = ids[at], counts[at].astype(np.float64)
+        gram, p = word, (c + 0.1) / floor
+        base = np.log10(p)
+        opening = first[:-1]
+        for k in range(2, rounds + 2):
+            history = np.concatenate([[np.uint64(BEGIN)], gram[:-1]])
+            history[opening] = BEGIN
+            h, w, part, at = distinct(history, word, hot[k - 2], n)
+            if k <= rounds:
+                ids, values = answer(k)
+                gram, p = ids[at], values[at]
+        train = left.column("train").to_numpy(zero_copy_only=False).astype(bool)
+        counted = np.rint(np.bincount(at, train[doc].astype(float), len(h))).astype(np.uint64)
+        low = np.empty(len(h))
+        low[at] = p
+        rows: dict[str, list] = {c.split()[0]: [] for c in ASK.split(", ")}
+        if last:
+            both, times = np.unique(at.astype(np.uint64) << np.uint64(32) | doc.astype(np.uint64), return_counts=True)
+            owner, whose = (both >> np.uint64(32)).astype(np.int64), both & np.uint64(0xFFFFFFFF)
+            many = np.bincount(owner, minlength=len(h))
+            upto = np.concatenate([[0], np.cumsum(many)])
+        own, sizes = runs(part)
+        ends = np.cumsum(sizes)
+        for q, m, e in zip(own.tolist(), sizes.tolist(), ends.tolist()):
+            s = slice(e - m, e)
+            value, length = runs(h[s])
+            new = {"part": q, "chunk": chunk, "h": pack(steps(value)), "hn": pack(length), "w": pack(w[s]), "c": pack(counted[s]), "low": pack_values(low[s])}
+            if last:
+                d = slice(upto[e - m], upto[e])
+                new |= {"docs": pack(whose[d]), "dn": pack(many[s]), "dc": pack(times[d])}
+            for name, column in rows.items():
+                column.append(new.get(name))
+        if last:
+            new = {"part": -1, "chunk": chunk, "ids": left.column("doc_id").to_pylist(), "train": train.tolist(), "n_tokens": np.diff(first).tolist()}
+            new |= {"n_known": np.bincount(doc, c > 0, len(first) - 1).astype(int).tolist(), "base": np.bincount(doc, base, len(first) - 1).tolist()}
+            for name, column in rows.items():
+                column.append(new.get(name))
+        kinds_ = [pa.int32(), pa.int64(), *[pa.binary()] * 8, pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.float64())]
+        return pa.table([pa.array(x, k) for x, k in zip(rows.values(), kinds_)], list(rows))
+
+    every = None
+    for k, df in enumerate(answers, 1):
+        df = df.select(F.lit(k).alias("round"), "part", "chunk", "a", "b")
+        every = df if every is None else every.unionByName(df)
+    return texts.groupBy("chunk").cogroup(every.groupBy("chunk")).applyInArrow(run, ASK)
+
+
+def pack_plain(x: np.ndarray) -> bytes:
+    return pack(np.ascontiguousarray(x, "<f8").view("<u8"))
+
+
+def unpack_plain(b: bytes) -> np.ndarray:
+    return unpack(b).view("<f8")
+
+
+def _pairs(h: bytes, hn: bytes, w: bytes):
+    return np.repeat(np.cumsum(unpack(h), dtype=np.uint64), unpack(hn).astype(np.int64)), unpack(w)
+
+
+def merged(asked: DataFrame, hot: np.ndarray, k: int) -> DataFrame:
+    """The tables of one order: each partition's n-grams with counts, numbers of n-grams by count, and sums of the histories that are split."""
+
+    def run(t: pa.Table) -> pa.Table:
+        cols = {c: t.column(c).to_pylist() for c in ("h", "hn", "w", "c", "low")}
+        both = [_pairs(*x) for x in zip(cols["h"], cols["hn"], cols["w"])]
+        h, w = np.concatenate([x[0] for x in both]), np.concatenate([x[1] for x in both])
+        c, low = np.concatenate([unpack(x) for x in cols["c"]]), np.concatenate([unpack_values(x) for x in cols["low"]])
+        by = np.lexsort((w, h))
+        h, w, c, low = h[by], w[by], c[by], low[by]
+        new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (w[1:] != w[:-1])]))
+        h, w, c, low = h[new], w[new], np.add.reduceat(c, new), low[new]
+        of = np.bincount(np.minimum(c, k + 2).astype(np.int64), minlength=k + 3)[1 : k + 2]
+        value, length = runs(h)
+        split = np.isin(h, hot)
+        names, at = np.unique(h[split], return_inverse=True)
+        sums = np.zeros((len(names), k + 2))
+        cs, ls = c[split], low[split]
+        for r in range(1, k + 1):
+            sums[:, r - 1] = np.bincount(at, (cs == r) * r, len(names))
+        sums[:, k] = np.bincount(at, cs * (cs > k), len(names))
+        sums[:, k + 1] = np.bincount(at, ls * (cs > 0), len(names))
+        row = {"part": [t.column("part")[0].as_py()], "h": [pack(steps(value))], "hn": [pack(length)], "w": [pack(w)], "c": [pack(c)], "low": [pack_values(low)], "of": [of.tolist()], "hot": [names.astype(np.int64).tolist()], "sums": [sums.ravel().tolist()]}
+        kinds = [pa.int32(), *[pa.binary()] * 5, pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.float64())]
+        return pa.table([pa.array(x, y) for x, y in zip(row.values(), kinds)], list(row))
+
+    return asked.groupBy("part").applyInArrow(run, TABLE)
+
+
+def answered(asked: DataFrame, tables: DataFrame, n: int, ratios: list[float], whole: dict[int, list[float]], last: bool) -> DataFrame:
+    """Answers of one order: numbers and probabilities of a chunk's n-grams or, if it is the last, the documents' sums of log10 probabilities."""
+    k = len(ratios)
+    names = np.array(sorted(whole), np.uint64)
+    sums = np.array([whole[x] for x in sorted(whole)]).reshape(-1, k + 2)
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        part = right.column("part")[0].as_py()
+        h, w = _pairs(*[right.column(c)[0].as_py() for c in ("h", "hn", "w")])
+        c, low = unpack(right.column("c")[0].as_py()), unpack_values(right.column("low")[0].as_py())
+        value, length = runs(h)
+        at = np.cumsum(length) - length
+        kept = held(c, ratios)
+        total, mass, seen = (np.add.reduceat(x, at) for x in (c.astype(float), kept, low * (c > 0)))
+        if len(names):  # sums of a split history are those of all partitions
+            place = np.minimum(np.searchsorted(names, value), len(names) - 1)
+            split = names[place] == value
+            s = sums[place[split]]
+            total[split], mass[split], seen[split] = s[:, : k + 1].sum(1), s[:, :k] @ np.array(ratios) + s[:, k], s[:, k + 1]
+        total, weight = backoff(total, mass, seen)
+        of = np.repeat(np.arange(len(value)), length)
+        p = np.where(c > 0, kept / np.maximum(total[of], 1), weight[of] * low)
+        every = np.unique(w)
+        key = of.astype(np.uint64) << np.uint64(32) | np.searchsorted(every, w).astype(np.uint64)
+        a, b = [], []
+        for i in range(left.num_rows):
+            hs, ws = _pairs(*[left.column(x)[i].as_py() for x in ("h", "hn", "w")])
+            row = np.searchsorted(key, np.searchsorted(value, hs).astype(np.uint64) << np.uint64(32) | np.searchsorted(every, ws).astype(np.uint64))
+            if last:
+                docs, many, times = (unpack(left.column(x)[i].as_py()) for x in ("docs", "dn", "dc"))
+                ids, place = np.unique(docs, return_inverse=True)
+                a.append(pack(steps(ids)))
+                b.append(np.bincount(place, np.repeat(np.log10(p[row]), many.astype(np.int64)) * times).tobytes())
+            else:
+                a.append(pack(row.astype(np.uint64) * np.uint64(n) + np.uint64(part + 1)))
+                b.append(pack_plain(p[row]))
+        return pa.table({"part": pa.array([part] * len(a), pa.int32()), "chunk": left.column("chunk"), "a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
+
+    return asked.groupBy("part").cogroup(tables.groupBy("part")).applyInArrow(run, ANSWER)
+
+
+def score(docs: DataFrame, train: Column, order: int = ORDER, k: int = K, chunk: int = CHUNK) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score (log10 probability) of each row.
 
-    Null and empty texts are one end token. Repeated rows get equal results. With nothing to train on, the only
-    unigram probability is that of an unknown token. An empty table gives no rows; only doc_id and text are read.
+    Null and empty texts are one end token. Rows are scored one by one, so repeated rows and ids get results of their own. A
+    very long text is a chunk by itself. With nothing to train on, the only unigram probability is that of an unknown token. An
+    empty table gives no rows; only doc_id and text are read, whatever else docs has. docs must read the same each time.
+    Words are 64-bit hashes; A-Z are lower-cased. An order of 1 would be the base score; orders from 2 on are meant.
     """
-    docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
-    rows = bigrams(docs)
-    learnt = F.sum(F.when(F.col("train"), F.col("c")).otherwise(0))
-    pairs = checkpointed(rows.groupBy("h", "w").agg(learnt.alias("c")))
-    words = pairs.groupBy("w").agg(F.sum("c").alias("cw"))
-    n, v = words.filter("cw > 0").agg(F.coalesce(F.sum("cw"), F.lit(0)), F.count("*")).first()
-    of = {r[0]: r[1] for r in pairs.filter(F.col("c").between(1, k + 1)).groupBy("c").count().collect()}
-    d = F.lit(1 - LEAST)
-    for r, x in enumerate(discounts(of, k), 1):
-        d = F.when(F.col("c") == r, F.lit(x)).otherwise(d)
-    known = checkpointed(pairs.join(words.withColumn("p1", (F.col("cw") + 0.1) / (n + 0.1 * (v + 1))), "w").withColumn("held", d * F.col("c")))
-    seen = known.filter("c > 0")
-    weights = seen.groupBy("h").agg(F.sum("c").alias("ch"), F.sum("held").alias("mass"), F.sum("p1").alias("p"))
-    weights = weights.select("h", "ch", ((1 - F.col("mass") / F.col("ch")) / F.greatest(1 - F.col("p"), F.lit(1e-300))).alias("alpha"))
-    model = known.join(weights, "h", "left")
-    p = F.when(F.col("c") > 0, F.col("held") / F.col("ch")).otherwise(F.coalesce("alpha", F.lit(1.0)) * F.col("p1"))
-    model = model.select("h", "w", F.log10(p).alias("lp"), F.log10("p1").alias("lb"), (F.col("cw") > 0).alias("is_known"))
-    total = rows.join(model, ["h", "w"]).groupBy("doc_id", "ident", "train").agg(F.sum("c").alias("n_tokens"), F.sum(F.when(F.col("is_known"), F.col("c")).otherwise(0)).alias("n_known"), F.sum(F.col("c") * F.col("lb")).alias("base_score"), F.sum(F.col("c") * F.col("lp")).alias("score"), F.sum(F.when(F.col("w") == END, F.col("c")).otherwise(0)).alias("copies"))
-    # Each row has one end token, so the ends of a key count its repeated rows.
-    one = total.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
-    k_ = F.col("copies")
-    return one.select("doc_id", (~F.col("train")).alias("held_out"), (F.col("n_tokens") / k_).cast("long").alias("n_tokens"), (F.col("n_known") / k_).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), (F.col("base_score") / k_).alias("base_score"), (F.col("score") / k_).alias("score"))
+    spark = docs.sparkSession
+    n = parts(spark)
+    docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), docs["text"].alias("text"))
+    texts = chunked(docs, chunk)
+    first = stored(words_table(texts, n), "words")
+    # A table's words and counts, added up: one row a partition.
+    sums = first.filter("chunk is null").select("part", "b").mapInArrow(_count_words(n, SHARE), "total long, kinds long, ids array<long>, counts array<long>").collect()
+    total, kinds = sum(r[0] for r in sums), sum(r[1] for r in sums)
+    hot = [[i for r in sums for i, c in zip(r[2], r[3]) if c > SHARE * total / n] + [BEGIN]]
+    answers = [first.filter("chunk is not null")]
+    steps_ = [first]
+    for level in range(2, order + 1):
+        last = level == order
+        names = [np.array(sorted(x), np.uint64) for x in hot]
+        asked = stored(asks(texts, answers, n, names, (total, kinds), last), "asks")
+        questions = asked.filter("part >= 0")
+        tables = stored(merged(questions, names[-1], k), f"order-{level}")
+        got = tables.select("of").collect()
+        of = {r: sum(x[0][r - 1] for x in got) for r in range(1, k + 2)}
+        split = tables.select(F.explode(F.arrays_zip("hot", F.expr(f"transform(sequence(0, size(hot) - 1), i -> slice(sums, i * {k + 2} + 1, {k + 2}))").alias("s"))).alias("x")).filter("x.hot is not null") if len(names[-1]) else None
+        whole = {r[0]: list(r[1:]) for r in split.groupBy("x.hot").agg(*[F.sum(F.col("x.s")[i]).alias(f"s{i}") for i in range(k + 2)]).collect()} if split is not None else {}
+        reply = stored(answered(questions, tables, n, discounts(of, k), whole, last), "answers")
+        dropped(tables)
+        if not last:
+            dropped(asked)
+            answers.append(reply)
+            steps_.append(reply)
+            hot.append([BEGIN])  # the place before a text is the one history known to be everywhere
+    dropped(*steps_)
+    facts = asked.filter("part < 0")
+
+    def finish(t: pa.Table) -> pa.Table:
+        i = t.column("ids").is_valid().to_pylist().index(True)
+        ids, flags, tokens_, known, base = (t.column(x)[i].as_py() for x in ("ids", "train", "n_tokens", "n_known", "base"))
+        out = np.zeros(len(ids))
+        for a, b in zip(t.column("a").to_pylist(), t.column("b").to_pylist()):
+            if a is not None:
+                out[np.cumsum(unpack(a)).astype(np.int64)] += np.frombuffer(b, "<f8")
+        return pa.table({"doc_id": pa.array(ids, pa.int64()), "held_out": pa.array([not x for x in flags], pa.bool_()), "n_tokens": pa.array(tokens_, pa.int64()), "n_known": pa.array(known, pa.int64()), "train_tokens": pa.array([total] * len(ids), pa.int64()), "base_score": pa.array(base, pa.float64()), "score": pa.array(out)})
+
+    both = facts.select("chunk", "ids", "train", "n_tokens", "n_known", "base").unionByName(reply.select("chunk", "a", "b"), allowMissingColumns=True)
+    return both.groupBy("chunk").applyInArrow(finish, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+
+
+def _count_words(n: int, share: float):
+    """Sums of each partition's table, and its words that may be hot: those with a share of the partition's own sum that all words' sum would need."""
+
+    def run(batches):
+        for batch in batches:
+            for part, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                c = unpack(b)
+                own = np.flatnonzero(c > share * c.sum() / n)  # at most n / share words; the sum of all is no less than a partition's
+                ids = own.astype(np.uint64) * np.uint64(n) + np.uint64(part + 1)
+                yield pa.RecordBatch.from_arrays([pa.array([int(c.sum())]), pa.array([int((c > 0).sum())]), pa.array([ids.astype(np.int64).tolist()], pa.list_(pa.int64())), pa.array([c[own].astype(np.int64).tolist()], pa.list_(pa.int64()))], ["total", "kinds", "ids", "counts"])
+
+    return run
 
 
 def op7_katz(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -233,31 +233,79 @@ def test_radius_search_is_complete():
             assert set(index.within(q, r)) == set(np.flatnonzero(np.bitwise_count(code ^ q).sum(1) <= r))
 
 
-def test_katz(rows, docs, none):
-    got = by_id(katz.score(docs, F.pmod(common.id_crc(F.col("doc_id")), F.lit(10)) != 0))
+class BruteKatz:
+    """Katz backoff by dictionaries, word by word."""
+
+    def __init__(self, texts, order):
+        self.c = [collections.Counter() for _ in range(order + 1)]
+        for ts in texts:
+            for i in range(len(ts)):
+                for k in range(1, order + 1):
+                    if (g := self.gram(ts, i, k)) is not None:
+                        self.c[k][g] += 1
+        self.n, self.v = sum(self.c[1].values()), len(self.c[1])
+        self.d = [None, None, *[katz.discounts(collections.Counter(self.c[k].values())) for k in range(2, order + 1)]]
+        self.after = [None, None, *[collections.defaultdict(list) for _ in range(2, order + 1)]]
+        for k in range(2, order + 1):
+            for g in self.c[k]:
+                self.after[k][g[:-1]].append(g[-1])
+        self.memo = {}
+
+    @staticmethod
+    def gram(ts, i, k):
+        """The k-gram that ends at i; before a text stands one beginning, and nothing before that."""
+        if i - k + 1 >= 0:
+            return tuple(ts[i - k + 1 : i + 1])
+        return (" ",) + tuple(ts[: i + 1])
+
+    def held(self, k, r):
+        return r * (self.d[k][r - 1] if r <= katz.K else 1.0)
+
+    def weights(self, h, k):
+        if (k, h) not in self.memo:
+            seen = self.after[k].get(h, [])
+            total = sum(self.c[k][h + (w,)] for w in seen)
+            kept = sum(self.held(k, self.c[k][h + (w,)]) for w in seen)
+            if total - kept < 1e-9 * total:
+                total += 1
+            low = sum(self.p(h[1:] if h[0] != " " else h, w, k - 1) for w in seen)
+            self.memo[k, h] = (total, (1 - kept / total) / (1 - low)) if seen else (0, 1.0)
+        return self.memo[k, h]
+
+    def p(self, h, w, k):
+        if k == 1:
+            return (self.c[1][w,] + 0.1) / (self.n + 0.1 * (self.v + 1))
+        h = h[-(k - 1) :]
+        total, alpha = self.weights(h, k)
+        r = self.c[k][h + (w,)]
+        return self.held(k, r) / total if r else alpha * self.p(h[1:] if h[0] != " " else h, w, k - 1)
+
+
+@pytest.mark.parametrize("order,chunk", [(2, 1 << 20), (3, 3000), (2, 500)])
+def test_katz(spark, rows, docs, none, order, chunk, monkeypatch):
+    monkeypatch.setattr(katz, "SHARE", 0.02)  # so that many histories are split
+    got = by_id(katz.score(docs, F.pmod(common.id_crc(F.col("doc_id")), F.lit(10)) != 0, order=order, chunk=chunk))
     tokens = {i: WORD.findall((t or "").translate(LOW)) + ["\n"] for i, t, *_ in rows}
     train = {i for i in tokens if zlib.crc32(str(i).encode()) % 10}
-    c = collections.Counter(w for i in train for w in tokens[i])
-    b = collections.Counter(p for i in train for p in zip([" "] + tokens[i], tokens[i]))
-    n, v = sum(c.values()), len(c)
-    d = katz.discounts(collections.Counter(b.values()))
-    held = lambda r: (d[r - 1] if r <= katz.K else 1 - katz.LEAST) * r
-    p1 = lambda w: (c[w] + 0.1) / (n + 0.1 * (v + 1))
-    total, mass, seen = collections.Counter(), collections.Counter(), collections.Counter()
-    for (h, w), r in b.items():
-        total[h] += r
-        mass[h] += held(r)
-        seen[h] += p1(w)
-    alpha = lambda h: (1 - mass[h] / total[h]) / (1 - seen[h]) if total[h] else 1.0
-    for h in list(total)[:20]:  # exactly normalised, the unknown token included
-        assert abs(mass[h] / total[h] + alpha(h) * (1 - seen[h]) - 1) < 1e-9
+    model = BruteKatz([tokens[i] for i in train], order)
+    for h in list(model.after[order])[:20]:  # exactly normalised, the unknown token included
+        assert abs(sum(model.p(h, w, order) for (w,) in model.c[1]) + model.p(h, "unknown", order) - 1) < 1e-9
     for i, ts in tokens.items():
-        want = sum(math.log10(held(b[h, w]) / total[h] if b[h, w] else alpha(h) * p1(w)) for h, w in zip([" "] + ts, ts))
-        assert math.isclose(got[i].score, want, rel_tol=1e-6) and math.isclose(got[i].base_score, sum(math.log10(p1(w)) for w in ts), rel_tol=1e-6)
-        assert (got[i].n_tokens, got[i].n_known, got[i].train_tokens, got[i].held_out) == (len(ts), sum(w in c for w in ts), n, i not in train)
+        want = sum(math.log10(model.p((" ",) + tuple(ts[:j]), w, order)) for j, w in enumerate(ts))
+        assert math.isclose(got[i].score, want, rel_tol=1e-9) and math.isclose(got[i].base_score, sum(math.log10(model.p((), w, 1)) for w in ts), rel_tol=1e-9)
+        assert (got[i].n_tokens, got[i].n_known, got[i].train_tokens, got[i].held_out) == (len(ts), sum((w,) in model.c[1] for w in ts), model.n, i not in train)
     assert katz.score(none, F.lit(True)).count() == 0
 
 
+def test_katz_repeated_and_null_ids(spark, tmp_path):
+    path = str(tmp_path / "d")
+    spark.createDataFrame([(None, "a b a", "x"), (None, "a b a", "y"), (1, None, "z"), (1, "zz", "z"), (1, "zz", "z")], "doc_id long, text string, chunk string").repartition(1).write.parquet(path)
+    got = katz.score(spark.read.parquet(path), F.lit(True)).collect()
+    assert sorted((r.doc_id or 0, r.n_tokens) for r in got) == [(0, 4), (0, 4), (1, 1), (1, 2), (1, 2)]
+    assert len({r.score for r in got if r.doc_id is None}) == 1 and all(r.train_tokens == 13 for r in got)
+    assert all(r.n_known == 0 and r.train_tokens == 0 for r in katz.score(spark.read.parquet(path), F.lit(False)).collect())
+
+
 def test_mixing(rows, docs, none):
     out, slots, _ = mixing.mix_blocks(docs, block=4, shard=16)
     got, again = out.collect(), {r.doc_id: r.taken for r in mixing.mix_blocks(docs, block=4, shard=16)[0].collect()}

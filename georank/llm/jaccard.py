@@ -1,17 +1,18 @@
 """Operator 3: n-gram Jaccard self-join by vertical partitioning.
 
 A document is its set of distinct shingles, put in one global order: rare shingles first, as far as a sketch of fixed
-size tells (any order gives right results; this one gives few candidates). Linked documents share `SHARE` of the first
-shingles, so only those prefixes are indexed. Candidates' sets are cut along the order's hash ranges into fragments;
-partial overlaps are counted fragment by fragment and summed per pair.
-
-Only classes are asked for, so pairs within one class needn't be looked at: documents with the same words are one node,
-and index lists are taken in the order of their lengths, each time for pairs of nodes that are still in different
-classes. Every such pair is counted, without exception.
-
-Many near copies of one text would still pair each with each. They are measured against a hub of theirs first: two sets
-x, y that have o(x), o(y) shingles of hub h share at most min(o(x), o(y)) of h's, so if a link needs more, they must share
-shingles that aren't h's. Such pairs are found through those few shingles alone.
+size tells, then by hash (any order gives right results; this one gives few candidates). The order is cut into fragments that
+hold equal shares of all shingles. Linked documents share `SHARE` of their first shingles, so those prefixes alone are listed
+to find candidates. Candidates' sets are cut at the fragments' borders; each fragment's overlaps are counted by themselves,
+side by side with the others, and summed per pair.
+
+Only classes are asked for, so pairs within one class needn't be looked at: documents with the same words are one node, and
+nodes that share a list are first measured against one or two hubs of that list, so many times as it is long. After that, all pairs of
+nodes that share a list and are still in different classes are counted, without exception.
+
+Many copies of one text that aren't near enough to its hub would still pair each with each. Two sets x, y that have o(x), o(y)
+shingles of hub h share at most min(o(x), o(y)) of h's, so if a link needs more, they must share shingles that aren't h's.
+Such pairs are found through those few shingles alone.
 """
 
 from __future__ import annotations
@@ -21,15 +22,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Hasher, checkpointed, lowered, mix, sliced, table, text_bytes, word_spans
+from .common import Hasher, dropped, lowered, mix, sliced, stored, table, text_bytes, word_spans
 from .components import components
 
 #: Prefix shingles that linked documents share at least; fragments; log2 of the sketch's counters.
 SHARE, FRAGMENTS, SKETCH_BITS = 3, 4, 22
-#: Index lists up to these lengths are taken first, so that most nodes of a class are joined before long lists are paired.
-TIERS = (8, 64, None)
-#: Lists longer than this have a hub; a node with at least this share of its shingles in its hub's set is measured against it.
-LONG, NEAR = 64, 0.7
+#: Hubs of a list; hubs that a node is measured against; a node with at least this share of its shingles in its hub's set is near it.
+HUBS, TRIES, NEAR = 2, 3, 0.7
 CHUNK = 1 << 16
 #: Log2 of the bits of the filter that keeps texts without candidates out of a pass; it only saves work.
 FILTER_BITS = 24
@@ -96,34 +95,46 @@ def frequency_classes(docs: DataFrame, width: int) -> np.ndarray:
     return out
 
 
+def borders(freq: np.ndarray, fragments: int = FRAGMENTS) -> tuple[np.ndarray, np.ndarray]:
+    """For each frequency class, the share of all shingles before it and its own, so that a shingle's place in the order is known."""
+    mass = np.bincount(freq, 2.0 ** (freq / 2.0), 256)
+    before = np.cumsum(mass) - mass
+    return before / mass.sum() * fragments, mass / mass.sum() * fragments
+
+
+def fragment_of(own: np.ndarray, freq: np.ndarray, edge) -> np.ndarray:
+    """The fragment of each shingle: its place in the order by class, then by the hash's bits that the sketch doesn't use."""
+    k = freq[(own >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
+    inside = (own & np.uint64(0xFFFFFFFF)).astype(np.float64) / 2.0**32
+    return np.minimum((edge[0][k] + inside * edge[1][k]).astype(np.int64), FRAGMENTS - 1)
+
+
 def prefixes(docs: DataFrame, width: int, percent: int, classes) -> DataFrame:
-    """doc_id, n (set size), d1, d2 (identity of the word sequence) and the prefix of each document."""
+    """row, doc_id, n (set size), d1, d2 (identity of the word sequence) and the prefix of each document."""
 
     def run(batches):
         freq = classes.value
         for batch in sliced(batches, "text"):
             n, d1, d2, pre = [], [], [], []
-            for own, a, b in shingle_sets(batch.column(1), width):
+            for own, a, b in shingle_sets(batch.column(2), width):
                 most = len(own) - -(-percent * len(own) // 100) + SHARE
                 order = np.argsort(freq[(own >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)], kind="stable")[:most]
                 n.append(len(own))
                 d1.append(a)
                 d2.append(b)
                 pre.append(own[order].view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(pre, pa.list_(pa.int64()))], ["doc_id", "n", "d1", "d2", "prefix"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n, pa.int32()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(pre, pa.list_(pa.int64()))], ["row", "doc_id", "n", "d1", "d2", "prefix"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, d1 long, d2 long, prefix array<long>")
+    return docs.select("row", "doc_id", "text").mapInArrow(run, "row long, doc_id long, n int, d1 long, d2 long, prefix array<long>")
 
 
-def fragments(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """(node, frag, part): the wanted nodes' sets, and now and then others, cut by hash range. wanted has rep, a document of each node.
+def fragments(docs: DataFrame, wanted: DataFrame, width: int, classes) -> DataFrame:
+    """(node, frag, part): the wanted nodes' sets, and now and then others', cut at the fragments' borders. A node is the row of one of its documents.
 
-    A bit filter of fixed size lets most texts of no candidate go by unhashed. What passes it by chance, or a second row
-    of a node, does no harm: joins are by node, and rows of one node and fragment are alike.
+    A bit filter of fixed size lets most texts of no candidate go by unhashed. What passes it by chance does no harm: joins are by node.
     """
     spark = docs.sparkSession
-    keys = wanted.select("rep").distinct()
-    bit = F.shiftrightunsigned(F.xxhash64(F.col("rep")), 64 - FILTER_BITS)
+    bit = F.shiftrightunsigned(F.xxhash64(F.col("node")), 64 - FILTER_BITS)
 
     def lay(t: pa.Table) -> pa.Table:
         out = np.zeros(CHUNK, np.uint8)
@@ -131,28 +142,29 @@ def fragments(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
         return pa.table({"chunk": pa.array([t.column("byte")[0].as_py() // CHUNK], pa.int32()), "bits": pa.array([out.tobytes()], pa.binary())})
 
     bits = np.zeros((1 << FILTER_BITS) // 8, np.uint8)
-    flat = keys.select(F.floor(bit / 8).cast("long").alias("byte"), F.pmod(bit, F.lit(8)).cast("int").alias("b")).groupBy("byte").agg(F.bit_or(F.expr("shiftleft(1, b)")).cast("long").alias("v"))
+    flat = wanted.select(F.floor(bit / 8).cast("long").alias("byte"), F.pmod(bit, F.lit(8)).cast("int").alias("b")).groupBy("byte").agg(F.bit_or(F.expr("shiftleft(1, b)")).cast("long").alias("v"))
     for chunk, x in flat.groupBy(F.floor(F.col("byte") / CHUNK).cast("int").alias("chunk")).applyInArrow(lay, "chunk int, bits binary").collect():
         bits[chunk * CHUNK : (chunk + 1) * CHUNK] = np.frombuffer(x, np.uint8)
     shared = spark.sparkContext.broadcast(bits.tobytes())
 
     def run(batches):
-        mask = np.frombuffer(shared.value, np.uint8)
+        mask, freq = np.frombuffer(shared.value, np.uint8), classes.value
+        edge = borders(freq)
         for batch in batches:
             at = batch.column(1).to_numpy()
             keep = (mask[at >> 3] >> (at & 7).astype(np.uint8)) & 1
             for part in sliced([batch.filter(pa.array(keep.astype(bool)))], "text"):
                 rows: dict[str, list] = {"node": [], "frag": [], "part": []}
-                for own, node, _ in shingle_sets(part.column(2), width):
-                    cuts = np.searchsorted(own, (np.arange(1, FRAGMENTS, dtype=np.uint64) << np.uint64(62)) if FRAGMENTS == 4 else np.linspace(0, 2.0**64, FRAGMENTS + 1)[1:-1].astype(np.uint64))
-                    for f, piece in enumerate(np.split(own, cuts)):
-                        for k, v in zip(rows, (node, f, piece.view(np.int64))):
+                for node, (own, _, _) in zip(part.column(0).to_pylist(), shingle_sets(part.column(2), width)):
+                    frag = fragment_of(own, freq, edge)
+                    for f in range(FRAGMENTS):
+                        for k, v in zip(rows, (node, f, own[frag == f].view(np.int64))):
                             rows[k].append(v)
                 kinds = [pa.int64(), pa.int32(), pa.list_(pa.int64())]
                 yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(rows.values(), kinds)], list(rows))
 
-    at = F.shiftrightunsigned(F.xxhash64(F.col("doc_id")), 64 - FILTER_BITS)
-    return docs.select("doc_id", at.alias("at"), "text").mapInArrow(run, "node long, frag int, part array<long>")
+    at = F.shiftrightunsigned(F.xxhash64(F.col("row")), 64 - FILTER_BITS)
+    return docs.select("row", at.alias("at"), "text").mapInArrow(run, "node long, frag int, part array<long>")
 
 
 def least_overlap(na, nb, percent: int):
@@ -160,21 +172,43 @@ def least_overlap(na, nb, percent: int):
     return F.ceil(percent * (F.col(na) + F.col(nb)) / (100 + percent)).cast("long")
 
 
-def linked(pairs: DataFrame, cut: DataFrame, percent: int) -> DataFrame:
-    """Those of the pairs (a, na, b, nb) whose overlap, summed over fragments, reaches the threshold."""
+def overlaps(pairs: DataFrame, docs: DataFrame, width: int, classes, lacks: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(a, na, b, nb, o): each pair's overlap, counted fragment by fragment and summed; with lacks, the shingles of a that b has not. Also what it has stored."""
+    ends = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
+    cut = stored(fragments(docs, ends, width, classes), "fragments")
     left = pairs.join(cut.select(F.col("node").alias("a"), "frag", F.col("part").alias("x")), "a")
     both = left.join(cut.select(F.col("node").alias("b"), "frag", F.col("part").alias("y")), ["b", "frag"])
-    part = both.groupBy("a", "na", "b", "nb", "frag").agg(F.max(F.size(F.array_intersect("x", "y"))).alias("common"))
-    total = part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"))
-    return total.filter(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
+    count = F.size(F.array_intersect("x", "y")).alias("common")
+    part = both.select("a", "na", "b", "nb", count, *([F.array_except("x", "y").alias("lacks")] if lacks else []))
+    more = [F.flatten(F.collect_list("lacks")).alias("rest")] if lacks else []
+    return part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"), *more), cut
+
+
+def linked(found: DataFrame, percent: int) -> DataFrame:
+    return found.filter(100 * F.col("o") >= percent * (F.col("na") + F.col("nb") - F.col("o"))).select("a", "b")
+
+
+def by_prefix(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """The pairs whose prefixes share as many shingles as those of linked sets of their sizes do."""
+    pair = pairs.join(nodes.select(F.col("node").alias("a"), F.col("prefix").alias("pa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("prefix").alias("pb")), "b")
+    need = least_overlap("na", "nb", percent) + F.least(F.size("pa") - F.col("na"), F.size("pb") - F.col("nb"))
+    return pair.filter(F.size(F.array_intersect("pa", "pb")) >= need).select("a", "na", "b", "nb")
 
 
-def candidates(own: DataFrame, nodes: DataFrame, percent: int, fits) -> DataFrame:
+def to_hubs(index: DataFrame, fits) -> DataFrame:
+    """Pairs (a, na, b, nb) of a node and those hubs of its lists with which it shares most lists; index has hubs."""
+    rows = index.select("node", "n", F.explode("hubs").alias("h")).filter("h.node != node").groupBy("node", "n", "h").agg(F.count("*").alias("c"))
+    rows = rows.filter(fits(F.col("n"), F.col("h.n")))
+    best = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("c"), "h.node"))
+    return rows.withColumn("k", best).filter(F.col("k") <= TRIES).select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("h.node").alias("b"), F.col("h.n").alias("nb"))
+
+
+def candidates(own: DataFrame, percent: int, fits) -> DataFrame:
     """Every pair (a, na, b, nb) of nodes of different classes that may be linked, but for those that `beside_hub` finds.
 
     A linked pair has a shingle in common among the first of each set: for the smaller set those that it can lack in a
-    set of its size, for the larger those that it can lack in any. Of whole prefixes it then shares as many as
-    follows from the two sizes. own has token, at, node, n, comp, and hub and o where the node has a hub.
+    set of its size, for the larger those that it can lack in any. own has token, at, node, n, comp, and hub and o where the
+    node is near a hub.
     """
     small = own.filter(F.col("at") <= F.col("n") - F.ceil(2 * percent * F.col("n") / (100 + percent)))
     large = own.filter(F.col("at") <= F.col("n") - F.ceil(percent * F.col("n") / 100))
@@ -183,24 +217,7 @@ def candidates(own: DataFrame, nodes: DataFrame, percent: int, fits) -> DataFram
     first = (F.col("n_a") < F.col("n_b")) | ((F.col("n_a") == F.col("n_b")) & (F.col("node_a") < F.col("node_b")))
     open_ = F.coalesce(F.col("hub_a") != F.col("hub_b"), F.lit(True)) | (F.least("o_a", "o_b") >= need)
     pair = x.join(y, "token").filter(first & (F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")) & open_)
-    pair = pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb")).distinct()
-    pair = pair.join(nodes.select(F.col("node").alias("a"), F.col("prefix").alias("pa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("prefix").alias("pb")), "b")
-    need = least_overlap("na", "nb", percent) + F.least(F.size("pa") - F.col("na"), F.size("pb") - F.col("nb"))
-    return pair.filter(F.size(F.array_intersect("pa", "pb")) >= need).select("a", "na", "b", "nb")
-
-
-def measured(index: DataFrame, cut: DataFrame) -> DataFrame:
-    """(node, n, hub, nh, o, rest) of nodes in long lists: the hub of the node's longest list, the overlap with it, and the shingles that it lacks.
-
-    A list's hub is the node whose shingles are in the longest lists, so one with few shingles of its own.
-    """
-    weight = index.groupBy("node").agg(F.avg("many").alias("weight"))
-    rows = index.filter(F.col("many") > LONG)
-    hubs = rows.join(weight, "node").groupBy("token").agg(F.max_by(F.struct("node", "n"), F.struct("weight", "node")).alias("h"))
-    best = rows.join(hubs, "token").groupBy("node", "n").agg(F.max_by("h", F.struct("many", "h.node")).alias("h")).select("node", "n", F.col("h.node").alias("hub"), F.col("h.n").alias("nh")).filter("node != hub")
-    both = best.join(cut.select("node", "frag", F.col("part").alias("x")), "node").join(cut.select(F.col("node").alias("hub"), "frag", F.col("part").alias("y")), ["hub", "frag"])
-    part = both.groupBy("node", "n", "hub", "nh", "frag").agg(F.max(F.size(F.array_intersect("x", "y"))).alias("common"), F.first(F.array_except("x", "y")).alias("lacks"))
-    return part.groupBy("node", "n", "hub", "nh").agg(F.sum("common").alias("o"), F.flatten(F.collect_list("lacks")).alias("rest"))
+    return pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb")).distinct()
 
 
 def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
@@ -219,71 +236,61 @@ def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
     pair = x.join(y, ["hub", "token"]).filter((F.col("node_a") < F.col("node_b")) & (F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")) & (need <= F.least("extra_a", "extra_b")) & (need > 0))
     pair = pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb"), need.alias("need")).distinct()
     x, y = (near.select(F.col("node").alias(i), F.col("rest").alias(f"r{i}")) for i in "ab")
-    return pair.join(x, "a").join(y, "b").filter(F.size(F.array_intersect("ra", "rb")) >= F.col("need")).select("a", "na", "b", "nb")
-
+    return pair.join(x, "a").join(y, "b").filter(F.size(F.array_intersect("ra", "rb")) >= F.col("need")).select("a", F.col("na").cast("int").alias("na"), "b", F.col("nb").cast("int").alias("nb"))
 
-def guesses(own: DataFrame, fits, ways: int = 8) -> DataFrame:
-    """Some pairs (a, na, b, nb) of nodes of different classes: neighbours in the longest list of each, put in `ways` pseudorandom orders."""
-    mine = own.filter(F.col("many") > LONG).groupBy("node", "n", "comp").agg(F.max_by("token", F.struct("many", "token")).alias("token"))
-    mine = mine.withColumn("way", F.explode(F.sequence(F.lit(1), F.lit(ways))))
-    order = Window.partitionBy("token", "way").orderBy(F.xxhash64("node", "way"))
-    near = mine.select("node", "n", "comp", F.lag(F.struct("node", "n", "comp")).over(order).alias("p"))
-    near = near.filter(F.col("p").isNotNull() & (F.col("p.comp") != F.col("comp")) & fits(F.col("n"), F.col("p.n")))
-    ends = F.array_sort(F.array(F.struct("node", "n"), F.struct("p.node", "p.n")))
-    return near.select(ends[0]["node"].alias("a"), ends[0]["n"].alias("na"), ends[1]["node"].alias("b"), ends[1]["n"].alias("nb")).distinct()
 
-
-def classes(docs: DataFrame, width: int = 3, percent: int = 90, tiers=TIERS) -> DataFrame:
-    """doc_id, n_shingles, component_id of each row.
+def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
+    """doc_id, n_shingles, component_id of each row; also row (its monotonically_increasing_id in docs) and first, true for one row of each class.
 
     Texts without words have no shingles and are their own class. Rows whose words are the same, repeated rows included,
-    are one node. A class is named after its smallest doc_id; null ids are passed over unless a class has no other.
-    An empty table gives no rows. Only doc_id and text are read. Very long texts are cut into fragments like others.
+    are one node. A class is named after its smallest doc_id; null ids are passed over unless a class has no other. Its first row is
+    that with this id, of several the first in docs. An empty table gives no rows. Only doc_id and text are read, whatever else
+    docs has; docs must read the same each time. Very long texts are cut into fragments like others.
     """
     spark = docs.sparkSession
-    docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].alias("text"))
+    docs = docs.select(F.monotonically_increasing_id().alias("row"), docs["doc_id"].cast("long").alias("doc_id"), docs["text"].alias("text"))
     freq = spark.sparkContext.broadcast(frequency_classes(docs, width))
-    every = checkpointed(prefixes(docs, width, percent, freq))
-    reps = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("prefix").alias("prefix"))
-    nodes = checkpointed(reps.select(F.col("d1").alias("node"), "rep", "d2", "n", "prefix"))  # 64 bits, like shingles, name a node
-    listed = nodes.select("node", F.col("n").cast("int").alias("n"), F.posexplode("prefix").alias("at", "token"))
-    index = listed.withColumn("many", F.count("*").over(Window.partitionBy("token"))).filter("many > 1")
-    index = checkpointed(index)
+    every = stored(prefixes(docs, width, percent, freq), "prefixes")
+    names = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("row").alias("node"))
+    nodes = stored(names.join(every.select(F.col("row").alias("node"), "n", "prefix"), "node"), "nodes")
+    listed = nodes.select("node", "n", F.posexplode("prefix").alias("at", "token"))
+    hubs = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("h"), "node", "n")).alias(f"h{i}") for i in range(HUBS)]
+    lists = listed.groupBy("token").agg(F.count("*").alias("many"), *hubs).filter("many > 1")
+    lists = lists.select("token", F.array_distinct(F.array(*[F.struct(f"h{i}.node", f"h{i}.n") for i in range(HUBS)])).alias("hubs"))
+    index = stored(listed.join(lists, "token"), "lists")
     # Nodes that share fewer shingles with all others together than linked ones do with one another have no link.
     able = index.groupBy("node").agg(F.count("*").alias("c"), F.first("n").alias("n")).filter(F.col("c") >= F.least(F.lit(SHARE), "n")).select("node")
-    index = checkpointed(index.join(able, "node").select("node", F.col("n").cast("long").alias("n"), "at", "token", "many"))
-    wanted = checkpointed(nodes.join(able, "node").select("node", "rep"))
-    cut = checkpointed(fragments(docs, wanted, width))
     fits = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
-    comp = links = near = None
-
-    def classed(df: DataFrame) -> DataFrame:
-        return df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node")) if comp is not None else df.withColumn("comp", F.col("node"))
-
-    def join(got: DataFrame) -> None:
-        nonlocal links, comp
-        links = checkpointed(got if links is None else links.union(got))
-        comp = checkpointed(components(links))
-
-    for most in tiers:
-        if most is None:
-            join(linked(checkpointed(guesses(classed(index), fits)), cut, percent))
-            near = checkpointed(measured(index, cut))
-            join(near.filter(100 * F.col("o") >= percent * (F.col("n") + F.col("nh") - F.col("o"))).select(F.col("node").alias("a"), F.col("hub").alias("b")))
-            near = near.filter(F.col("o") >= NEAR * F.col("n"))
-            join(linked(checkpointed(beside_hub(classed(near), percent, fits)), cut, percent))
-        own = classed(index if most is None else index.filter(F.col("many") <= most))
-        # A list whose nodes are all of one class has no pair left.
-        mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
-        own = own.join(mixed, "token")
-        own = own.join(near.select("node", "hub", "o"), "node", "left") if near is not None else own.withColumns({"hub": F.lit(None).cast("long"), "o": F.lit(None).cast("long")})
-        join(linked(checkpointed(candidates(own, nodes, percent, fits)), cut, percent))
-    named = nodes.select("node", "rep", "d2").join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    name = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    named = named.join(name, "comp").select(F.col("node").alias("d1"), "d2", "component_id")
-    out = every.select("doc_id", "n", "d1", "d2").join(named, ["d1", "d2"], "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+    able = stored(able, "able")
+    index = index.join(able, "node")
+    pairs = stored(by_prefix(to_hubs(index, fits), nodes, percent), "pairs")
+    found, cut = overlaps(pairs, docs, width, freq, lacks=True)
+    found = stored(found, "measured")
+    dropped(cut, pairs)
+    links = linked(found, percent)
+    comp = stored(components(links), "classes")
+    near = found.filter(F.col("o") >= NEAR * F.col("na")).groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest"), F.struct("o", "b")).alias("h"))
+    near = near.select(F.col("a").alias("node"), F.col("na").cast("long").alias("n"), F.col("h.b").alias("hub"), F.col("h.o").alias("o"), F.col("h.rest").alias("rest"))
+    near = stored(near, "near")
+    classed = lambda df: df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    beside = beside_hub(classed(near), percent, fits)
+    own = classed(index.drop("hubs"))
+    # A list whose nodes are all of one class has no pair left.
+    mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
+    own = stored(own.join(mixed, "token").join(near.select("node", "hub", "o"), "node", "left"), "open")
+    rest = candidates(own, percent, fits)
+    pairs = stored(by_prefix(rest, nodes, percent).union(beside).distinct(), "pairs")
+    last, cut = overlaps(pairs, docs, width, freq)
+    links = stored(links.union(linked(last, percent)), "links")
+    dropped(cut, pairs, own, near, comp)
+    comp = stored(components(links), "classes")
+    named = every.filter("n > 0").select("row", "doc_id", "n", "d1", "d2").join(names, ["d1", "d2"]).join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    name = named.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("f")).select("comp", F.col("f.doc_id").alias("component_id"), F.col("f.row").alias("head"))
+    named = named.join(name, "comp").select("doc_id", F.col("n").cast("long").alias("n_shingles"), "component_id", "row", (F.col("row") == F.col("head")).alias("first"))
+    none = every.filter("n = 0").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"), "row", F.lit(True).alias("first"))
+    return named.union(none)
 
 
 def op3_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return classes(table(spark, sf_dir, "documents"))
+    return classes(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")

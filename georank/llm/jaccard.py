@@ -195,9 +195,15 @@ def by_prefix(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
     return pair.filter(F.size(F.array_intersect("pa", "pb")) >= need).select("a", "na", "b", "nb")
 
 
-def to_hubs(index: DataFrame, fits) -> DataFrame:
-    """Pairs (a, na, b, nb) of a node and those hubs of its lists with which it shares most lists; index has hubs."""
-    rows = index.select("node", "n", F.explode("hubs").alias("h")).filter("h.node != node").groupBy("node", "n", "h").agg(F.count("*").alias("c"))
+def to_hubs(shared: DataFrame, fits) -> DataFrame:
+    """Pairs (a, na, b, nb) of a node and those hubs of its lists with which it shares most lists.
+
+    A list's hubs are the node whose own lists are longest, so one with few shingles that others lack, and some by hash.
+    """
+    hash_ = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("h"), "node", "n")).alias(f"h{i}") for i in range(1, HUBS)]
+    hubs = shared.groupBy("token").agg(F.max(F.struct("weight", "node", "n")).alias("h0"), *hash_)
+    hubs = hubs.select("token", F.explode(F.array_distinct(F.array(*[F.struct(f"h{i}.node", f"h{i}.n") for i in range(HUBS)]))).alias("h"))
+    rows = shared.select("token", "node", "n").join(hubs, "token").filter("h.node != node").groupBy("node", "n", "h").agg(F.count("*").alias("c"))
     rows = rows.filter(fits(F.col("n"), F.col("h.n")))
     best = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("c"), "h.node"))
     return rows.withColumn("k", best).filter(F.col("k") <= TRIES).select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("h.node").alias("b"), F.col("h.n").alias("nb"))
@@ -254,28 +260,29 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     names = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("row").alias("node"))
     nodes = stored(names.join(every.select(F.col("row").alias("node"), "n", "prefix"), "node"), "nodes")
     listed = nodes.select("node", "n", F.posexplode("prefix").alias("at", "token"))
-    hubs = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("h"), "node", "n")).alias(f"h{i}") for i in range(HUBS)]
-    lists = listed.groupBy("token").agg(F.count("*").alias("many"), *hubs).filter("many > 1")
-    lists = lists.select("token", F.array_distinct(F.array(*[F.struct(f"h{i}.node", f"h{i}.n") for i in range(HUBS)])).alias("hubs"))
+    lists = listed.groupBy("token").agg(F.count("*").alias("many")).filter("many > 1")
     index = stored(listed.join(lists, "token"), "lists")
     # Nodes that share fewer shingles with all others together than linked ones do with one another have no link.
-    able = index.groupBy("node").agg(F.count("*").alias("c"), F.first("n").alias("n")).filter(F.col("c") >= F.least(F.lit(SHARE), "n")).select("node")
+    able = index.groupBy("node").agg(F.count("*").alias("c"), F.first("n").alias("n"), (F.sum("many") / F.first("n")).alias("weight")).filter(F.col("c") >= F.least(F.lit(SHARE), "n")).select("node", "weight")
+    shared = stored(index.join(able, "node"), "able")
+    dropped(index)
     fits = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
 
-    able = stored(able, "able")
-    index = index.join(able, "node")
-    pairs = stored(by_prefix(to_hubs(index, fits), nodes, percent), "pairs")
+    pairs = stored(by_prefix(to_hubs(shared, fits), nodes, percent), "pairs")
     found, cut = overlaps(pairs, docs, width, freq, lacks=True)
     found = stored(found, "measured")
     dropped(cut, pairs)
     links = linked(found, percent)
     comp = stored(components(links), "classes")
-    near = found.filter(F.col("o") >= NEAR * F.col("na")).groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest"), F.struct("o", "b")).alias("h"))
+    # Of the hubs that a node is near, the one that most are near: nodes beside one hub are compared by what that hub lacks.
+    near = found.filter(F.col("o") >= NEAR * F.col("na"))
+    near = near.join(near.groupBy("b").agg(F.count("*").alias("size")), "b")
+    near = near.groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest"), F.struct("size", "b")).alias("h"))
     near = near.select(F.col("a").alias("node"), F.col("na").cast("long").alias("n"), F.col("h.b").alias("hub"), F.col("h.o").alias("o"), F.col("h.rest").alias("rest"))
     near = stored(near, "near")
     classed = lambda df: df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     beside = beside_hub(classed(near), percent, fits)
-    own = classed(index.drop("hubs"))
+    own = classed(shared)
     # A list whose nodes are all of one class has no pair left.
     mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
     own = stored(own.join(mixed, "token").join(near.select("node", "hub", "o"), "node", "left"), "open")

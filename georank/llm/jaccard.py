@@ -29,6 +29,8 @@ from .components import components
 SHARE, FRAGMENTS, SKETCH_BITS = 3, 4, 22
 #: Hubs of a list; hubs that a node is measured against; a node with at least this share of its shingles in its hub's set is near it.
 HUBS, TRIES, NEAR = 2, 3, 0.7
+#: Of the nodes near a hub, the nearest ones that all others are compared with.
+NEAREST = 16
 CHUNK = 1 << 16
 #: Log2 of the bits of the filter that keeps texts without candidates out of a pass; it only saves work.
 FILTER_BITS = 24
@@ -173,14 +175,14 @@ def least_overlap(na, nb, percent: int):
 
 
 def overlaps(pairs: DataFrame, docs: DataFrame, width: int, classes, lacks: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(a, na, b, nb, o): each pair's overlap, counted fragment by fragment and summed; with lacks, the shingles of a that b has not. Also what it has stored."""
+    """(a, na, b, nb, o): each pair's overlap, counted fragment by fragment and summed; with lacks, also the shingles of one that the other has not. Also what it has stored."""
     ends = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
     cut = stored(fragments(docs, ends, width, classes), "fragments")
     left = pairs.join(cut.select(F.col("node").alias("a"), "frag", F.col("part").alias("x")), "a")
     both = left.join(cut.select(F.col("node").alias("b"), "frag", F.col("part").alias("y")), ["b", "frag"])
     count = F.size(F.array_intersect("x", "y")).alias("common")
-    part = both.select("a", "na", "b", "nb", count, *([F.array_except("x", "y").alias("lacks")] if lacks else []))
-    more = [F.flatten(F.collect_list("lacks")).alias("rest")] if lacks else []
+    part = both.select("a", "na", "b", "nb", count, *([F.array_except("x", "y").alias("rest"), F.array_except("y", "x").alias("gone")] if lacks else []))
+    more = [F.flatten(F.collect_list(c)).alias(c) for c in ("rest", "gone")] if lacks else []
     return part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"), *more), cut
 
 
@@ -240,9 +242,23 @@ def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
     x, y = (rows.select("hub", F.col("e.token").alias("token"), *[F.col(c).alias(f"{c}_{i}") for c in ("node", "n", "o", "extra", "comp")]) for i in "ab")
     need = least_overlap("n_a", "n_b", percent) - F.least("o_a", "o_b")
     pair = x.join(y, ["hub", "token"]).filter((F.col("node_a") < F.col("node_b")) & (F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")) & (need <= F.least("extra_a", "extra_b")) & (need > 0))
-    pair = pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb"), need.alias("need")).distinct()
-    x, y = (near.select(F.col("node").alias(i), F.col("rest").alias(f"r{i}")) for i in "ab")
-    return pair.join(x, "a").join(y, "b").filter(F.size(F.array_intersect("ra", "rb")) >= F.col("need")).select("a", F.col("na").cast("int").alias("na"), "b", F.col("nb").cast("int").alias("nb"))
+    pair = pair.select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct()
+    x, y = (near.select(F.col("node").alias(i), *[F.col(c).alias(f"{c}_{i}") for c in ("n", "nh", "rest", "gone")]) for i in "ab")
+    return linked(by_hub(pair.join(x, "a").join(y, "b")), percent)
+
+
+def by_hub(pairs: DataFrame) -> DataFrame:
+    """(a, na, b, nb, o) of pairs beside one hub: of the hub's nh shingles, two sets share those that neither lacks, and besides what both have more than the hub."""
+    o = F.col("nh_a") - F.size("gone_a") - F.size("gone_b") + F.size(F.array_intersect("gone_a", "gone_b")) + F.size(F.array_intersect("rest_a", "rest_b"))
+    return pairs.select("a", F.col("n_a").alias("na"), "b", F.col("n_b").alias("nb"), o.alias("o"))
+
+
+def to_nearest(near: DataFrame, percent: int, fits) -> DataFrame:
+    """Links of nodes with those few that are nearest to their hub."""
+    best = F.row_number().over(Window.partitionBy("hub").orderBy(F.desc("o"), "node"))
+    few = near.withColumn("k", best).filter(F.col("k") <= NEAREST)
+    x, y = (df.select("hub", F.col("node").alias(i), *[F.col(c).alias(f"{c}_{i}") for c in ("n", "nh", "comp", "rest", "gone")]) for df, i in ((near, "a"), (few, "b")))
+    return linked(by_hub(x.join(y, "hub").filter((F.col("comp_a") != F.col("comp_b")) & fits(F.col("n_a"), F.col("n_b")))), percent)
 
 
 def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
@@ -277,20 +293,22 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     # Of the hubs that a node is near, the one that most are near: nodes beside one hub are compared by what that hub lacks.
     near = found.filter(F.col("o") >= NEAR * F.col("na"))
     near = near.join(near.groupBy("b").agg(F.count("*").alias("size")), "b")
-    near = near.groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest"), F.struct("size", "b")).alias("h"))
-    near = near.select(F.col("a").alias("node"), F.col("na").cast("long").alias("n"), F.col("h.b").alias("hub"), F.col("h.o").alias("o"), F.col("h.rest").alias("rest"))
+    near = near.groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest", "gone"), F.struct("size", "b")).alias("h"))
+    near = near.select(F.col("a").alias("node"), F.col("na").cast("long").alias("n"), F.col("h.b").alias("hub"), F.col("h.nb").alias("nh"), F.col("h.o").alias("o"), F.col("h.rest").alias("rest"), F.col("h.gone").alias("gone"))
     near = stored(near, "near")
     classed = lambda df: df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    beside = beside_hub(classed(near), percent, fits)
+    links = stored(links.union(to_nearest(classed(near), percent, fits)), "links")
+    first, comp = comp, stored(components(links), "classes")
+    links = stored(links.union(beside_hub(classed(near), percent, fits)), "links")
     own = classed(shared)
     # A list whose nodes are all of one class has no pair left.
     mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
     own = stored(own.join(mixed, "token").join(near.select("node", "hub", "o"), "node", "left"), "open")
     rest = candidates(own, percent, fits)
-    pairs = stored(by_prefix(rest, nodes, percent).union(beside).distinct(), "pairs")
+    pairs = stored(by_prefix(rest, nodes, percent), "pairs")
     last, cut = overlaps(pairs, docs, width, freq)
     links = stored(links.union(linked(last, percent)), "links")
-    dropped(cut, pairs, own, near, comp)
+    dropped(cut, pairs, own, near, first, comp)
     comp = stored(components(links), "classes")
     named = every.filter("n > 0").select("row", "doc_id", "n", "d1", "d2").join(names, ["d1", "d2"]).join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("f")).select("comp", F.col("f.doc_id").alias("component_id"), F.col("f.row").alias("head"))

@@ -119,6 +119,32 @@ def test_jaccard(rows, docs, none):
     assert jaccard.classes(none).count() == 0
 
 
+@pytest.mark.parametrize("width,percent", [(3, 90), (5, 80)])
+def test_jaccard_long_lists(spark, tmp_path, width, percent):
+    """Hundreds of copies with few edits, some of them alike, so that lists are long, hubs miss some, and links go beside them; repeated and null ids."""
+    rnd = random.Random(21)
+    base, other = ([f"w{rnd.randrange(10**6)}" for _ in range(n)] for n in (150, 90))
+    texts = []
+    for k in range(260):
+        w = list(base if k % 3 else other)
+        for _ in range(rnd.choice([1, 2, 2, 3, 4, 5])):
+            w[rnd.randrange(len(w))] = rnd.choice(["alpha", "beta", "gamma"])
+        texts.append(" ".join(w))
+    texts += texts[:9] + [None, "", "alpha", "Alpha", "alpha beta"]
+    texts += [" ".join(base[:60] + [f"z{rnd.randrange(10**6)}" for _ in range(3)]) for _ in range(30)]
+    ids = [None if k in (5, 7, 265) else k // 2 if k < 20 else k for k in range(len(texts))]
+    path = str(tmp_path / "d")
+    spark.createDataFrame([(i, t, k, "clash") for k, (i, t) in enumerate(zip(ids, texts))], "doc_id long, text string, place int, row string").repartition(1).sortWithinPartitions("place").write.parquet(path)
+    got = sorted(jaccard.classes(spark.read.parquet(path), width, percent).collect(), key=lambda r: r.row)
+    want = near_classes(texts, width, percent)
+    assert [r.doc_id for r in got] == ids and len(set(want)) > 20
+    for c in set(want):
+        mine = [k for k, x in enumerate(want) if x == c]
+        name = min((ids[k] for k in mine if ids[k] is not None), default=None)
+        assert all(got[k].component_id == name for k in mine)
+        assert [k for k in mine if got[k].first] == [min(mine, key=lambda k: (ids[k] is None, ids[k] or 0, k))]
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(30)] + [(100, 101), (5, 5)]
     got = {r.node: r.comp for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}

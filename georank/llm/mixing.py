@@ -23,7 +23,7 @@ LIMIT = 3
 
 
 def sizes(docs: DataFrame) -> DataFrame:
-    return docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["source"].alias("source"), n_words(docs["text"]).alias("size"))
+    return docs.select(F.monotonically_increasing_id().alias("row"), docs["doc_id"].cast("long").alias("doc_id"), docs["source"].alias("source"), n_words(docs["text"]).alias("size"))
 
 
 def targets(sized: DataFrame, limit: int = LIMIT) -> DataFrame:
@@ -63,6 +63,28 @@ def permute(index: np.ndarray, n: np.ndarray, seed: np.ndarray) -> np.ndarray:
     return out.astype(np.int64)
 
 
+#: From so many on, numpy refuses exact hypergeometric draws.
+MANY = 10**9
+
+
+def deal(rng: np.random.Generator, quota: np.ndarray, n: int) -> np.ndarray:
+    """n blocks drawn without replacement from the sources' quotas: exactly below MANY, from there on by the draw's normal limit, kept within what is possible."""
+    out, left = np.zeros(len(quota), np.int64), int(quota.sum())
+    if left < MANY:
+        return rng.multivariate_hypergeometric(quota, n, method="marginals")
+    for i, have in enumerate(quota.tolist()):
+        rest = left - have
+        if left < MANY:
+            got = int(rng.hypergeometric(have, rest, n)) if n else 0
+        else:
+            share = have / left
+            spread = (n * share * (1 - share) * (left - n) / max(1, left - 1)) ** 0.5
+            got = min(max(round(n * share + spread * rng.standard_normal()), n - rest, 0), have, n)
+        out[i] = got
+        left, n = rest, n - got
+    return out
+
+
 def draws(quota: np.ndarray, shard: int, seed: int, low: int, high: int):
     """(shard, blocks of each source) for the shards low..high-1; first, under shard -1, sums of those before them.
 
@@ -80,30 +102,30 @@ def draws(quota: np.ndarray, shard: int, seed: int, low: int, high: int):
             yield a, q
         else:
             mid = (a + b) // 2
-            left = np.random.default_rng([seed, a, b]).multivariate_hypergeometric(q, min(int(q.sum()), (mid - a) * shard), method="marginals")
+            left = deal(np.random.default_rng([seed, a, b]), q, min(int(q.sum()), (mid - a) * shard))
             stack += [(mid, b, q - left), (a, mid, left)]
 
 
 def mix_blocks(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, seed: int = 1, limit: int = LIMIT) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(taken words per document, the mix's slots in order, targets).
 
-    Per document: rid (a row number), doc_id, source, size, source_size, target, taken. Slots: shard, src, slot,
+    Per document: row (its monotonically_increasing_id in docs), doc_id, source, size, source_size, target, taken. Slots: shard, src, slot,
     epoch, block. A null or wordless text has size 0 and is never taken; a null source is a source; repeated rows are
     documents of their own; an empty table gives an empty mix. Reruns agree: order and draws depend on rows alone.
     """
     spark = docs.sparkSession
     sized = sizes(docs)
     goals = checkpointed(targets(sized, limit))
-    key = F.xxhash64(F.coalesce("doc_id", F.lit(-1)), F.lit(seed))
-    sized = sized.join(goals, sized["source"].eqNullSafe(goals["source"])).select("doc_id", sized["source"], "size", "src", "source_size", "target", key.alias("key"))
+    key = F.when(F.col("doc_id").isNull(), F.xxhash64("row", F.lit(~seed))).otherwise(F.xxhash64("doc_id", F.lit(seed)))
+    sized = sized.join(goals, sized["source"].eqNullSafe(goals["source"])).select("row", "doc_id", sized["source"], "size", "src", "source_size", "target", key.alias("key"))
     rows = checkpointed(sized)
     buckets = max(64, rows.count() // BUCKET)
     rows = rows.withColumn("bucket", F.pmod("key", F.lit(buckets)))
-    inside = Window.partitionBy("src", "bucket").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("src", "bucket").orderBy("key", "doc_id", "size", "row").rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("inside", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     base = rows.groupBy("src", "bucket").agg(F.sum("size").alias("held"))
     base = base.select("src", "bucket", F.coalesce(F.sum("held").over(Window.partitionBy("src").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    rows = checkpointed(rows.join(base, ["src", "bucket"]).select("doc_id", "source", "size", "src", "source_size", "target", (F.col("base") + F.col("inside")).alias("start")))
+    rows = checkpointed(rows.join(base, ["src", "bucket"]).select("row", "doc_id", "source", "size", "src", "source_size", "target", (F.col("base") + F.col("inside")).alias("start")))
 
     # One small row per source: the shards' draws need the quotas of all sources together.
     per = goals.orderBy("src").select("src", "source_size", "target").collect()
@@ -142,10 +164,28 @@ def mix_blocks(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, seed: in
     taken = cover.join(uses, ["src", "block"]).groupBy(F.col("src").alias("t_src"), F.col("start").alias("t_start")).agg(F.sum(words * F.col("uses")).alias("taken"))
     # Documents with words have different starts; the others start where another does, and take nothing.
     out = rows.join(taken, (F.col("src") == F.col("t_src")) & (F.col("start") == F.col("t_start")) & (F.col("size") > 0), "left")
-    out = out.select("doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"))
+    out = out.select("row", "doc_id", "source", "src", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"))
     return out, mixed, goals
 
 
+def copies(mixed: DataFrame) -> DataFrame:
+    """(row, copies) of the documents that a mix of whole documents holds, so that each source's words stay within a few of its largest texts of the target.
+
+    A document's share taken / size is rounded to whole copies systematically: along each source's documents, by classes of size, shares are added
+    up and a copy is given wherever the sum passes a whole number. Shares are counted in 2**-20ths, so sums are exact and reruns agree.
+    """
+    unit = 1 << 20
+    rows = checkpointed(mixed.filter("size > 0").select("row", "src", "size", F.floor(F.col("taken") * F.lit(unit) / F.col("size")).cast("long").alias("share"), F.floor(F.log2("size") * 8).cast("int").alias("kind")))
+    subs = max(1, rows.count() // BUCKET)
+    rows = rows.withColumn("sub", F.pmod(F.xxhash64("row"), F.lit(subs)))
+    held = rows.groupBy("src", "kind", "sub").agg(F.sum("share").alias("held"))
+    base = held.select("src", "kind", "sub", F.coalesce(F.sum("held").over(Window.partitionBy("src").orderBy("kind", "sub").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    inside = F.sum("share").over(Window.partitionBy("src", "kind", "sub").orderBy("size", "row").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    upto = rows.withColumn("inside", inside).join(base, ["src", "kind", "sub"]).withColumn("upto", F.col("base") + F.col("inside") + F.lit(unit // 2))
+    whole = F.floor(F.col("upto") / unit) - F.floor((F.col("upto") - F.col("share")) / unit)
+    return upto.select("row", whole.cast("long").alias("copies")).filter("copies > 0")
+
+
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = mix_blocks(table(spark, sf_dir, "documents"))[0]
     return out.select("doc_id", "size", "source_size", "target", "taken")

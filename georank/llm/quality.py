@@ -48,9 +48,9 @@ def consistency(p: int, share: float) -> float:
 
 
 def base(docs: DataFrame) -> DataFrame:
-    """n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words of whole texts; null texts have no words."""
+    """row (its monotonically_increasing_id in docs), n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words of whole texts; null texts have no words."""
     text = F.coalesce(docs["text"], F.lit(""))
-    df = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["lang"].alias("lang"), docs["source"].alias("source"), words(text).alias("w"), F.regexp_count(text, F.lit(r"[#*$%&|<>]")).cast("long").alias("n_symbols"), F.filter(F.split(text, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"))
+    df = docs.select(F.monotonically_increasing_id().alias("row"), docs["doc_id"].cast("long").alias("doc_id"), docs["lang"].alias("lang"), docs["source"].alias("source"), words(text).alias("w"), F.regexp_count(text, F.lit(r"[#*$%&|<>]")).cast("long").alias("n_symbols"), F.filter(F.split(text, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"))
     df = df.select("*", F.size("w").cast("long").alias("n_words"), F.char_length(F.array_join("w", "")).cast("long").alias("word_chars"), (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"))
     n = F.col("n_words").cast("int")
     # Windows of three words with their place, sorted: equal windows stand side by side.
@@ -66,7 +66,7 @@ def base(docs: DataFrame) -> DataFrame:
     covered = F.when(k > 0, F.aggregate(gaps, F.lit(3), lambda s, x: s + x)).otherwise(0)
     df = df.withColumn("n_repeat_words", covered.cast("long"))
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return df.select("doc_id", "lang", "source", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"))
+    return df.select("row", "doc_id", "lang", "source", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"))
 
 
 def _vector() -> list[Column]:
@@ -138,7 +138,7 @@ def judge(docs: DataFrame, share: float = 0.75, cutoff: float = CUTOFF, rounds:
     d = len(NAMES)
     stats = checkpointed(base(docs))
     group = F.xxhash64(F.coalesce("lang", F.lit("")), F.col("lang").isNull(), F.coalesce("source", F.lit("")), F.col("source").isNull())
-    named = stats.select("*", *[x.alias(f"x{i}") for i, x in enumerate(_vector())], group.alias("grp"), F.pmod(F.xxhash64("doc_id", "n_words"), F.lit(SALTS)).cast("int").alias("salt"))
+    named = stats.select("*", *[x.alias(f"x{i}") for i, x in enumerate(_vector())], group.alias("grp"), F.pmod(F.xxhash64("row"), F.lit(SALTS)).cast("int").alias("salt"))
     xs = [f"x{i}" for i in range(d)]
     good = named.filter(~F.col("base_failed")).select("grp", "salt", *xs)
     keys = ["grp", "start"]

@@ -362,17 +362,84 @@ def test_language(spark, none):
     assert language.predict(docs, language.train(none)).filter("lang_pred <> 'und'").count() == 0
 
 
-def test_pipeline_stages_keep_columns(spark, docs, tmp_path):
+def test_language_letters(spark, none):
+    """What is no letter is no language, though Python counts it as alphanumeric; null and repeated ids; a word seen once counts."""
+    rows = [(i, t, lang, "s", 0, "") for i, (t, lang) in enumerate([("alpha beta", "aa"), ("gamma delta", "bb")] * 6)]
+    model = language.train(spark.createDataFrame(rows + [(99, "unique", "bb", "s", 0, "")], SCHEMA))
+    asked = spark.createDataFrame([(None, "²", "x", "s", 0, ""), (1, "½ Ⅷ ①", "x", "s", 0, ""), (1, "unique", "x", "s", 0, ""), (None, "beta " * 50_000, "x", "s", 0, "")], SCHEMA)
+    assert sorted((r.lang_pred, r.score > 0.5) for r in language.predict(asked, model).collect()) == [("aa", True), ("bb", True), ("und", False), ("und", False)]
+
+
+def test_bpe_long_word_equals_scan(monkeypatch):
+    """Beyond SHORT characters a heap finds the merges that scanning finds; a megabyte of letters takes seconds."""
+    enc = pieces.RankArrayPieces(open(P.path("word_bpe_49k.json")).read())
+    rnd = random.Random(3)
+    words = ["".join(rnd.choice("aabcdeinorst") for _ in range(n)) for n in (129, 200, 1000)] + ["ab" * 300, "a" * 257]
+    long = [enc.word(w) for w in words]
+    assert len(enc.word("".join(rnd.choice("aabcdeinorst") for _ in range(1_000_000)))) > 100_000
+    monkeypatch.setattr(pieces, "SHORT", 10**9)
+    assert [enc.word(w) for w in words] == long
+
+
+def test_mixing_deals_large_quotas():
+    """Above what numpy draws exactly, a deal still adds up, stays within the quotas, and is near its mean."""
+    quota = np.array([7 * 10**9, 10**9, 5, 0, 3 * 10**8], np.int64)
+    for n in (0, 1, 10**6, int(quota.sum()) - 3, int(quota.sum())):
+        got = mixing.deal(np.random.default_rng(n % 97), quota, n)
+        assert got.sum() == n and (got >= 0).all() and (got <= quota).all()
+    share = mixing.deal(np.random.default_rng(1), quota, 10**8) / 1e8
+    assert np.allclose(share, quota / quota.sum(), atol=1e-3)
+    assert sum(c.sum() for k, c in mixing.draws(quota // 1000, 10**5, 1, 0, 5)) > 0
+
+
+def test_mixing_copies_keep_targets(spark, tmp_path):
+    """Sources of few very long texts keep their words near the target; null and shared ids are documents of their own."""
+    rows = [(i % 5 if i % 7 else None, "w " * (4000 if i < 6 else 20 + i % 9), "few" if i < 6 else "many", 0, "x") for i in range(400)]
+    path = str(tmp_path / "d")
+    spark.createDataFrame(rows, "doc_id long, text string, source string, src int, row string").write.parquet(path)
+    out = mixing.mix_blocks(spark.read.parquet(path))[0]
+    got = out.join(mixing.copies(out), "row", "left").groupBy("source").agg(F.sum(F.coalesce("copies", F.lit(0)) * F.col("size")).alias("words"), F.first("target").alias("target"), F.max("size").alias("most")).collect()
+    assert len(got) == 2 and all(abs(r.words - r.target) <= 1.5 * r.most for r in got)
+
+
+def test_pipeline_stages_equal_brute_force(spark, docs, none, tmp_path):
+    """Every stage's rows against brute force or the operator's own rows on that stage's input: shared and null ids, clashing names."""
     import corpus_pipeline as c
 
-    cur = docs.select("doc_id", "text", "lang", "source")
+    rnd = random.Random(14)
+    texts = [" ".join(f"w{rnd.randrange(5000)}" for _ in range(80)) for _ in range(24)]
+    texts += [texts[0], texts[1] + " tail", None, "", "too short"]
+    rows = [([1, None, i][i % 3] if i < 12 else i, t, "en", "s" if i % 2 else None, i, "clash", i * 2, "own") for i, t in enumerate(texts)]
+    path = str(tmp_path / "docs")
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, place int, row string, n_bytes long, spans string").write.parquet(path)
+    cur = spark.read.parquet(path)
     for k, (name, stage) in enumerate(c.STAGES):
         out = stage(spark, cur, "")
+        have = {r.place: r for r in cur.collect()} if k < 4 else {}
         if k < len(c.STAGES) - 1:
             assert out.columns == cur.columns, name
         out.write.parquet(str(tmp_path / str(k)))
-        cur = spark.read.parquet(str(tmp_path / str(k)))
-    assert cur.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+        new = spark.read.parquet(str(tmp_path / str(k)))
+        got = new.collect()
+        if name == "quality rules":  # nothing here is an outlier, so the base rules decide
+            assert {r.place for r in got} == {p for p, r in have.items() if len(WORD.findall(r.text or "")) >= 50}
+        if name == "near duplicates":
+            order = sorted(have, key=lambda p: (have[p].doc_id is None, have[p].doc_id or 0, p))
+            first = near_classes([have[p].text for p in order])
+            assert {r.place for r in got} == {order[i] for i in set(first)} and len(got) == 24
+        if name == "repeated passages":
+            order = sorted(have)
+            left = [bytes(np.frombuffer((have[p].text or "").encode(), np.uint8)[~g]).decode() for p, g in zip(order, brute_suffixes([(have[p].text or "").encode() for p in order]))]
+            assert [r.text for r in sorted(got, key=lambda r: r.place)] == left
+        if name == "source mix":
+            assert all(r == have[r.place] for r in got) and len(got) >= 12
+        cur = new
+    assert cur.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] and cur.count() == len(got) > 0
+    empty = none
+    for k, (name, stage) in enumerate(c.STAGES):
+        stage(spark, empty, "").write.parquet(str(tmp_path / f"none{k}"))
+        empty = spark.read.parquet(str(tmp_path / f"none{k}"))
+        assert empty.count() == 0, name
 
 
 def near_classes(texts, width=5, percent=80):

@@ -4,7 +4,8 @@ Each stage takes (spark, docs, sf_dir); docs has the columns of documents. run()
 shared folder and rereads it as the next stage's docs, so a lost executor costs one stage at most.
 
 Null, empty and very long texts, repeated rows, empty tables and further columns of docs are handled as the
-operators' docstrings say; further columns pass through the stages that keep documents.
+operators' docstrings say; rows with one id, or without, are documents of their own; further columns pass through the stages that keep
+documents, whatever their names.
 """
 
 from __future__ import annotations
@@ -13,42 +14,36 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from georank.llm import bpe, jaccard, mixing, quality, suffixes
-from georank.llm.common import checkpointed, shared_path
+from georank.llm.common import shared_path
 from georank.plans.shipping import ship
 
 
-def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The documents with these ids (one column, doc_id); a null id matches a null id."""
-    ids = ids.select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["__id"]), "left_semi")
+def _rows(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """The documents whose place in docs is one of `row`: rows are told apart by it, as ids can repeat or be null."""
+    placed = docs.select(F.monotonically_increasing_id().alias("row"), F.struct(*[docs[c].alias(f"c{i}") for i, c in enumerate(docs.columns)]).alias("doc"))
+    return placed.join(rows, "row").select(*[F.col(f"doc.c{i}").alias(c) for i, c in enumerate(docs.columns)], *[F.col(c) for c in rows.columns if c != "row"])
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rules reject go."""
-    return _only(docs, quality.judge(docs).filter("kept"))
+    return _rows(docs, quality.judge(docs).filter("kept").select("row"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near duplicates (five-word shingles, Jaccard 0.8) stays: that with the smallest id; of rows with one id, one."""
-    found = checkpointed(jaccard.classes(docs, width=5, percent=80))
-    kept = _only(docs, found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))))
-    n, ids = found.agg(F.count("*"), F.countDistinct(F.coalesce("doc_id", F.lit(-1)))).first()
-    return kept if n == ids else kept.dropDuplicates(["doc_id"])
+    """One document of each class of near duplicates (five-word shingles, Jaccard 0.8) stays: that with the smallest id, of several the first."""
+    return _rows(docs, jaccard.classes(docs, width=5, percent=80).filter("first").select("row"))
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Bytes of passages that occur elsewhere go; documents stay, if need be with no text."""
-    left = suffixes.remove(docs).drop("n_bytes", "n_removed", "n_spans")
+    left = suffixes.remove(docs).select(*docs.columns)
     return left.withColumn("n_chars", F.char_length("text").cast("long")) if "n_chars" in docs.columns else left
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes its words: the whole times, and once more with the rest as probability, drawn by its id."""
-    taken = mixing.mix_blocks(docs)[0].filter("size > 0").groupBy("doc_id").agg((F.sum("taken") / F.sum("size")).alias("times"))
-    draw = F.pmod(F.xxhash64("doc_id", F.lit(23)), F.lit(1 << 30)) / float(1 << 30)
-    copies = taken.select(F.col("doc_id").alias("__id"), (F.floor("times") + (draw < F.col("times") - F.floor("times")).cast("int")).alias("__copies")).filter("__copies > 0")
-    joined = docs.join(copies, docs["doc_id"].eqNullSafe(copies["__id"]))
-    return joined.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*[docs[c] for c in docs.columns])
+    """Each document as often as the mix takes its words, in whole copies that keep each source's words near its target."""
+    copies = mixing.copies(mixing.mix_blocks(docs)[0]).withColumnRenamed("copies", "__copies")
+    return _rows(docs, copies).withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*docs.columns)
 
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -351,9 +351,9 @@ def index_size(spark, d):
 
 
 # Estimates.
-def est(spark, d):
+def est(spark, d, slack: int = SLACK):
     o, q = base(spark, d)
-    return B.est_contributions(M.range_matches(o, q), q, o, SLACK)
+    return B.est_contributions(M.range_matches(o, q), q, o, slack)
 
 
 @query("ec", then=f"SELECT seq, oid, {2 + SLACK} * lo_rank AS est2, num FROM ec")
@@ -375,16 +375,15 @@ def approx_topm_batch(spark, d):
 ORACLES["approx_topm_batch"] = run_sql("ec", c="ec", scale=f"{2 * W_}.0")
 
 MODES = {
-    "literal": {}, "aging": {"aging": True, "buffer": 10}, "buffer": {"buffer": 10}, "no_block": {"block_level": False},
+    "literal": {"by_value": False}, "aging": {"aging": True, "buffer": 10}, "buffer": {"buffer": 10}, "no_block": {"block_level": False},
     "no_object": {"object_level": False}, "no_reuse": {"reuse": False}, "naive_gain": {"naive": True}, "recompute": {"block_level": False, "object_level": False, "reuse": False},
 }
 
 
-def monitors(spark, d, modes, block: int = BLOCK):
+def monitors(spark, d, modes, block: int = BLOCK, slack: int = SLACK):
     o, q = base(spark, d)
     n = o.count()
-    c = est(spark, d).withColumn("num", F.greatest("num", F.lit(0)))
-    return R.replay(R.prepare(c, q), n, W_, M_, 2 * (n + 1) - (2 + SLACK), modes, block)
+    return R.replay(R.prepare(est(spark, d, slack), q), n, W_, M_, 2 * (n + 1) - (2 + slack), modes, block)
 
 
 @query()
@@ -393,7 +392,7 @@ def approx_monitor_topm(spark, d):
     return out.select("win", F.col("pos").cast("long").alias("pos"), "oid", "num", (F.col("num") / F.lit(2.0 * W_)).alias("pop"))
 
 
-ORACLES["approx_monitor_topm"] = run_sql("ec", c="(SELECT seq, oid, greatest(num, 0) AS num FROM ec)", scale=f"{2 * W_}.0")
+ORACLES["approx_monitor_topm"] = ORACLES["approx_topm_batch"]
 
 
 @query()
@@ -465,18 +464,6 @@ def overlap_at_k(spark, d):
     return hit.crossJoin(F.broadcast(wins)).select("m", "k", mean(F.col("m")).alias("overlap_over_m"), mean(F.least("m", "k")).alias("overlap_over_min_mk"))
 
 
-@query()
-def slack_tradeoff(spark, d):
-    """Places of leaves and their mean level for slack 1 to 5; the index's entries and bytes, and the ratio, are not computed."""
-    o, q = base(spark, d)
-    up = B.ancestors(q)
-    b = B.rank_bounds(B.cell_distances(o, up.select(*B.CELL).distinct())).groupBy(*B.CELL).agg(F.max((F.col("hi_rank") - F.col("lo_rank")) / F.col("lo_rank")).alias("need"))
-    s = up.join(b, B.CELL).withColumn("slack", F.explode(F.sequence(F.lit(1), F.lit(5)))).filter("need <= slack")
-    leaf = s.groupBy("slack", "x", "y").agg(F.min("lvl").alias("lvl"))
-    return leaf.groupBy("slack").agg(F.count("*").alias("leaves"), F.avg("lvl").alias("mean_level"))
-
-
-
 @query()
 def exact_pruned_topm(spark, d):
     """The monitor's machinery on exact contributions: thresholds, aging bound and validation, no estimates."""
@@ -599,7 +586,7 @@ def _sweep(spark, d, modes):
 
 @query()
 def sweep_window(spark, d):
-    return _sweep(spark, d, {f"w{w}": {"w": w, "aging": True, "buffer": 10} for w in (100, 200, 400, 800)})
+    return _sweep(spark, d, {f"w{w}": {"w": w, "aging": True, "buffer": 10} for w in (100, 200, 400, 800, 1600)})
 
 
 @query()

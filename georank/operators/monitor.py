@@ -13,6 +13,7 @@ from __future__ import annotations
 import heapq
 from collections import deque
 from dataclasses import dataclass, field
+from time import perf_counter
 
 
 @dataclass
@@ -35,10 +36,10 @@ def safe_rank2(n: int, ub_next: int, gain: int, floor: int) -> int:
 class Monitor:
     """modes: block_level, object_level, aging, reuse, naive gain; all give the same answers at different cost."""
 
-    def __init__(self, n: int, w: int, m: int, cmax: int, block: int = 128, buffer: int = 0, block_level: bool = True, object_level: bool = True, aging: bool = False, reuse: bool = True, naive: bool = False, retain: int | None = None):
+    def __init__(self, n: int, w: int, m: int, cmax: int, block: int = 128, buffer: int = 0, block_level: bool = True, object_level: bool = True, aging: bool = False, reuse: bool = True, naive: bool = False, retain: int | None = None, by_value: bool = True):
         self.n, self.w, self.m, self.cmax, self.block, self.buffer = n, w, m, cmax, block, buffer
         self.block_level, self.object_level, self.aging, self.reuse, self.naive = block_level, object_level, aging, reuse, naive
-        self.retain = w // 3 if retain is None else retain
+        self.retain, self.by_value = w // 3 if retain is None else retain, by_value
         self.live: deque[Reached] = deque()
         self.touch: dict[int, int] = {}
         self.held: dict[int, int] = {}
@@ -57,6 +58,15 @@ class Monitor:
             return v, True
         return sum(q.value.get(oid, 0) for q in self.live), False
 
+    def _settled(self, new: Reached, gain: int, floor: int) -> bool:
+        """Whether no outsider can overtake a result object. By value: the m-th value exceeds the best outsider's and its gain. By rank: every
+        result object is reached by the new query at a rank estimate below the safe rank, so it is at least as much above the floor."""
+        best = self._order(self.held)[: self.m]
+        if self.by_value:
+            return min((self.held[o] for o in best), default=0) > self.ub_next + gain
+        safe = safe_rank2(self.n, self.ub_next, gain, floor)
+        return all(o in new.value and 2 * (self.n + 1) - new.value[o] < safe for o in best)
+
     def _order(self, values: dict[int, int]) -> list[int]:
         return sorted(values, key=lambda o: (-values[o], o))
 
@@ -80,7 +90,8 @@ class Monitor:
         return [(o, self.held[o]) for o in self._order(self.held)[: self.m]]
 
     def step(self, new: Reached) -> tuple[list[tuple[int, int]], dict]:
-        """Shift the window by one query: the result, and what it cost."""
+        """Shift the window by one query: the result, and what it cost, in objects and in seconds by phase."""
+        begun = perf_counter()
         self.shift += 1
         old = self.live.popleft()
         self.gone.append(old)
@@ -115,9 +126,9 @@ class Monitor:
 
         outcome = None
         if floor is not None and len(self.held) >= size:
-            lowest = min((self.held[o] for o in self._order(self.held)[: self.m]), default=0)
-            if self.block_level and not self.naive and lowest > self.ub_next + g_block:
+            if self.block_level and not self.naive and self._settled(new, g_block, floor):
                 outcome, up = "block", g_block
+            blocks_done = perf_counter()
             if outcome is None and self.object_level:
                 g_obj, opened = 0, 0
                 work, at = list(heap), cursor
@@ -133,11 +144,15 @@ class Monitor:
                     for o in new.blocks[b][1]:
                         if o not in self.held:
                             g_obj = max(g_obj, new.value[o] - old.value.get(o, 0))
-                if lowest > self.ub_next + g_obj:
+                if self._settled(new, g_obj, floor):
                     outcome, up = "object", g_obj
+        else:
+            blocks_done = perf_counter()
+        objects_done = perf_counter()
+        spent = {"t_block": blocks_done - begun, "t_object": objects_done - blocks_done, "t_valid": 0.0}
         if outcome:
             self.ub_next += up
-            return self._result(), {"outcome": outcome, "opq_validation": 0, "opq_total": len(self.held), "reused": 0}
+            return self._result(), {"outcome": outcome, "opq_validation": 0, "opq_total": len(self.held), "reused": 0} | spent
 
         # Validation: outsiders that may now reach the m-th value, each by its own bound, best bound first.
         ranked = self._order(self.held)
@@ -174,4 +189,5 @@ class Monitor:
         for o, v in self.held.items():
             self.seen[o] = (v, self.shift)
         self.ub_next = rest
-        return self._result(), {"outcome": "validated" if evaluated else "empty", "opq_validation": evaluated, "opq_total": evaluated + self.m, "reused": reused}
+        spent["t_valid"] = perf_counter() - objects_done
+        return self._result(), {"outcome": "validated" if evaluated else "empty", "opq_validation": evaluated, "opq_total": evaluated + self.m, "reused": reused} | spent

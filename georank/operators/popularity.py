@@ -72,8 +72,8 @@ def _intervals_with_end(contribs: DataFrame, w: int, end: DataFrame) -> DataFram
 def result_changes(top: DataFrame) -> DataFrame:
     """(win) at which the ordered result differs from the one before; the first window counts."""
     lists = top.groupBy("win").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "oid"))), lambda s: s["oid"]).alias("oids"))
-    before = F.lag("oids").over(Window.orderBy("win"))
-    return lists.withColumn("b", before).filter(F.col("b").isNull() | (F.col("b") != F.col("oids"))).select("win")
+    before = lists.select((F.col("win") + 1).alias("win"), F.col("oids").alias("b"))
+    return lists.join(before, "win", "left").filter(F.col("b").isNull() | (F.col("b") != F.col("oids"))).select("win")
 
 
 def est_rank2(lo_rank, slack: int, n=None) -> Column:

@@ -1,14 +1,17 @@
-"""Monitors as stateful operators over a prepared stream: one Python group per monitor, everything else set-oriented before it."""
+"""Monitors as stateful operators over a prepared stream: one ordered pass per monitor, everything else set-oriented before it."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.monitor import Monitor, reached
 
-REPLAY = "monitor string, win long, pos int, oid long, num long, outcome string, opq_validation long, opq_total long"
+COLUMNS = ["monitor", "win", "pos", "oid", "num", "outcome", "opq_validation", "opq_total", "t_block", "t_object", "t_valid"]
+REPLAY = "monitor string, win long, pos int, oid long, num long, outcome string, opq_validation long, opq_total long, t_block double, t_object double, t_valid double"
 
 
 def prepare(contribs: DataFrame, queries: DataFrame, order: str = "lo_rank") -> DataFrame:
@@ -20,24 +23,31 @@ def prepare(contribs: DataFrame, queries: DataFrame, order: str = "lo_rank") ->
 
 
 def replay(prepared: DataFrame, n: int, w: int, m: int, cmax: int, modes: dict[str, dict], block: int = 128) -> DataFrame:
-    """Results and costs per window of each named monitor; a mode may set its own w, m and block. Monitors run beside one another, shifts of one are sequential."""
+    """Results and costs per window of each named monitor; a mode may set its own w, m and block.
+
+    Monitors run beside one another, shifts of one are sequential: its queries stream by in order of seq, and a task holds one window's
+    queries and one Arrow batch, whatever the stream's length.
+    """
     names = F.array(*[F.lit(k) for k in modes])
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("seq")
-        own = {"w": w, "m": m, "block": block} | modes[key[0]]
-        rows, live, mon = [], [], Monitor(n, cmax=cmax, **own)
-        for i, (seq, oids, nums) in enumerate(zip(pdf.seq, pdf.oids, pdf.nums)):
-            q = reached(list(map(int, oids)), list(map(int, nums)), own["block"])
-            if i < own["w"]:
-                live.append(q)
-                if i < own["w"] - 1:
-                    continue
-                res, cost = mon.start(live), {"outcome": "first", "opq_validation": 0, "opq_total": 0}
-            else:
-                res, cost = mon.step(q)
-            for pos, (oid, num) in enumerate(res, 1):
-                rows.append((key[0], seq, pos, oid, num, cost["outcome"], cost["opq_validation"], cost["opq_total"]))
-        return pd.DataFrame(rows, columns=["monitor", "win", "pos", "oid", "num", "outcome", "opq_validation", "opq_total"])
-
-    return prepared.withColumn("monitor", F.explode(names)).groupBy("monitor").applyInPandas(run, REPLAY)
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        name, own, live, mon = None, {}, [], None
+        for pdf in batches:
+            rows = []
+            for key, seq, oids, nums in zip(pdf.monitor, pdf.seq, pdf.oids, pdf.nums):
+                if key != name:
+                    name, own, live = key, {"w": w, "m": m, "block": block} | modes[key], []
+                    mon = Monitor(n, cmax=cmax, **own)
+                q = reached(list(map(int, oids)), list(map(int, nums)), own["block"])
+                if live is not None:
+                    live.append(q)
+                    if len(live) < own["w"]:
+                        continue
+                    res, cost, live = mon.start(live), {"outcome": "first"}, None
+                else:
+                    res, cost = mon.step(q)
+                rows += [(key, seq, pos, oid, num, *[cost.get(c, 0) for c in COLUMNS[5:]]) for pos, (oid, num) in enumerate(res, 1)]
+            yield pd.DataFrame(rows, columns=COLUMNS)
+
+    each = prepared.withColumn("monitor", F.explode(names)).select("monitor", "seq", "oids", "nums")
+    return each.repartition(len(modes), "monitor").sortWithinPartitions("monitor", "seq").mapInPandas(run, REPLAY)

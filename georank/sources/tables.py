@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 L = T.LongType()
+#: Users of a range of keys: windows within ranges, and one over ranges, take the place of one over all users.
+RANGE = 1000
 OBJECT_SCHEMA = T.StructType([T.StructField("oid", L), T.StructField("x", L), T.StructField("y", L)])
 QUERY_SCHEMA = T.StructType([T.StructField("seq", L), T.StructField("ts", T.TimestampType()), T.StructField("x", L), T.StructField("y", L), T.StructField("kind", T.StringType()), T.StructField("r2", L), T.StructField("k", T.IntegerType())])
 RESULT_SCHEMA = T.StructType([T.StructField("win", L), T.StructField("pos", T.IntegerType()), T.StructField("oid", L), T.StructField("num", L), T.StructField("pop", T.DoubleType())])
@@ -95,9 +97,17 @@ def queries_checkin(spark: SparkSession, sf_dir: str) -> DataFrame:
     u = c.groupBy("user").agg(F.max("ts").alias("ts"), F.count("*").alias("c"), F.expr("sum(x) div count(*)").alias("x"), F.expr("sum(y) div count(*)").alias("y"))
     d = c.select("user", F.col("x").alias("px"), F.col("y").alias("py")).join(u, "user")
     u = d.groupBy("user", "ts", "c", "x", "y").agg(F.max((F.col("px") - F.col("x")) * (F.col("px") - F.col("x")) + (F.col("py") - F.col("y")) * (F.col("py") - F.col("y"))).alias("own"))
-    r = F.when(F.col("c") > 1, F.col("own"))
-    after = F.first(r, True).over(Window.orderBy("user").rowsBetween(0, Window.unboundedFollowing))
-    head = u.filter("c > 1").agg(F.min_by("own", "user").alias("head"))
-    u = u.crossJoin(F.broadcast(head)).withColumn("r2", F.coalesce(after, F.col("head"), F.lit(0)).cast("long"))
-    seq = (F.row_number().over(Window.orderBy("ts", "user")) - 1).cast("long")
-    return checked(u.select(seq.alias("seq"), "ts", "x", "y", F.lit("range").alias("kind"), "r2", F.lit(None).cast("int").alias("k")), QUERY_SCHEMA)
+    # The next user with several check-ins: within a range of keys by a running window, across ranges by the ranges' first ones.
+    u = u.withColumns({"r": F.when(F.col("c") > 1, F.col("own")), "part": F.expr(f"user div {RANGE}")})
+    down = Window.partitionBy("part").orderBy(F.desc("user")).rowsBetween(Window.unboundedPreceding, 0)
+    heads = u.filter("c > 1").groupBy("part").agg(F.min_by("own", "user").alias("head"))
+    later = Window.orderBy(F.desc("part")).rowsBetween(Window.unboundedPreceding, -1)
+    carried = u.select("part").distinct().join(heads, "part", "left").select("part", F.last("head", True).over(later).alias("carried"))
+    whole = u.filter("c > 1").agg(F.min_by("own", "user").alias("head"))
+    u = u.withColumn("after", F.last("r", True).over(down)).join(carried, "part").crossJoin(F.broadcast(whole)).withColumn("r2", F.coalesce("after", "carried", "head", F.lit(0)).cast("long"))
+    # Numbers in order of time and user: days' counts come first, then places within days.
+    u = u.withColumn("day", F.to_date("ts"))
+    days = u.groupBy("day").agg(F.count("*").alias("n"))
+    days = days.select("day", F.coalesce(F.sum("n").over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    seq = (F.col("before") + F.row_number().over(Window.partitionBy("day").orderBy("ts", "user")) - 1).cast("long")
+    return checked(u.join(days, "day").select(seq.alias("seq"), "ts", "x", "y", F.lit("range").alias("kind"), "r2", F.lit(None).cast("int").alias("k")), QUERY_SCHEMA)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -85,7 +86,7 @@ def parts(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def sliced(batches, column: str, most: int = 4 << 20):
+def sliced(batches, column: str, most: int = 2 << 20):
     """Record batches cut so that the column's text has `most` bytes, or is one row."""
     for batch in batches:
         if not batch.num_rows:
@@ -98,6 +99,16 @@ def sliced(batches, column: str, most: int = 4 << 20):
             end = max(at + 1, int(np.searchsorted(total, base + most, "right")))
             yield batch.slice(at, end - at)
             at = end
+    released()
+
+
+def released() -> None:
+    """Give a worker's freed memory back to the system: workers outlive their tasks, and the next stage's tasks get them."""
+    _POWERS.clear()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # a C library without it
+        pass
 
 
 def text_bytes(col) -> tuple[np.ndarray, np.ndarray]:

@@ -13,6 +13,8 @@ import zlib
 
 #: Entries of a worker's caches of words and of pieces; a cache is emptied when full, so memory stays bounded.
 WORDS, PIECES = 800_000, 600_000
+#: The same of the encoder by ranks, whose entries hold their texts.
+RANKED = 350_000
 #: Characters up to which a word's ranks are scanned for the least.
 SHORT = 128
 #: Plain pieces: letters of Basic Latin and Latin-1, which no tokenizer here composes or splits, then signs.
@@ -249,7 +251,7 @@ class RankArrayPieces:
         e = self.words.get(word)
         if e is None:
             e = self._entry(self.word(word if word.isascii() else "".join([self.byte[b] for b in word.encode()])))
-            if len(self.words) >= WORDS:
+            if len(self.words) >= RANKED:
                 self.words.clear()
             if len(word) < 64:
                 self.words[word] = e
@@ -277,7 +279,7 @@ class RankArrayPieces:
         cut = [[p for p in t.replace("\n", " ").split(" ") if p] for t in texts]
         seen = set().union(*cut)
         odd = seen.difference(cache)
-        if len(cache) + len(odd) > PIECES:
+        if len(cache) + len(odd) > RANKED:
             cache.clear()
             odd = seen
         cache.update((p, self.piece(p)) for p in odd)

@@ -231,7 +231,7 @@ def spans(docs: DataFrame, length: int = LENGTH, hot: int = HOT) -> DataFrame:
     """(rid, spans): each row's byte ranges [start, past) that are covered by repeated strings; rows without any are left out. docs has rid, text."""
 
     def cut(batches):
-        for batch in sliced(batches, "text", 2 << 20):
+        for batch in sliced(batches, "text", 1 << 20):
             row, start, count, at, anchor, ident = reads_of(batch.column(1), length)
             rid = batch.column(0).to_numpy()[row]
             yield pa.RecordBatch.from_pydict({"anchor": pa.array(anchor), "ident": pa.array(ident), "rid": pa.array(rid), "start": pa.array(start.astype(np.int32)), "windows": pa.array(count.astype(np.int32)), "at": pa.array(at.astype(np.int32))})
@@ -274,7 +274,7 @@ def remove(docs: DataFrame, length: int = LENGTH, digests: bool = False, hot: in
     made = "n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * (not digests)
 
     def strip(batches):
-        for batch in sliced(batches, "text", 8 << 20):
+        for batch in sliced(batches, "text", 4 << 20):
             n, gone, runs, digest, left = [], [], [], [], []
             for t, s in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 data = (t or "").encode()

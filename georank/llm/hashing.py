@@ -16,14 +16,14 @@ from pyspark.sql import functions as F
 
 from .common import checkpointed, table
 
-#: Vectors that the rotations are learned on, at most about; frames; bits of a substring; vectors and queries of a cell.
-SAMPLE, FRAMES, WIDTH, SHARD, QUERIES = 8_000, 4, 8, 50_000, 2_000
+#: Vectors that the rotations are learned on, at most about; frames; vectors of a shard.
+SAMPLE, FRAMES, SHARD = 8_000, 4, 20_000
 #: Share of the sample's true neighbours that the radius must cover.
 COVER = 0.97
 
 
 def valid(vectors: DataFrame, vec: str = "embedding", vid: str = "vec_id") -> DataFrame:
-    """vec_id and vector as doubles, without vectors that are null, empty, zero or hold null or non-finite components."""
+    """vec_id and vector as doubles, without vectors that are null, empty, zero or hold null or non-finite components, and without rows that have no id."""
     v = vectors[vec].cast("array<double>")
     df = vectors.select(vectors[vid].cast("long").alias("vec_id"), v.alias("v")).filter("vec_id is not null and size(v) > 0")
     bad = F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
@@ -66,20 +66,32 @@ class MultiIndex:
     APART = np.bitwise_count(np.arange(256, dtype=np.uint8)[:, None] ^ np.arange(256, dtype=np.uint8)[None]).astype(np.uint8)
 
     def __init__(self, code: np.ndarray):
-        self.code, self.m = code, code.shape[1]
+        self.m = code.shape[1]
+        self.words = self.wide(code)
         self.order = [np.argsort(code[:, j], kind="stable") for j in range(self.m)]
         self.edge = [np.searchsorted(code[:, j][o], np.arange(257)) for j, o in enumerate(self.order)]
 
-    def within(self, query: np.ndarray, radius: int) -> np.ndarray:
-        """Every indexed code at most radius bits away: the first radius mod m + 1 substrings are probed to radius div m, the others to one less."""
-        marked = np.zeros(len(self.code), bool)
+    @staticmethod
+    def wide(code: np.ndarray) -> np.ndarray:
+        """Codes as whole 64-bit numbers, filled up with zero bytes."""
+        return np.pad(code, [(0, 0), (0, -code.shape[1] % 8)]).view(np.uint64)
+
+    def probed(self, query: np.ndarray, radius: int) -> np.ndarray:
+        """Marks what the substrings reach: the first radius mod m + 1 are probed to radius div m, the others to one less."""
+        marked = np.zeros(len(self.words), bool)
         for j in range(self.m):
             reach = radius // self.m - (j > radius % self.m)
-            if reach >= 0:
-                for value in np.flatnonzero(self.APART[query[j]] <= reach):
-                    marked[self.order[j][self.edge[j][value] : self.edge[j][value + 1]]] = True
-        found = np.flatnonzero(marked)
-        return found[np.bitwise_count(self.code[found] ^ query).sum(1) <= radius]
+            if reach < 0 or marked.all():
+                break
+            edge = self.edge[j]
+            for value in np.flatnonzero((self.APART[query[j]] <= reach) & (edge[:-1] < edge[1:])):
+                marked[self.order[j][edge[value] : edge[value + 1]]] = True
+        return marked
+
+    def within(self, query: np.ndarray, radius: int) -> np.ndarray:
+        """Every indexed code at most radius bits away."""
+        found = np.flatnonzero(self.probed(query, radius))
+        return found[np.bitwise_count(self.words[found] ^ self.wide(query[None])).sum(1) <= radius]
 
 
 def inner(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -90,58 +102,80 @@ def inner(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
-def search(base: DataFrame, queries: DataFrame, k: int = 20, sample: int = SAMPLE, shard: int = SHARD, block: int = QUERIES) -> DataFrame:
+def matrix(lists: pa.Array, d: int) -> np.ndarray:
+    """Lists of numbers as rows of d numbers; shorter ones end in zeros."""
+    size = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = lists.flatten().to_numpy(zero_copy_only=False)
+    out = np.zeros((len(size), d))
+    out[np.repeat(np.arange(len(size)), size), np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)] = flat
+    return out
+
+
+def _nearest(index: MultiIndex, ids: np.ndarray, x: np.ndarray, qid: int, q: np.ndarray, code: np.ndarray, radius: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and scores of the k best of a shard, by a radius that grows until it holds k others or all."""
+    most, others = index.m * 8, int((ids != qid).sum())
+    while True:
+        found = index.within(code, radius)
+        found = found[ids[found] != qid]
+        if len(found) >= min(k, others) or radius >= most:
+            break
+        radius = min(most, radius + 8)
+    score = inner(x[found], q)
+    best = np.lexsort((ids[found], -score))[:k]
+    return ids[found][best], score[best]
+
+
+def search(base: DataFrame, queries: DataFrame, k: int = 20, sample: int = SAMPLE, shard: int = SHARD) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each query, by inner product, ties to the smaller id.
 
-    base and queries have vec_id and v (see `valid`); a query's own id isn't among its neighbours. Base rows are dealt
-    to shards and queries to blocks; a cell of both builds the shard's index and answers the block. The radius starts
-    at the learned one and grows until a shard that has k others gives k. Ids are taken to be unique: rows that repeat an
-    id are one candidate each. Vectors of another length than the most common one take no part.
+    base and queries have vec_id and v (see `valid`); a query's own id isn't among its neighbours. Base rows are dealt to shards
+    by their place; each shard's rows come to their task once, are indexed once, and the queries then pass by in Arrow batches, so a task holds
+    a shard and a batch. The radius starts at the learned one and grows until a shard that has k others gives k.
+
+    Rows that repeat an id are one candidate, and one query, each. Vectors shorter than the longest count as if filled up
+    with zeros. Without base rows or queries there are no results.
     """
     spark = base.sparkSession
-    base = checkpointed(base)
-    n = base.count()
-    length = base.groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").first()
-    schema = "query_id long, rank int, vec_id long, score double"
-    if not length:
-        return spark.createDataFrame([], schema)
-    base = base.filter(F.size("v") == length[0])
+    base, queries = checkpointed(base.select("vec_id", "v")), checkpointed(queries.select("vec_id", "v", F.monotonically_increasing_id().alias("ask")))
+    n, d = base.agg(F.count("*"), F.max(F.size("v"))).first()
+    longest = queries.agg(F.max(F.size("v"))).first()[0]
+    if not n or longest is None:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    d = max(d, longest)
     draw = F.pmod(F.xxhash64("vec_id", F.lit(3)), F.lit(1 << 30)) < int((1 << 30) * min(1.0, sample / n))
-    rows = base.filter(draw).orderBy("vec_id").select("v").collect() or base.limit(1).select("v").collect()
-    model = learn(np.array([r[0] for r in rows], np.float64))
-    shards, blocks = -(-n // shard), -(-max(1, queries.count()) // block)
-    dealt = base.select("vec_id", "v", F.pmod(F.xxhash64("vec_id", F.lit(5)), F.lit(shards)).alias("shard"))
-    asked = queries.filter(F.size("v") == length[0]).select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"), F.pmod(F.xxhash64("vec_id", F.lit(6)), F.lit(blocks)).alias("blk"))
-    left = dealt.withColumn("blk", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
-    right = asked.withColumn("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))))
-
-    def answer(have: pa.Table, ask: pa.Table) -> pa.Table:
-        out: dict[str, list] = {"query_id": [], "vec_id": [], "score": []}
-        if have.num_rows and ask.num_rows:
-            ids = have.column("vec_id").to_numpy()
-            x = np.array(have.column("v").combine_chunks().flatten().to_numpy()).reshape(len(ids), -1)
-            qid = ask.column("query_id").to_numpy()
-            q = np.array(ask.column("q").combine_chunks().flatten().to_numpy()).reshape(len(qid), -1)
-            index, probes = MultiIndex(codes(x, model)), codes(q, model)
-            for i in range(len(qid)):
-                radius, most = model["radius"], index.m * 8
-                own = int((ids == qid[i]).sum())
-                while True:
-                    found = index.within(probes[i], radius)
-                    found = found[ids[found] != qid[i]]
-                    if len(found) >= min(k, len(ids) - own) or radius >= most:
-                        break
-                    radius = min(most, radius + 8)
-                score = inner(x[found], q[i])
-                best = np.lexsort((ids[found], -score))[:k]
-                out["query_id"].append(np.full(len(best), qid[i]))
-                out["vec_id"].append(ids[found][best])
-                out["score"].append(score[best])
-        cat = lambda v, t: np.concatenate(v) if v else np.zeros(0, t)
-        return pa.table({"query_id": cat(out["query_id"], np.int64), "vec_id": cat(out["vec_id"], np.int64), "score": cat(out["score"], np.float64)})
-
-    found = left.groupBy("shard", "blk").cogroup(right.groupBy("shard", "blk")).applyInArrow(answer, "query_id long, vec_id long, score double")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    rows = base.filter(draw).orderBy("vec_id").select("v").limit(2 * sample).collect() or base.limit(1).select("v").collect()
+    model = learn(matrix(pa.array([r[0] for r in rows], pa.list_(pa.float64())), d))
+    shards = -(-n // shard)
+    dealt = base.select(F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(shards)).alias("shard"), F.lit(0).alias("asks"), F.lit(0).cast("long").alias("ask"), "vec_id", "v")
+    asked = queries.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("shard"), F.lit(1).alias("asks"), "ask", "vec_id", "v")
+    schema = pa.schema([("ask", pa.int64()), ("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
+
+    def answer(batches):
+        at, have, index = None, [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            shard_of, asks = batch.column("shard").to_numpy(), batch.column("asks").to_numpy()
+            cuts = np.flatnonzero((shard_of[1:] != shard_of[:-1]) | (asks[1:] != asks[:-1])) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, len(asks)]):
+                if shard_of[lo] != at:
+                    at, have, index = shard_of[lo], [], None
+                ids, v = batch.column("vec_id").to_numpy()[lo:hi], matrix(batch.column("v").slice(lo, hi - lo), d)
+                if not asks[lo]:
+                    have.append((ids, v))
+                    continue
+                if index is None and have:
+                    own, x = (np.concatenate(part) for part in zip(*have))
+                    have, index = [], MultiIndex(codes(x, model))
+                if index is None:
+                    continue
+                best = [_nearest(index, own, x, qid, q, c, model["radius"], k) for qid, q, c in zip(ids, v, codes(v, model))]
+                size = [len(b[0]) for b in best]
+                yield pa.record_batch([np.repeat(batch.column("ask").to_numpy()[lo:hi], size), np.repeat(ids, size), np.concatenate([b[0] for b in best]), np.concatenate([b[1] for b in best])], schema=schema)
+
+    each = dealt.unionByName(asked).repartition(shards, "shard").sortWithinPartitions("shard", "asks")
+    found = each.mapInArrow(answer, "ask long, query_id long, vec_id long, score double")
+    rank = F.row_number().over(Window.partitionBy("query_id", "ask").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 

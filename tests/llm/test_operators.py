@@ -235,7 +235,7 @@ def test_hashing(spark):
     rows = [(i, [float(v) for v in r]) for i, r in enumerate(x)] + [(600, None), (601, [0.0] * 16), (602, [None] * 16), (603, [float("nan")] * 16)]
     base = hashing.valid(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
     assert base.count() == 600
-    got = hashing.search(base, base.filter("vec_id % 20 = 0"), shard=250, block=13).collect()
+    got = hashing.search(base, base.filter("vec_id % 20 = 0"), shard=250).collect()
     hit = 0
     for i in range(0, 600, 20):
         own = sorted((r for r in got if r.query_id == i), key=lambda r: r.rank)
@@ -250,6 +250,45 @@ def test_hashing(spark):
     assert hashing.search(few, few).count() == 20
 
 
+def nearest_ids(x, ids, i, k=20):
+    """Brute force: ids of the k largest inner products with row i, other rows of its id too left out."""
+    s = np.array([sum(float(a) * float(b) for a, b in zip(r, x[i])) for r in x])
+    s[np.array(ids) == ids[i]] = -np.inf
+    return sorted(zip(-s, ids))[: min(k, int((np.array(ids) != ids[i]).sum()))]
+
+
+def test_hashing_on_the_table(spark, sf):
+    base = hashing.valid(spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet"))
+    rows = base.orderBy("vec_id").collect()
+    x, ids = np.array([r.v for r in rows]), np.array([r.vec_id for r in rows])
+    got = {}
+    for r in hashing.search(base, base.filter("vec_id % 20 = 0"), shard=200).collect():
+        got.setdefault(r.query_id, {})[r.vec_id] = r.score
+    asked = [i for i, v in enumerate(ids) if v % 20 == 0]
+    hit = 0
+    for i in asked:
+        s = x @ x[i]
+        s[i] = -np.inf
+        hit += len(set(ids[np.argsort(-s)[:20]].tolist()) & set(got[ids[i]]))
+    assert len(got) == len(asked) and hit / (20 * len(asked)) >= 0.9
+
+
+def test_hashing_lengths_ties_repeats_and_names(spark):
+    """Vectors of several lengths, equal vectors, ids that repeat or are null, infinite numbers, columns with the operator's names."""
+    rng = np.random.default_rng(3)
+    rows = [(i % 30 if i < 40 else i, [float(v) for v in rng.integers(-3, 4, 3 if i % 7 == 0 else 5)] , "x", 1, 2) for i in range(60)]
+    rows = [(i, v if any(v) else [1.0] * len(v), *more) for i, v, *more in rows] + [(None, [1.0] * 5, "x", 1, 2), (99, [float("inf")] * 5, "x", 1, 2), (98, [], "x", 1, 2)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, shard string, ask int, asks int")
+    base = hashing.valid(df)
+    assert base.count() == 60
+    got = hashing.search(base, base.filter("vec_id % 20 = 0"), k=70, shard=25).collect()
+    full = [r[1] + [0.0] * (5 - len(r[1])) for r in rows[:60]]
+    ids = [r[0] for r in rows[:60]]
+    want = sorted((ids[i], rank, v, -s) for i in range(60) if ids[i] % 20 == 0 for rank, (s, v) in enumerate(nearest_ids(full, ids, i, 70), 1))
+    assert sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in got) == want
+    assert hashing.search(base, base.limit(0)).count() == 0
+
+
 def test_radius_search_is_complete():
     rng = np.random.default_rng(1)
     code = rng.integers(0, 256, (400, 4)).astype(np.uint8)

@@ -173,7 +173,7 @@ def search(base: DataFrame, queries: DataFrame, k: int = 20, sample: int = SAMPL
                 size = [len(b[0]) for b in best]
                 yield pa.record_batch([np.repeat(batch.column("ask").to_numpy()[lo:hi], size), np.repeat(ids, size), np.concatenate([b[0] for b in best]), np.concatenate([b[1] for b in best])], schema=schema)
 
-    each = dealt.unionByName(asked).repartition(shards, "shard").sortWithinPartitions("shard", "asks")
+    each = dealt.unionByName(asked).repartitionById(shards, F.col("shard").cast("int")).sortWithinPartitions("shard", "asks")
     found = each.mapInArrow(answer, "ask long, query_id long, vec_id long, score double")
     rank = F.row_number().over(Window.partitionBy("query_id", "ask").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -126,4 +126,4 @@ def run_sql(*names: str, c: str = "c", q: str = "q", scale: str = f"{W_}.0", the
     return head.rstrip() + "," + RUN.format(c=c, q=q) + (then or f"SELECT win, pos, oid, num, num / {scale}::DOUBLE AS pop FROM tp")
 
 
-from . import catalog_operators, catalog_ranks, catalog_measures  # noqa: E402,F401
+from . import catalog_operators, catalog_ranks, catalog_measures, catalog_variants  # noqa: E402,F401

@@ -158,17 +158,29 @@ en AS (SELECT a.win AS shift, a.oid FROM tp a LEFT JOIN tp b ON b.win = a.win -
 SELECT shift, count(*) AS entrants, CAST(sum(CASE WHEN ub2 + coalesce(gain, 0) < pop2 THEN 1 ELSE 0 END) AS BIGINT) AS missed FROM en JOIN sh USING (shift) LEFT JOIN g ON g.seq = en.shift AND g.oid = en.oid GROUP BY shift"""
 
 
-@query()
-def monitor_modes_differ(spark, d):
-    """Windows of each monitor variant and ablation, and those whose result differs from the set form's (must be none)."""
-    names = {k: MODES[k] for k in ("literal", "aging", "buffer", "no_block", "no_object", "no_reuse", "naive_gain", "recompute")}
+def differing(spark, d, modes):
+    """Windows of each named monitor, and those whose result differs from the set form's."""
     lists = lambda df, *by: df.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct(F.col("pos").cast("int").alias("pos"), "oid", "num"))).alias("r"))
     want = lists(continuous(est(spark, d).select("seq", "oid", "num"), newest(spark, d)), "win").withColumnRenamed("r", "want")
-    got = lists(monitors(spark, d, names), "monitor", "win")
+    got = lists(monitors(spark, d, modes), "monitor", "win")
     return got.join(want, "win", "left").groupBy("monitor").agg(F.count("*").alias("windows"), F.sum(F.coalesce(F.col("r") != F.col("want"), F.lit(True)).cast("long")).alias("differ"))
 
 
-ORACLES["monitor_modes_differ"] = sql("q", then=f"SELECT unnest(['literal', 'aging', 'buffer', 'no_block', 'no_object', 'no_reuse', 'naive_gain', 'recompute']) AS monitor, (SELECT max(seq) + 1 - {W_ - 1} - 0 FROM q) AS windows, 0::BIGINT AS differ")
+def differing_sql(names) -> str:
+    """Every monitor gives a result for each window, and none differs."""
+    return sql("q", then=f"SELECT unnest({list(names)}) AS monitor, (SELECT max(seq) + 1 - {W_ - 1} FROM q) AS windows, 0::BIGINT AS differ")
+
+
+COMPARED = ("literal", "aging", "buffer", "no_block", "no_object", "no_reuse", "naive_gain", "recompute")
+
+
+@query()
+def monitor_modes_differ(spark, d):
+    """Windows of each monitor variant and ablation, and those whose result differs from the set form's (must be none)."""
+    return differing(spark, d, {k: MODES[k] for k in COMPARED})
+
+
+ORACLES["monitor_modes_differ"] = differing_sql(COMPARED)
 
 # Quality of the estimates over m, k, slack.
 RATIO = "greatest(a.num / {a}.0::DOUBLE / (e.num / {e}.0::DOUBLE), e.num / {e}.0::DOUBLE / (a.num / {a}.0::DOUBLE))"

@@ -242,12 +242,12 @@ def sql_contribution(spark, d):
     return spark.sql("SELECT seq, oid, popularity_contribution(n, rnk) AS num FROM georank_ranked, (SELECT count(*) AS n FROM georank_objects)")
 
 
-@query("m", "o", then="SELECT oid FROM o WHERE EXISTS (SELECT 1 FROM m WHERE m.oid = o.oid AND m.d2 < 25)")
+@query("m", "o", then="SELECT oid FROM o WHERE EXISTS (SELECT 1 FROM m WHERE m.oid = o.oid AND m.d2 < 400)")
 def sql_exists(spark, d):
     o, q = base(spark, d)
     o.createOrReplaceTempView("georank_objects")
     M.range_matches(o, q).createOrReplaceTempView("georank_matches")
-    return spark.sql("SELECT oid FROM georank_objects o WHERE EXISTS (SELECT 1 FROM georank_matches m WHERE m.oid = o.oid AND m.d2 < 25)")
+    return spark.sql("SELECT oid FROM georank_objects o WHERE EXISTS (SELECT 1 FROM georank_matches m WHERE m.oid = o.oid AND m.d2 < 400)")
 
 
 @query("c", "q", then=f"SELECT oid, CAST(sum(num) AS BIGINT) AS num FROM c WHERE seq > (SELECT max(seq) FROM q) - {W_} GROUP BY oid ORDER BY num DESC, oid LIMIT 10")

@@ -39,7 +39,7 @@ class Monitor:
     def __init__(self, n: int, w: int, m: int, cmax: int, block: int = 128, buffer: int = 0, block_level: bool = True, object_level: bool = True, aging: bool = False, reuse: bool = True, naive: bool = False, retain: int | None = None, by_value: bool = True):
         self.n, self.w, self.m, self.cmax, self.block, self.buffer = n, w, m, cmax, block, buffer
         self.block_level, self.object_level, self.aging, self.reuse, self.naive = block_level, object_level, aging, reuse, naive
-        self.retain, self.by_value = w // 3 if retain is None else retain, by_value
+        self.retain, self.by_value = w // 3 if retain is None else min(retain, w), by_value  # older windows share no query
         self.live: deque[Reached] = deque()
         self.touch: dict[int, int] = {}
         self.held: dict[int, int] = {}

@@ -83,7 +83,7 @@ def test_monitor_variants_equal_recomputation():
     for trial in range(60):
         n, w, m = rnd.randint(3, 30), rnd.randint(1, 8), rnd.randint(1, 5)
         stream = [[(o, n - i) for i, o in enumerate(rnd.sample(range(n), rnd.randint(0, n // 2)))] for _ in range(60)]
-        for mode in ({}, {"aging": True, "buffer": 3}, {"block_level": False}, {"object_level": False}, {"reuse": False}, {"naive": True}):
+        for mode in ({}, {"aging": True, "buffer": 3}, {"block_level": False}, {"object_level": False}, {"reuse": False}, {"naive": True}, {"retain": 0}, {"retain": 2 * w // 3}, {"retain": w + 5}):
             mon = Monitor(n, w, m, n, rnd.choice([1, 2, 4]), **mode)
             qs = [reached([o for o, _ in q], [c for _, c in q], mon.block) for q in stream]
             got = [mon.start(qs[:w])] + [mon.step(q)[0] for q in qs[w:]]

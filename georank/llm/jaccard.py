@@ -174,16 +174,33 @@ def least_overlap(na, nb, percent: int):
     return F.ceil(percent * (F.col(na) + F.col(nb)) / (100 + percent)).cast("long")
 
 
-def overlaps(pairs: DataFrame, docs: DataFrame, width: int, classes, lacks: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(a, na, b, nb, o): each pair's overlap, counted fragment by fragment and summed; with lacks, also the shingles of one that the other has not. Also what it has stored."""
+def cut_sets(pairs: DataFrame, docs: DataFrame, width: int, classes) -> DataFrame:
+    """The fragments of all sets in the pairs, stored."""
     ends = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    cut = stored(fragments(docs, ends, width, classes), "fragments")
+    return stored(fragments(docs, ends, width, classes), "fragments")
+
+
+def overlaps(pairs: DataFrame, cut: DataFrame, lacks: bool = False) -> DataFrame:
+    """(a, na, b, nb, o): each pair's overlap, counted fragment by fragment and summed; with lacks, also the shingles of one that the other has not."""
     left = pairs.join(cut.select(F.col("node").alias("a"), "frag", F.col("part").alias("x")), "a")
     both = left.join(cut.select(F.col("node").alias("b"), "frag", F.col("part").alias("y")), ["b", "frag"])
     count = F.size(F.array_intersect("x", "y")).alias("common")
     part = both.select("a", "na", "b", "nb", count, *([F.array_except("x", "y").alias("rest"), F.array_except("y", "x").alias("gone")] if lacks else []))
     more = [F.flatten(F.collect_list(c)).alias(c) for c in ("rest", "gone")] if lacks else []
-    return part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"), *more), cut
+    return part.groupBy("a", "na", "b", "nb").agg(F.sum("common").alias("o"), *more)
+
+
+def to_likeliest(pairs: DataFrame, cut: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Overlaps of nodes with their hubs: first with the hub that most nodes have, then, for nodes not linked to it, with the others."""
+    many = pairs.join(pairs.groupBy("b").agg(F.count("*").alias("many")), "b")
+    turn = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("many"), "b"))
+    many = stored(many.withColumn("k", turn), "turns")
+    cols = ("a", "na", "b", "nb")
+    first = stored(overlaps(many.filter("k = 1").select(*cols), cut, lacks=True), "measured")
+    again = many.filter("k > 1").join(linked(first, percent).select("a"), "a", "left_anti").select(*cols)
+    second = stored(overlaps(again, cut, lacks=True), "measured")
+    dropped(many)
+    return first, second
 
 
 def linked(found: DataFrame, percent: int) -> DataFrame:
@@ -284,9 +301,11 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     dropped(index)
     fits = lambda a, b: 100 * F.least(a, b) >= percent * F.greatest(a, b)
 
-    pairs = stored(by_prefix(to_hubs(shared, fits), nodes, percent), "pairs")
-    found, cut = overlaps(pairs, docs, width, freq, lacks=True)
-    found = stored(found, "measured")
+    # Prefixes don't thin these out: a node that has no link with its hub can be near it all the same, and is then compared beside it.
+    pairs = stored(to_hubs(shared, fits), "pairs")
+    cut = cut_sets(pairs, docs, width, freq)
+    measured = to_likeliest(pairs, cut, percent)
+    found = measured[0].union(measured[1])
     dropped(cut, pairs)
     links = linked(found, percent)
     comp = stored(components(links), "classes")
@@ -306,9 +325,9 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     own = stored(own.join(mixed, "token").join(near.select("node", "hub", "o"), "node", "left"), "open")
     rest = candidates(own, percent, fits)
     pairs = stored(by_prefix(rest, nodes, percent), "pairs")
-    last, cut = overlaps(pairs, docs, width, freq)
-    links = stored(links.union(linked(last, percent)), "links")
-    dropped(cut, pairs, own, near, first, comp)
+    cut = cut_sets(pairs, docs, width, freq)
+    links = stored(links.union(linked(overlaps(pairs, cut), percent)), "links")
+    dropped(cut, pairs, own, near, first, comp, *measured)
     comp = stored(components(links), "classes")
     named = every.filter("n > 0").select("row", "doc_id", "n", "d1", "d2").join(names, ["d1", "d2"]).join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("f")).select("comp", F.col("f.doc_id").alias("component_id"), F.col("f.row").alias("head"))

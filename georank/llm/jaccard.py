@@ -11,7 +11,7 @@ nodes that share a list are first measured against one or two hubs of that list,
 nodes that share a list and are still in different classes are counted, without exception.
 
 Many copies of one text that aren't near enough to its hub would still pair each with each. Two sets x, y that have o(x), o(y)
-shingles of hub h share at most min(o(x), o(y)) of h's, so if a link needs more, they must share shingles that aren't h's.
+shingles of hub h share at most min(o(x), o(y)) of h's, so if a link needs more, they must share shingles that aren't h's; h may as well be any other set, such as what most copies beside the hub have.
 Such pairs are found through those few shingles alone.
 """
 
@@ -245,6 +245,26 @@ def candidates(own: DataFrame, percent: int, fits) -> DataFrame:
     return pair.select(F.col("node_a").alias("a"), F.col("n_a").alias("na"), F.col("node_b").alias("b"), F.col("n_b").alias("nb")).distinct()
 
 
+def centred(near: DataFrame) -> DataFrame:
+    """near, measured against each hub with what most nodes beside it have besides and without what most of them lack.
+
+    A hub is one copy among others: its own changes would be what all others have in common. What most nodes have is no longer than
+    twice what a node has on average, so a hub's two lists are no longer than a few sets.
+    """
+    size = near.groupBy("hub").agg(F.count("*").alias("size"))
+    both = near.select("hub", F.explode(F.concat(F.transform("rest", lambda t: F.struct(t.alias("token"), F.lit(True).alias("has"))), F.transform("gone", lambda t: F.struct(t.alias("token"), F.lit(False).alias("has"))))).alias("e"))
+    most = both.groupBy("hub", "e.token", "e.has").agg(F.count("*").alias("c")).filter("c > 1").join(size, "hub").filter("2 * c > size")
+    pick = lambda has: F.array_sort(F.collect_list(F.when(F.col("has") == has, F.col("token"))))
+    most = most.groupBy("hub").agg(pick(True).alias("more"), pick(False).alias("less"))
+    none = F.array().cast("array<bigint>")
+    out = near.join(most, "hub", "left").withColumns({c: F.coalesce(c, none) for c in ("more", "less")})
+    rest = F.concat(F.array_except("rest", "more"), F.array_except("less", "gone"))
+    gone = F.concat(F.array_except("gone", "less"), F.array_except("more", "rest"))
+    nh = (F.col("nh") + F.size("more") - F.size("less")).cast("long").alias("nh")
+    out = out.select("node", "n", "hub", nh, rest.alias("rest"), gone.alias("gone"))
+    return out.withColumn("o", F.col("n") - F.size("rest"))
+
+
 def beside_hub(near: DataFrame, percent: int, fits) -> DataFrame:
     """Pairs (a, na, b, nb) of nodes of one hub, of different classes, that may be linked and must then share shingles which the hub lacks."""
     # Of the `rest` that the hub lacks, any link of the node takes at least `least` shingles: only the others' number, plus one, is indexed.
@@ -314,7 +334,9 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     near = near.join(near.groupBy("b").agg(F.count("*").alias("size")), "b")
     near = near.groupBy("a", "na").agg(F.max_by(F.struct("b", "nb", "o", "rest", "gone"), F.struct("size", "b")).alias("h"))
     near = near.select(F.col("a").alias("node"), F.col("na").cast("long").alias("n"), F.col("h.b").alias("hub"), F.col("h.nb").alias("nh"), F.col("h.o").alias("o"), F.col("h.rest").alias("rest"), F.col("h.gone").alias("gone"))
-    near = stored(near, "near")
+    beside = stored(near, "beside")
+    near = stored(centred(beside), "near")
+    dropped(beside)
     classed = lambda df: df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     links = stored(links.union(to_nearest(classed(near), percent, fits)), "links")
     first, comp = comp, stored(components(links), "classes")

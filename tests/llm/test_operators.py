@@ -145,6 +145,22 @@ def test_jaccard_long_lists(spark, tmp_path, width, percent):
         assert [k for k in mine if got[k].first] == [min(mine, key=lambda k: (ids[k] is None, ids[k] or 0, k))]
 
 
+def test_jaccard_centred_keeps_overlaps(spark):
+    """What two nodes share by what they lack of the hub stays their true overlap, and changes of the hub alone are no longer common to all."""
+    rnd = random.Random(5)
+    base = set(range(100))
+    hubs = {1: base - {0, 1, 2} | {200, 201, 202}, 2: set(range(300, 340)), 3: base}
+    sets = {k: (k % 2 and 1 or 2, hubs[2] - {300 + k % 7} | {400 + k % 5} if k % 2 == 0 else base - set(rnd.sample(range(3, 100), k % 6)) | {500 + rnd.randrange(9) for _ in range(k % 4)}) for k in range(10, 60)}
+    sets[5] = (3, base - {50} | {999})
+    near = [(k, len(x), h, len(hubs[h]), len(x & hubs[h]), sorted(x - hubs[h]), sorted(hubs[h] - x)) for k, (h, x) in sets.items()]
+    got = {r.node: r for r in jaccard.centred(spark.createDataFrame(near, "node long, n long, hub long, nh long, o long, rest array<long>, gone array<long>")).collect()}
+    assert set(got) == set(sets) and not any({0, 1, 2} & set(r.rest) for r in got.values())
+    pairs = [(a, len(sets[a][1]), b, len(sets[b][1]), got[a].nh, sorted(got[a].rest), sorted(got[b].rest), sorted(got[a].gone), sorted(got[b].gone)) for a in sets for b in sets if a < b and sets[a][0] == sets[b][0]]
+    out = jaccard.by_hub(spark.createDataFrame(pairs, "a long, n_a long, b long, n_b long, nh_a long, rest_a array<long>, rest_b array<long>, gone_a array<long>, gone_b array<long>")).collect()
+    assert len(out) == len(pairs) and all(r.o == len(sets[r.a][1] & sets[r.b][1]) for r in out)
+    assert all(r.o == r.n - len(r.rest) and len(r.rest) + r.nh - len(r.gone) == r.n for r in got.values())
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(30)] + [(100, 101), (5, 5)]
     got = {r.node: r.comp for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}

@@ -19,7 +19,7 @@ def matched(spark, monkeypatch, sf, name):
     return counts
 
 
-@pytest.mark.parametrize("name", ["agg_avg_rank", "agg_borda", "agg_majority", "agg_median_rank", "agg_quantile_rank"])
+@pytest.mark.parametrize("name", ["agg_avg_rank", "agg_borda", "agg_majority", "agg_median_rank", "agg_quantile_rank", "agg_sum_rank"])
 def test_only_the_newest_window_is_matched(spark, monkeypatch, sf, name):
     counts = matched(spark, monkeypatch, sf, name)
     assert counts and max(counts) <= catalog.W_ < catalog.T.queries_uniform(spark, sf).count()

@@ -23,3 +23,18 @@ def matched(spark, monkeypatch, sf, name):
 def test_only_the_newest_window_is_matched(spark, monkeypatch, sf, name):
     counts = matched(spark, monkeypatch, sf, name)
     assert counts and max(counts) <= catalog.W_ < catalog.T.queries_uniform(spark, sf).count()
+
+
+def test_kemeny_pairs_only_the_top(spark, monkeypatch, sf):
+    import itertools
+
+    from georank import catalog_ranks as C
+
+    top = [r.oid for r in C.P.topm(catalog.last_window(spark, sf), 6).collect()]
+    won = {(r.winner, r.loser): r.wins for r in C.pairwise_wins(spark, sf).collect()}
+    cost = lambda p: sum(won.get((p[j], p[i]), 0) for i in range(6) for j in range(i + 1, 6))
+    want = list(min(itertools.permutations(sorted(top)), key=lambda p: (cost(p), p)))
+    paired, inner = set(), C._wins
+    monkeypatch.setattr(C, "_wins", lambda r: paired.update(x.oid for x in r.collect()) or inner(r))
+    assert [r.oid for r in C.kemeny_small(spark, sf).orderBy("pos").collect()] == want
+    assert paired and paired <= set(top)

@@ -38,3 +38,11 @@ def test_kemeny_pairs_only_the_top(spark, monkeypatch, sf):
     monkeypatch.setattr(C, "_wins", lambda r: paired.update(x.oid for x in r.collect()) or inner(r))
     assert [r.oid for r in C.kemeny_small(spark, sf).orderBy("pos").collect()] == want
     assert paired and paired <= set(top)
+
+
+def plan(df) -> str:
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_range_matches_are_not_joined_again(spark, sf):
+    assert plan(M.range_matches(*catalog.base(spark, sf))).count("Join [q") == 0

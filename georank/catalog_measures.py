@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import functions as F
 
 from .catalog import M_, ORACLES, QUERIES, R_, RUN, SLACK, W_, B, M, P, R, T, continuous, contribs, newest, query, sql
-from .catalog_ranks import MODES, _gains, _list, block_bounds, est, monitors
+from .catalog_ranks import MODES, _gains, _list, block_bounds, est, monitors, shift_sizes
 from .sources import files
 
 #: Parameter grids of the experiments.
@@ -247,10 +247,7 @@ STREAMS = {"uniform": T.queries_uniform, "skewed": T.queries_skewed, "checkin":
 
 def _opq(spark, d, name: str, w: int, r: int = R_):
     q = STREAMS[name](spark, d, r)
-    m = M.range_matches(T.objects_part(spark, d), q).select("seq", "oid")
-    last = F.broadcast(q.agg(F.max("seq").alias("last")))
-    late = m.select((F.col("seq") + w).alias("seq"), "oid").crossJoin(last).filter("seq <= last").drop("last")
-    per = q.select("seq").join(m, "seq", "left").unionByName(late).filter(F.col("seq") >= w).groupBy("seq").agg(F.count_distinct("oid").alias("opq"))
+    per = shift_sizes(T.objects_part(spark, d), q, w)
     return per.agg(F.count("*").alias("shifts"), F.coalesce(F.sum("opq"), F.lit(0)).alias("opq")).select(F.lit(name).alias("stream"), F.lit(w).alias("w"), F.lit(r).alias("r"), "shifts", "opq")
 
 

@@ -46,3 +46,30 @@ def plan(df) -> str:
 
 def test_range_matches_are_not_joined_again(spark, sf):
     assert plan(M.range_matches(*catalog.base(spark, sf))).count("Join [q") == 0
+
+
+def same_as_sql(spark, sf, name):
+    import duckdb
+
+    db = duckdb.connect()
+    for t in ("part", "supplier", "events"):
+        db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    plain = lambda rows: sorted(repr(tuple(r)) for r in rows)
+    df = catalog.QUERIES[name](spark, sf)
+    assert plain(df.collect()) == plain(db.execute(catalog.ORACLES[name]).fetchall())
+    return df
+
+
+@pytest.mark.parametrize("name", ["rank_in_query"])
+def test_lists_are_expanded_where_they_are_made(spark, sf, name):
+    """A list's matches go to its queries without a shuffle."""
+    text = plan(same_as_sql(spark, sf, name))
+    text = text[text.index("Initial Plan") :] if "Initial Plan" in text else text
+    assert "FlatMapGroupsInArrow" in text and "Exchange hashpartitioning" not in text[: text.index("FlatMapGroupsInArrow")]
+
+
+@pytest.mark.parametrize("name", [])
+def test_counts_and_sums_without_matches(spark, monkeypatch, sf, name):
+    """What the SQL says, though no match is made a row."""
+    monkeypatch.setattr(M, "range_matches", None)
+    same_as_sql(spark, sf, name)

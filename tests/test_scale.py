@@ -60,7 +60,7 @@ def same_as_sql(spark, sf, name):
     return df
 
 
-@pytest.mark.parametrize("name", ["rank_in_query", "sql_contribution", "rank_shared_ties", "ranked_list_array", "array_ranklist_slice"])
+@pytest.mark.parametrize("name", ["rank_in_query", "sql_contribution", "rank_shared_ties", "ranked_list_array", "array_ranklist_slice", "contribution"])
 def test_lists_are_expanded_where_they_are_made(spark, sf, name):
     """A list's matches go to its queries without a shuffle."""
     text = plan(same_as_sql(spark, sf, name))

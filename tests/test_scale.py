@@ -68,7 +68,7 @@ def test_lists_are_expanded_where_they_are_made(spark, sf, name):
     assert "FlatMapGroupsInArrow" in text and "Exchange hashpartitioning" not in text[: text.index("FlatMapGroupsInArrow")]
 
 
-@pytest.mark.parametrize("name", ["rollup_metrics", "grouping_sets_metrics", "cube_metrics", "time_window_topm", "rank_stats", "distinct_touched"])
+@pytest.mark.parametrize("name", ["rollup_metrics", "grouping_sets_metrics", "cube_metrics", "time_window_topm", "rank_stats", "distinct_touched", "opq_by_radius"])
 def test_counts_and_sums_without_matches(spark, monkeypatch, sf, name):
     """What the SQL says, though no match is made a row."""
     monkeypatch.setattr(M, "range_matches", None)

@@ -73,3 +73,12 @@ def test_counts_and_sums_without_matches(spark, monkeypatch, sf, name):
     """What the SQL says, though no match is made a row."""
     monkeypatch.setattr(M, "range_matches", None)
     same_as_sql(spark, sf, name)
+
+
+def test_sweep_radius_without_matches(spark, monkeypatch, sf):
+    from georank import catalog_ranks as C
+
+    small = {r.seq: r.opq for r in C.opq_baseline(spark, sf, 10).collect()}
+    monkeypatch.setattr(M, "range_matches", None)
+    got = {r.r: r.opq for r in C.sweep_radius(spark, sf).collect()}
+    assert sorted(got) == [10, 20, 41, 82, 164] and abs(got[10] - sum(small.values()) / len(small)) < 1e-9

@@ -82,3 +82,25 @@ def test_sweep_radius_without_matches(spark, monkeypatch, sf):
     monkeypatch.setattr(M, "range_matches", None)
     got = {r.r: r.opq for r in C.sweep_radius(spark, sf).collect()}
     assert sorted(got) == [10, 20, 41, 82, 164] and abs(got[10] - sum(small.values()) / len(small)) < 1e-9
+
+
+@pytest.mark.parametrize("chunk", [16, 50])
+def test_window_tops_in_chunks_equal_intervals(spark, chunk):
+    import random
+
+    from georank.operators import lists as L
+    from georank.operators import popularity as P
+
+    rnd = random.Random(chunk)
+    o = spark.createDataFrame([(i, rnd.randrange(60), rnd.randrange(60)) for i in range(80)], "oid long, x long, y long")
+    q = spark.createDataFrame([(i, rnd.randrange(60), rnd.randrange(60), rnd.choice([0, 50, 400])) for i in range(130) if i % 7], "seq long, x long, y long, r2 long")
+    c = P.contributions(M.rank_matches(M.range_matches(o, q)), o)
+    want = P.continuous_topm(c, 9, 4, q.selectExpr("max(seq) AS last"))
+    rows = lambda df: sorted(tuple(r) for r in df.select("win", "pos", "oid", "num").collect())
+    assert rows(L.window_tops(o, q, 9, 4, chunk)) == rows(want)
+
+
+@pytest.mark.parametrize("name", ["topm_skewed"])
+def test_window_tops_without_matches(spark, monkeypatch, sf, name):
+    monkeypatch.setattr(M, "range_matches", None)
+    same_as_sql(spark, sf, name)

@@ -100,7 +100,7 @@ def test_window_tops_in_chunks_equal_intervals(spark, chunk):
     assert rows(L.window_tops(o, q, 9, 4, chunk)) == rows(want)
 
 
-@pytest.mark.parametrize("name", ["topm_skewed"])
+@pytest.mark.parametrize("name", ["topm_skewed", "topm_changes"])
 def test_window_tops_without_matches(spark, monkeypatch, sf, name):
     monkeypatch.setattr(M, "range_matches", None)
     same_as_sql(spark, sf, name)

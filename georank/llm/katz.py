@@ -2,7 +2,7 @@
 
 Seen n-grams have Good-Turing discounted relative frequencies; what the discounts free goes to unseen successors in
 proportion to the model of the next lower order, by a backoff weight per history that makes each history's probabilities add
-up to 1. The recursion runs by orders: texts are cut into chunks; in round k a chunk asks the partitioned tables of order k for
+up to 1. The recursion runs by orders: texts are cut into chunks, of which only the packed numbers of their words are kept; in round k a chunk asks the partitioned tables of order k for
 its distinct k-grams, and sends with each one the probability that round k - 1 gave its last word. A partition adds up
 what all chunks have counted, stores its table, and answers with probabilities that are final for order k. The last
 round's answers are sums for each document.
@@ -20,12 +20,14 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Hasher, dropped, id_crc, lowered, mix, parts, sliced, stored, table, text_bytes, word_spans
+from .common import Hasher, dropped, id_crc, lowered, mix, parts, released, sliced, stored, table, text_bytes, word_spans
 
 #: Counts up to K are discounted.
 K = 5
 #: Order of the model; bytes of text in a chunk; a history is split if it has more than this part of a partition's even share of all words.
 ORDER, CHUNK, SHARE = 2, 8 << 20, 0.125
+#: Bytes of text whose words are hashed at once: the hashes' sums and powers take some 40 times as many.
+SLICE = 1 << 20
 #: Stands for a text's end among the words' hashes; number of the place before a text.
 END, BEGIN = 2, 0
 
@@ -69,10 +71,16 @@ def unpack_values(b: bytes) -> np.ndarray:
 def tokens(col) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all texts' lower-cased words, each text's followed by END, and each text's first place."""
     data, off = text_bytes(col)
-    low = lowered(data)
-    starts, ends, first = word_spans(data, off)
-    words = Hasher(low)(starts, ends) if len(starts) else np.zeros(0, np.uint64)
-    return np.insert(words, first[1:], np.uint64(END)), first + np.arange(len(first))
+    out, first, row = [np.zeros(0, np.uint64)], [np.zeros(1, np.int64)], 0
+    while row < len(off) - 1:  # whole texts, as many as SLICE holds, or one
+        end = max(row + 1, int(np.searchsorted(off, off[row] + SLICE, "right")) - 1)
+        some = data[off[row] : off[end]]
+        starts, ends, own = word_spans(some, off[row : end + 1] - off[row])
+        words = Hasher(lowered(some))(starts, ends) if len(starts) else np.zeros(0, np.uint64)
+        out.append(np.insert(words, own[1:], np.uint64(END)))
+        first.append(first[-1][-1] + (own + np.arange(len(own)))[1:])
+        row = end
+    return np.concatenate(out), np.concatenate(first)
 
 
 def discounts(of: dict[int, int], k: int = K) -> list[float]:
@@ -128,34 +136,31 @@ def runs(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 ASK = "part int, chunk long, h binary, hn binary, w binary, c binary, low binary, docs binary, dn binary, dc binary, ids array<long>, train array<boolean>, n_tokens array<long>, n_known array<long>, base array<double>"
 TABLE = "part int, h binary, hn binary, w binary, c binary, low binary, of array<long>, hot array<long>, sums array<double>"
 ANSWER = "part int, chunk long, a binary, b binary"
+WORDS = ANSWER + ", at binary, sizes binary, ids array<long>, train array<boolean>"
 
 
-def chunked(docs: DataFrame, size: int) -> DataFrame:
-    """(chunk, at, doc_id, train, text): the same each time that docs reads the same."""
-
-    def run(batches):
-        number = TaskContext.get().partitionId() << 32
-        for batch in sliced(batches, "text", size):
-            at = pa.array(np.arange(batch.num_rows, dtype=np.int32))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(batch.num_rows, number)), at, *batch.columns], ["chunk", "at", *batch.schema.names])
-            number += 1
-
-    return docs.mapInArrow(run, "chunk long, at int, doc_id long, train boolean, text string")
-
-
-def words_table(texts: DataFrame, n: int) -> DataFrame:
-    """Round 1: (part, chunk, a, b) answers with numbers and training counts of a chunk's words; with chunk null, a partition's table and its sums."""
+def words_asked(docs: DataFrame, n: int, size: int) -> DataFrame:
+    """Round 1's questions, docs (doc_id, train, text) being cut into chunks of `size` bytes in the same task: a chunk's distinct words and how often it trains on them; with part -1, the chunk itself: each token's place among those words, texts' lengths, ids and whether they train."""
 
     def ask(batches):
-        for batch in batches:
-            tok, first = tokens(batch.column(4))
+        kinds = (pa.int32(), pa.int64(), *[pa.binary()] * 4, pa.list_(pa.int64()), pa.list_(pa.bool_()))
+        for k, batch in enumerate(sliced(batches, "text", size)):
+            chunk, ids, train = (TaskContext.get().partitionId() << 32) + k, batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            tok, first = tokens(batch.column(2))
             keys, at = np.unique(tok, return_inverse=True)
-            c = np.bincount(at, np.repeat(batch.column(3).to_numpy(zero_copy_only=False).astype(float), np.diff(first)))
+            c = np.bincount(at, np.repeat(np.array(train, float), np.diff(first)))
             part = ((keys >> np.uint64(32)) * np.uint64(n) >> np.uint64(32)).astype(np.int64)
             own, many = runs(part)
             ends = np.cumsum(many)
-            rows = [(int(p), batch.column(0)[0].as_py(), pack(steps(keys[e - m : e])), pack(c[e - m : e])) for p, m, e in zip(own.tolist(), many.tolist(), ends.tolist())]
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), (pa.int32(), pa.int64(), pa.binary(), pa.binary()))], ["part", "chunk", "a", "b"])
+            rows = [(int(p), chunk, pack(steps(keys[e - m : e])), pack(c[e - m : e]), None, None, None, None) for p, m, e in zip(own.tolist(), many.tolist(), ends.tolist())]
+            rows.append((-1, chunk, None, None, pack(at), pack(np.diff(first)), ids, train))
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), kinds)], [c.split()[0] for c in WORDS.split(", ")])
+
+    return docs.mapInArrow(ask, WORDS)
+
+
+def words_table(asked: DataFrame, n: int) -> DataFrame:
+    """Round 1: (part, chunk, a, b) answers with numbers and training counts of a chunk's words; with chunk null, a partition's table and its sums."""
 
     def serve(t: pa.Table) -> pa.Table:
         part = t.column("part")[0].as_py()
@@ -166,41 +171,22 @@ def words_table(texts: DataFrame, n: int) -> DataFrame:
         edge = np.cumsum([0, *map(len, keys)])
         a = [pack(ids[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
         b = [pack(c[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
+        released()
         return pa.table({"part": pa.array([part] * (len(a) + 1), pa.int32()), "chunk": pa.array([*t.column("chunk").to_pylist(), None], pa.int64()), "a": pa.array([*a, pack(steps(every))], pa.binary()), "b": pa.array([*b, pack(c)], pa.binary())})
 
-    # One batch of `chunked` is one chunk; asking there needs no exchange of texts.
-    return texts.mapInArrow(_whole(ask), ANSWER).groupBy("part").applyInArrow(serve, ANSWER)
-
-
-def _whole(ask):
-    """Puts the rows of a chunk together again, should Arrow have cut them."""
-
-    def run(batches):
-        held: list = []
-        for batch in batches:
-            edge = np.flatnonzero(np.diff(batch.column(0).to_numpy(), prepend=-1))
-            for a, b in zip(edge.tolist(), [*edge[1:].tolist(), batch.num_rows]):
-                piece = batch.slice(a, b - a)
-                if held and held[0].column(0)[0] != piece.column(0)[0]:
-                    yield from ask([pa.Table.from_batches(held).combine_chunks().to_batches()[0]])
-                    held = []
-                held.append(piece)
-        if held:
-            yield from ask([pa.Table.from_batches(held).combine_chunks().to_batches()[0]])
-
-    return run
+    return asked.select("part", "chunk", "a", "b").filter("part >= 0").groupBy("part").applyInArrow(serve, ANSWER)
 
 
-def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarray], known: tuple[int, int], last: bool) -> DataFrame:
-    """Round k's questions from the texts and the answers of all rounds before it; if it is the last, by document, and a row of base figures."""
+def asks(chunks: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarray], known: tuple[int, int], last: bool) -> DataFrame:
+    """Round k's questions from the chunks' words and the answers of all rounds before it; if it is the last, by document, and a row of base figures."""
     total, kinds = known
     floor, rounds = total + 0.1 * (kinds + 1), len(answers)
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        left, right = left.sort_by("at"), right.sort_by([("round", "ascending"), ("part", "ascending")])
-        chunk = left.column("chunk")[0].as_py()
-        texts_ = left.column("text").combine_chunks()
-        tok, first = tokens(texts_)
+        right = right.sort_by([("round", "ascending"), ("part", "ascending")])
+        chunk, at, sizes, owners, train = (left.column(c)[0].as_py() for c in ("chunk", "at", "sizes", "ids", "train"))
+        at = unpack(at).astype(np.int64)
+        first = np.concatenate([[0], np.cumsum(unpack(sizes).astype(np.int64))])
         doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
         round_ = right.column("round").to_numpy()
 
@@ -208,7 +194,6 @@ def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarra
             rows = right.filter(pa.array(round_ == k))
             return [np.concatenate([f(x) for x in rows.column(c).to_pylist()]) for c, f in (("a", unpack), ("b", unpack if k == 1 else unpack_plain))]
 
-        at = np.unique(tok, return_inverse=True)[1]
         ids, counts = answer(1)
         word, c = ids[at], counts[at].astype(np.float64)
         gram, p = word, (c + 0.1) / floor
@@ -221,8 +206,7 @@ def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarra
             if k <= rounds:
                 ids, values = answer(k)
                 gram, p = ids[at], values[at]
-        train = left.column("train").to_numpy(zero_copy_only=False).astype(bool)
-        counted = np.rint(np.bincount(at, train[doc].astype(float), len(h))).astype(np.uint64)
+        counted = np.rint(np.bincount(at, np.array(train, float)[doc], len(h))).astype(np.uint64)
         low = np.empty(len(h))
         low[at] = p
         rows: dict[str, list] = {c.split()[0]: [] for c in ASK.split(", ")}
@@ -243,10 +227,12 @@ def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarra
             for name, column in rows.items():
                 column.append(new.get(name))
         if last:
-            new = {"part": -1, "chunk": chunk, "ids": left.column("doc_id").to_pylist(), "train": train.tolist(), "n_tokens": np.diff(first).tolist()}
+            new = {"part": -1, "chunk": chunk, "ids": owners, "train": train, "n_tokens": np.diff(first).tolist()}
             new |= {"n_known": np.bincount(doc, c > 0, len(first) - 1).astype(int).tolist(), "base": np.bincount(doc, base, len(first) - 1).tolist()}
             for name, column in rows.items():
                 column.append(new.get(name))
+        del doc, at, base, p, word, gram, c, counts, ids, history, h, w, part, low, counted
+        released()
         kinds_ = [pa.int32(), pa.int64(), *[pa.binary()] * 8, pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.float64())]
         return pa.table([pa.array(x, k) for x, k in zip(rows.values(), kinds_)], list(rows))
 
@@ -254,7 +240,7 @@ def asks(texts: DataFrame, answers: list[DataFrame], n: int, hot: list[np.ndarra
     for k, df in enumerate(answers, 1):
         df = df.select(F.lit(k).alias("round"), "part", "chunk", "a", "b")
         every = df if every is None else every.unionByName(df)
-    return texts.groupBy("chunk").cogroup(every.groupBy("chunk")).applyInArrow(run, ASK)
+    return chunks.groupBy("chunk").cogroup(every.groupBy("chunk")).applyInArrow(run, ASK)
 
 
 def pack_plain(x: np.ndarray) -> bytes:
@@ -273,14 +259,19 @@ def merged(asked: DataFrame, hot: np.ndarray, k: int) -> DataFrame:
     """The tables of one order: each partition's n-grams with counts, numbers of n-grams by count, and sums of the histories that are split."""
 
     def run(t: pa.Table) -> pa.Table:
+        part = t.column("part")[0].as_py()
         cols = {c: t.column(c).to_pylist() for c in ("h", "hn", "w", "c", "low")}
-        both = [_pairs(*x) for x in zip(cols["h"], cols["hn"], cols["w"])]
-        h, w = np.concatenate([x[0] for x in both]), np.concatenate([x[1] for x in both])
-        c, low = np.concatenate([unpack(x) for x in cols["c"]]), np.concatenate([unpack_values(x) for x in cols["low"]])
+        del t
+        # One column after another, so that few whole ones are held at once.
+        h = np.concatenate([np.repeat(np.cumsum(unpack(x), dtype=np.uint64), unpack(y).astype(np.int64)) for x, y in zip(cols.pop("h"), cols.pop("hn"))])
+        w = np.concatenate([unpack(x) for x in cols.pop("w")])
         by = np.lexsort((w, h))
-        h, w, c, low = h[by], w[by], c[by], low[by]
+        h, w = h[by], w[by]
         new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (w[1:] != w[:-1])]))
-        h, w, c, low = h[new], w[new], np.add.reduceat(c, new), low[new]
+        h, w = h[new], w[new]
+        c = np.add.reduceat(np.concatenate([unpack(x) for x in cols.pop("c")])[by], new)
+        low = np.concatenate([unpack_values(x) for x in cols.pop("low")])[by[new]]
+        del by, new
         of = np.bincount(np.minimum(c, k + 2).astype(np.int64), minlength=k + 3)[1 : k + 2]
         value, length = runs(h)
         split = np.isin(h, hot)
@@ -291,11 +282,13 @@ def merged(asked: DataFrame, hot: np.ndarray, k: int) -> DataFrame:
             sums[:, r - 1] = np.bincount(at, (cs == r) * r, len(names))
         sums[:, k] = np.bincount(at, cs * (cs > k), len(names))
         sums[:, k + 1] = np.bincount(at, ls * (cs > 0), len(names))
-        row = {"part": [t.column("part")[0].as_py()], "h": [pack(steps(value))], "hn": [pack(length)], "w": [pack(w)], "c": [pack(c)], "low": [pack_values(low)], "of": [of.tolist()], "hot": [names.astype(np.int64).tolist()], "sums": [sums.ravel().tolist()]}
+        row = {"part": [part], "h": [pack(steps(value))], "hn": [pack(length)], "w": [pack(w)], "c": [pack(c)], "low": [pack_values(low)], "of": [of.tolist()], "hot": [names.astype(np.int64).tolist()], "sums": [sums.ravel().tolist()]}
         kinds = [pa.int32(), *[pa.binary()] * 5, pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.float64())]
+        del h, w, c, low, value, length, split, at, cs, ls
+        released()
         return pa.table([pa.array(x, y) for x, y in zip(row.values(), kinds)], list(row))
 
-    return asked.groupBy("part").applyInArrow(run, TABLE)
+    return asked.select("part", "h", "hn", "w", "c", "low").groupBy("part").applyInArrow(run, TABLE)
 
 
 def answered(asked: DataFrame, tables: DataFrame, n: int, ratios: list[float], whole: dict[int, list[float]], last: bool) -> DataFrame:
@@ -334,6 +327,8 @@ def answered(asked: DataFrame, tables: DataFrame, n: int, ratios: list[float], w
             else:
                 a.append(pack(row.astype(np.uint64) * np.uint64(n) + np.uint64(part + 1)))
                 b.append(pack_plain(p[row]))
+        del h, w, c, low, kept, of, p, key
+        released()
         return pa.table({"part": pa.array([part] * len(a), pa.int32()), "chunk": left.column("chunk"), "a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
     return asked.groupBy("part").cogroup(tables.groupBy("part")).applyInArrow(run, ANSWER)
@@ -350,8 +345,9 @@ def score(docs: DataFrame, train: Column, order: int = ORDER, k: int = K, chunk:
     spark = docs.sparkSession
     n = parts(spark)
     docs = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), docs["text"].alias("text"))
-    texts = chunked(docs, chunk)
-    first = stored(words_table(texts, n), "words")
+    held_ = stored(words_asked(docs, n, chunk), "chunks")
+    first = stored(words_table(held_, n), "words")
+    chunks = held_.filter("part < 0").select("chunk", "at", "sizes", "ids", "train")
     # A table's words and counts, added up: one row a partition.
     sums = first.filter("chunk is null").select("part", "b").mapInArrow(_count_words(n, SHARE), "total long, kinds long, ids array<long>, counts array<long>").collect()
     total, kinds = sum(r[0] for r in sums), sum(r[1] for r in sums)
@@ -361,7 +357,9 @@ def score(docs: DataFrame, train: Column, order: int = ORDER, k: int = K, chunk:
     for level in range(2, order + 1):
         last = level == order
         names = [np.array(sorted(x), np.uint64) for x in hot]
-        asked = stored(asks(texts, answers, n, names, (total, kinds), last), "asks")
+        asked = stored(asks(chunks, answers, n, names, (total, kinds), last), "asks")
+        if last:
+            dropped(held_, *steps_)  # no round is left that reads them
         questions = asked.filter("part >= 0")
         tables = stored(merged(questions, names[-1], k), f"order-{level}")
         got = tables.select("of").collect()
@@ -375,7 +373,6 @@ def score(docs: DataFrame, train: Column, order: int = ORDER, k: int = K, chunk:
             answers.append(reply)
             steps_.append(reply)
             hot.append([BEGIN])  # the place before a text is the one history known to be everywhere
-    dropped(*steps_)
     facts = asked.filter("part < 0")
 
     def finish(t: pa.Table) -> pa.Table:

@@ -387,6 +387,32 @@ def test_katz_repeated_and_null_ids(spark, tmp_path):
     assert all(r.n_known == 0 and r.train_tokens == 0 for r in katz.score(spark.read.parquet(path), F.lit(False)).collect())
 
 
+def test_katz_hashes_slices_of_a_chunk(rows, monkeypatch):
+    """A chunk's words are hashed a few texts at a time, with the same hashes and places as all at once."""
+    import pyarrow as pa
+
+    texts, sizes = pa.array([t for _, t, *_ in rows] + [None, ""]), []
+    whole = katz.tokens(texts)
+
+    class Spy(katz.Hasher):
+        def __init__(self, data, *args):
+            sizes.append(len(data))
+            super().__init__(data, *args)
+
+    monkeypatch.setattr(katz, "Hasher", Spy)
+    monkeypatch.setattr(katz, "SLICE", 5000)
+    assert all(np.array_equal(a, b) for a, b in zip(katz.tokens(texts), whole))
+    assert len(sizes) > 1 and max(sizes) <= max(5000, *(len((t or "").encode()) for _, t, *_ in rows))
+
+
+def test_katz_moves_no_texts(docs, monkeypatch):
+    """Rounds get the numbers of a chunk's words, not its texts."""
+    seen, inner = [], katz.asks
+    monkeypatch.setattr(katz, "asks", lambda chunks, *args: seen.append(chunks.columns) or inner(chunks, *args))
+    assert katz.score(docs, F.lit(True)).count() == docs.count()
+    assert seen and all("text" not in c for c in seen)
+
+
 def test_mixing(rows, docs, none):
     out, slots, _ = mixing.mix_blocks(docs, block=4, shard=16)
     got, again = out.collect(), {r.doc_id: r.taken for r in mixing.mix_blocks(docs, block=4, shard=16)[0].collect()}

@@ -167,12 +167,15 @@ def words_table(asked: DataFrame, n: int) -> DataFrame:
         keys = [np.cumsum(unpack(x), dtype=np.uint64) for x in t.column("a").to_pylist()]
         every, at = np.unique(np.concatenate(keys), return_inverse=True)
         c = np.rint(np.bincount(at, np.concatenate([unpack(x) for x in t.column("b").to_pylist()]).astype(float))).astype(np.uint64)
-        ids = np.arange(len(every), dtype=np.uint64) * np.uint64(n) + np.uint64(part + 1)
+        # Frequent words have small numbers: what moves later packs closer so.
+        order = np.argsort(-c.astype(np.int64), kind="stable")
+        ids = np.empty(len(every), np.uint64)
+        ids[order] = np.arange(len(every), dtype=np.uint64) * np.uint64(n) + np.uint64(part + 1)
         edge = np.cumsum([0, *map(len, keys)])
         a = [pack(ids[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
         b = [pack(c[at[i:j]]) for i, j in zip(edge[:-1], edge[1:])]
         released()
-        return pa.table({"part": pa.array([part] * (len(a) + 1), pa.int32()), "chunk": pa.array([*t.column("chunk").to_pylist(), None], pa.int64()), "a": pa.array([*a, pack(steps(every))], pa.binary()), "b": pa.array([*b, pack(c)], pa.binary())})
+        return pa.table({"part": pa.array([part] * (len(a) + 1), pa.int32()), "chunk": pa.array([*t.column("chunk").to_pylist(), None], pa.int64()), "a": pa.array([*a, pack(steps(every[order]))], pa.binary()), "b": pa.array([*b, pack(c[order])], pa.binary())})
 
     return asked.select("part", "chunk", "a", "b").filter("part >= 0").groupBy("part").applyInArrow(serve, ANSWER)
 
@@ -331,7 +334,10 @@ def answered(asked: DataFrame, tables: DataFrame, n: int, ratios: list[float], w
         released()
         return pa.table({"part": pa.array([part] * len(a), pa.int32()), "chunk": left.column("chunk"), "a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
 
-    return asked.groupBy("part").cogroup(tables.groupBy("part")).applyInArrow(run, ANSWER)
+    # Counts and lower probabilities are in the tables by now; questions go without them.
+    left = asked.select("part", "chunk", "h", "hn", "w", *["docs", "dn", "dc"] * last)
+    right = tables.select("part", "h", "hn", "w", "c", "low")
+    return left.groupBy("part").cogroup(right.groupBy("part")).applyInArrow(run, ANSWER)
 
 
 def score(docs: DataFrame, train: Column, order: int = ORDER, k: int = K, chunk: int = CHUNK) -> DataFrame:

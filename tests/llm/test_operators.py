@@ -413,6 +413,13 @@ def test_katz_moves_no_texts(docs, monkeypatch):
     assert seen and all("text" not in c for c in seen)
 
 
+def test_katz_numbers_frequent_words_low(docs):
+    """A partition's table runs from its most frequent word on, so that numbers pack well."""
+    d = docs.select("doc_id", F.lit(True).alias("train"), "text")
+    rows = katz.words_table(katz.words_asked(d, 4, 1 << 20), 4).filter("chunk is null").collect()
+    assert rows and all(x == sorted(x, reverse=True) for x in (katz.unpack(r.b).tolist() for r in rows))
+
+
 def test_mixing(rows, docs, none):
     out, slots, _ = mixing.mix_blocks(docs, block=4, shard=16)
     got, again = out.collect(), {r.doc_id: r.taken for r in mixing.mix_blocks(docs, block=4, shard=16)[0].collect()}

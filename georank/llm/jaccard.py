@@ -29,6 +29,8 @@ from .components import components
 SHARE, FRAGMENTS, SKETCH_BITS = 3, 4, 22
 #: Hubs of a list; hubs that a node is measured against; a node with at least this share of its shingles in its hub's set is near it.
 HUBS, TRIES, NEAR = 2, 3, 0.7
+#: A hub of fewer nodes is measured against those alone with which it shares as many lists as linked sets do: so few nodes make few pairs.
+FEW = 8
 #: Of the nodes near a hub, the nearest ones that all others are compared with.
 NEAREST = 16
 CHUNK = 1 << 16
@@ -192,9 +194,8 @@ def overlaps(pairs: DataFrame, cut: DataFrame, lacks: bool = False) -> DataFrame
 
 def to_likeliest(pairs: DataFrame, cut: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
     """Overlaps of nodes with their hubs: first with the hub that most nodes have, then, for nodes not linked to it, with the others."""
-    many = pairs.join(pairs.groupBy("b").agg(F.count("*").alias("many")), "b")
     turn = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("many"), "b"))
-    many = stored(many.withColumn("k", turn), "turns")
+    many = stored(pairs.withColumn("k", turn), "turns")
     cols = ("a", "na", "b", "nb")
     first = stored(overlaps(many.filter("k = 1").select(*cols), cut, lacks=True), "measured")
     again = many.filter("k > 1").join(linked(first, percent).select("a"), "a", "left_anti").select(*cols)
@@ -215,9 +216,10 @@ def by_prefix(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
 
 
 def to_hubs(shared: DataFrame, fits) -> DataFrame:
-    """Pairs (a, na, b, nb) of a node and those hubs of its lists with which it shares most lists.
+    """Pairs (a, na, b, nb, many) of a node and those hubs of its lists with which it shares most lists; many: the hub's nodes.
 
     A list's hubs are the node whose own lists are longest, so one with few shingles that others lack, and some by hash.
+    Texts that have a shingle in common by chance are pairs of their own mostly, and more of them in larger tables: they are left to `by_prefix`.
     """
     hash_ = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("h"), "node", "n")).alias(f"h{i}") for i in range(1, HUBS)]
     hubs = shared.groupBy("token").agg(F.max(F.struct("weight", "node", "n")).alias("h0"), *hash_)
@@ -225,7 +227,9 @@ def to_hubs(shared: DataFrame, fits) -> DataFrame:
     rows = shared.select("token", "node", "n").join(hubs, "token").filter("h.node != node").groupBy("node", "n", "h").agg(F.count("*").alias("c"))
     rows = rows.filter(fits(F.col("n"), F.col("h.n")))
     best = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("c"), "h.node"))
-    return rows.withColumn("k", best).filter(F.col("k") <= TRIES).select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("h.node").alias("b"), F.col("h.n").alias("nb"))
+    rows = rows.withColumn("k", best).filter(F.col("k") <= TRIES).select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("h.node").alias("b"), F.col("h.n").alias("nb"), "c")
+    rows = rows.join(rows.groupBy("b").agg(F.count("*").alias("many")), "b")
+    return rows.filter((F.col("many") >= FEW) | (F.col("c") >= F.least(F.lit(SHARE), "na", "nb"))).select("a", "na", "b", "nb", "many")
 
 
 def candidates(own: DataFrame, percent: int, fits) -> DataFrame:

@@ -145,6 +145,15 @@ def test_jaccard_long_lists(spark, tmp_path, width, percent):
         assert [k for k in mine if got[k].first] == [min(mine, key=lambda k: (ids[k] is None, ids[k] or 0, k))]
 
 
+def test_jaccard_measures_no_chance_pairs(spark):
+    """Texts with one shingle in common aren't measured against a hub, unless it has many nodes."""
+    lists = [(t, n) for t in range(6) for n in (t, t + 1)] + [(100 + t, n) for t in range(3) for n in (50, 51)] + [(200, n) for n in range(60, 80)]
+    shared = spark.createDataFrame([(t, n, 40, float(n)) for t, n in lists], "token long, node long, n int, weight double")
+    got = {(r.a, r.b) for r in jaccard.to_hubs(shared, lambda a, b: 100 * F.least(a, b) >= 90 * F.greatest(a, b)).collect()}
+    assert {(50, 51), (51, 50)} <= got and {a for a, b in got if b == 79} == set(range(60, 79))
+    assert not [p for p in got if p[0] < 10]
+
+
 def test_jaccard_centred_keeps_overlaps(spark):
     """What two nodes share by what they lack of the hub stays their true overlap, and changes of the hub alone are no longer common to all."""
     rnd = random.Random(5)

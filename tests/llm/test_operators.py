@@ -145,6 +145,20 @@ def test_jaccard_long_lists(spark, tmp_path, width, percent):
         assert [k for k in mine if got[k].first] == [min(mine, key=lambda k: (ids[k] is None, ids[k] or 0, k))]
 
 
+def test_steps_give_the_driver_s_garbage_back(spark, monkeypatch):
+    """After a step the driver's heap doesn't hold what earlier steps left."""
+    monkeypatch.setattr(common, "_rested", [-1e9])
+    jvm, runtime = spark._jvm, spark._jvm.java.lang.Runtime.getRuntime()
+    used = lambda: runtime.totalMemory() - runtime.freeMemory()
+    jvm.System.gc()
+    before, some = used(), spark.range(5).coalesce(1)
+    gateway = spark.sparkContext._gateway
+    gateway.detach(gateway.new_array(jvm.long, 13 << 20))
+    assert used() > before + (60 << 20)
+    out = common.stored(some)
+    assert used() < before + (60 << 20) and out.count() == 5
+
+
 def test_jaccard_measures_no_chance_pairs(spark):
     """Texts with one shingle in common aren't measured against a hub, unless it has many nodes."""
     lists = [(t, n) for t in range(6) for n in (t, t + 1)] + [(100 + t, n) for t in range(3) for n in (50, 51)] + [(200, n) for n in range(60, 80)]

@@ -68,6 +68,19 @@ def test_lists_are_expanded_where_they_are_made(spark, sf, name):
     assert "FlatMapGroupsInArrow" in text and "Exchange hashpartitioning" not in text[: text.index("FlatMapGroupsInArrow")]
 
 
+@pytest.mark.parametrize("name", ["rank_in_query", "sql_contribution", "rank_shared_ties", "contribution"])
+@pytest.mark.parametrize("most", [1, 50])
+def test_a_row_stands_for_few_matches(spark, monkeypatch, sf, name, most):
+    """Spark keeps all that is exploded from one row in memory, so lists come in pieces."""
+    from georank.operators import lists as L
+
+    monkeypatch.setattr(L, "PIECE", most)
+    sizes, inner = [], L.expand
+    monkeypatch.setattr(L, "expand", lambda lists, *a, **kw: sizes.append(lists.selectExpr("max(size(seqs) * size(oids))").first()[0]) or inner(lists, *a, **kw))
+    same_as_sql(spark, sf, name)
+    assert sizes and 0 < max(sizes) <= most
+
+
 @pytest.mark.parametrize("name", ["rollup_metrics", "grouping_sets_metrics", "cube_metrics", "time_window_topm", "rank_stats", "distinct_touched", "opq_by_radius"])
 def test_counts_and_sums_without_matches(spark, monkeypatch, sf, name):
     """What the SQL says, though no match is made a row."""

@@ -313,9 +313,11 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     spark = docs.sparkSession
     docs = docs.select(F.monotonically_increasing_id().alias("row"), docs["doc_id"].cast("long").alias("doc_id"), docs["text"].alias("text"))
     freq = spark.sparkContext.broadcast(frequency_classes(docs, width))
-    every = stored(prefixes(docs, width, percent, freq), "prefixes")
+    whole = stored(prefixes(docs, width, percent, freq), "prefixes")
+    every = stored(whole.drop("prefix"), "rows")
     names = every.filter("n > 0").groupBy("d1", "d2").agg(F.min("row").alias("node"))
-    nodes = stored(names.join(every.select(F.col("row").alias("node"), "n", "prefix"), "node"), "nodes")
+    nodes = stored(names.select("node").join(whole.select(F.col("row").alias("node"), "n", "prefix"), "node"), "nodes")
+    dropped(whole)
     listed = nodes.select("node", "n", F.posexplode("prefix").alias("at", "token"))
     lists = listed.groupBy("token").agg(F.count("*").alias("many")).filter("many > 1")
     index = stored(listed.join(lists, "token"), "lists")
@@ -343,17 +345,20 @@ def classes(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     dropped(beside)
     classed = lambda df: df.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     links = stored(links.union(to_nearest(classed(near), percent, fits)), "links")
+    dropped(*measured)
     first, comp = comp, stored(components(links), "classes")
     links = stored(links.union(beside_hub(classed(near), percent, fits)), "links")
     own = classed(shared)
     # A list whose nodes are all of one class has no pair left.
     mixed = own.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("token")
     own = stored(own.join(mixed, "token").join(near.select("node", "hub", "o"), "node", "left"), "open")
+    dropped(shared, near)
     rest = candidates(own, percent, fits)
     pairs = stored(by_prefix(rest, nodes, percent), "pairs")
+    dropped(own, nodes)
     cut = cut_sets(pairs, docs, width, freq)
     links = stored(links.union(linked(overlaps(pairs, cut), percent)), "links")
-    dropped(cut, pairs, own, near, first, comp, *measured)
+    dropped(cut, pairs, first, comp)
     comp = stored(components(links), "classes")
     named = every.filter("n > 0").select("row", "doc_id", "n", "d1", "d2").join(names, ["d1", "d2"]).join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     name = named.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row")).alias("f")).select("comp", F.col("f.doc_id").alias("component_id"), F.col("f.row").alias("head"))

@@ -159,6 +159,25 @@ def test_steps_give_the_driver_s_garbage_back(spark, monkeypatch):
     assert used() < before + (60 << 20) and out.count() == 5
 
 
+def test_jaccard_drops_steps_when_done(docs, monkeypatch):
+    """When sets are laid out to be measured, what took part in earlier steps alone is gone."""
+    import os
+
+    made, at, inner = [], [], jaccard.stored
+
+    def spy(df, name):
+        out = inner(df, name)
+        made.append((name, out.stored_at.removeprefix("file:")))
+        if name == "fragments":
+            at.append({n for n, path in made if os.path.exists(path)})
+        return out
+
+    monkeypatch.setattr(jaccard, "stored", spy)
+    assert jaccard.classes(docs).count() == docs.count()
+    assert len(at) == 2 and at[0] == {"rows", "nodes", "able", "pairs", "fragments"}
+    assert not at[1] & {"prefixes", "nodes", "able", "open", "near", "measured"}
+
+
 def test_jaccard_measures_no_chance_pairs(spark):
     """Texts with one shingle in common aren't measured against a hub, unless it has many nodes."""
     lists = [(t, n) for t in range(6) for n in (t, t + 1)] + [(100 + t, n) for t in range(3) for n in (50, 51)] + [(200, n) for n in range(60, 80)]

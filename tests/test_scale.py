@@ -117,3 +117,43 @@ def test_window_tops_in_chunks_equal_intervals(spark, chunk):
 def test_window_tops_without_matches(spark, monkeypatch, sf, name):
     monkeypatch.setattr(M, "range_matches", None)
     same_as_sql(spark, sf, name)
+
+
+def window_case(spark, seed, side=6):
+    """Many objects at few points, many points as far away as others."""
+    import random
+
+    rnd = random.Random(seed)
+    o = spark.createDataFrame([(i, rnd.randrange(side), rnd.randrange(side)) for i in rnd.sample(range(10_000), 300)], "oid long, x long, y long")
+    q = spark.createDataFrame([(i, rnd.randrange(side), rnd.randrange(side), rnd.choice([0, 2, 5, 25])) for i in range(90) if i % 7], "seq long, x long, y long, r2 long")
+    return o, q
+
+
+@pytest.mark.parametrize("m", [1, 4, 30])
+def test_window_tops_keep_sums_of_points(spark, m):
+    """No sum is kept of each object: chunks get a row for each point."""
+    from georank.operators import lists as L
+    from georank.operators import popularity as P
+
+    o, q = window_case(spark, m)
+    want = P.continuous_topm(P.contributions(M.rank_matches(M.range_matches(o, q)), o), 9, m, q.selectExpr("max(seq) AS last"))
+    top = L.window_tops(o, q, 9, m, 16)
+    rows = lambda df: sorted(tuple(r) for r in df.select("win", "pos", "oid", "num").collect())
+    assert rows(top) == rows(want)
+    assert "collect_list(oid" in plan(top)
+
+
+def test_copies_of_objects_stay_in_proportion(spark):
+    """Chunks are longer where there are more objects."""
+    from georank.operators import lists as L
+
+    o, q = window_case(spark, 1)
+    o = o.selectExpr("explode(sequence(oid, oid + 900000, 10000)) AS oid", "x", "y")
+    sizes, inner = [], type(q).groupBy
+    type(q).groupBy = lambda self, *keys: (sizes.append(self) if keys == ("tx", "size", "last") else None) or inner(self, *keys)
+    try:
+        L.window_tops(o, q, 9, 4, 16)
+    finally:
+        type(q).groupBy = inner
+    points, n = o.select("x", "y").distinct().count(), o.count()
+    assert n > 16 * 90 and sizes[-1].filter("r2 IS NULL").count() == points

@@ -157,3 +157,18 @@ def test_copies_of_objects_stay_in_proportion(spark):
         type(q).groupBy = inner
     points, n = o.select("x", "y").distinct().count(), o.count()
     assert n > 16 * 90 and sizes[-1].filter("r2 IS NULL").count() == points
+
+
+@pytest.mark.parametrize("chunk", [1, 5, 8192])
+def test_result_changes_make_the_results_once(spark, chunk):
+    import random
+
+    from georank.operators import popularity as P
+
+    rnd = random.Random(chunk)
+    lists = {win: rnd.choice([[1, 2], [2, 1], [1], [1, 2, 3]]) for win in range(60) if win % 11}
+    top = spark.createDataFrame([(w, k + 1, o) for w, oids in lists.items() for k, o in enumerate(oids)], "win long, pos int, oid long").repartition(3)
+    got = P.result_changes(top, chunk)
+    assert sorted(r.win for r in got.collect()) == [w for w in lists if lists[w] != lists.get(w - 1)]
+    text = plan(got)
+    assert "Join" not in text[text.index("Initial Plan") :] if "Initial Plan" in text else "Join" not in text
